@@ -1,7 +1,7 @@
 """SentencePiece BPE encoding and decoding by vectorised merge rounds.
 
 A text is cut where no piece of the model crosses: before each run of spaces that follows another
-character, and around line feeds. Distinct segments go through merge rounds together: flat arrays of
+character. Distinct segments go through merge rounds together: flat arrays of
 symbols, a segmented minimum of the pair ranks per segment, one merge at the leftmost minimum of every
 segment at once, then compaction, until no segment has a pair left. A segment over LONG symbols runs
 the same merges through a heap instead, which keeps its cost near-linear. Segments already seen by a
@@ -17,6 +17,7 @@ import hashlib
 import heapq
 import re
 from collections.abc import Iterator
+from itertools import filterfalse
 
 import numpy as np
 import pyarrow as pa
@@ -28,12 +29,28 @@ from deltamp.llm.common import as_texts
 
 LONG = 400
 CHUNK_CHARS = 2_000_000
-TABLE_ENTRIES = 300_000
+TABLE_ENTRIES = 500_000
 _SPACE = "▁"
-_SEGMENT = re.compile(r" *[^ \n]+| +|\n")
+_SEGMENT = re.compile(r" *[^ ]+| +")
 _NONE = np.int32(2**31 - 1)
 
 
+def _text_of(key: str) -> str:
+    """The segment a key stands for: a word after one space, or after a further space the segment itself."""
+    return key[1:] if key.startswith(" ") else " " + key
+
+
+def _keys(text: str) -> list[str]:
+    """The segments of a text with its dummy prefix, as keys."""
+    if not text:
+        return []
+    text = text.replace(_SPACE, " ")
+    parts = text.split(" ")
+    if "" not in parts:
+        return parts
+    return [s[1:] if s[1:] and s[1] != " " else " " + s for s in _SEGMENT.findall(" " + text)]
+
+
 class PieceModel:
     """The vocabulary of a BPE model with byte fallback, an identity normaliser and a dummy prefix."""
 
@@ -48,7 +65,7 @@ class PieceModel:
         self.byte_of = {i: b for b, i in self.byte_id.items()}
         self.silent = {i for i in range(n) if sp.is_control(i)}
         text = {p: i for i, p in enumerate(self.pieces) if not (sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i))}
-        if any(_SPACE in p.lstrip(_SPACE) or "\n" in p for p in text):
+        if any(_SPACE in p.lstrip(_SPACE) for p in text):
             raise ValueError("the model has pieces across the cuts this encoder makes")
         self.symbols = dict(text)
         self.strings = dict(zip(text.values(), text))
@@ -68,7 +85,20 @@ class PieceModel:
         self.merged = np.array([pairs[k][1] for k in self.keys.tolist()], np.int64)
         self.pairs = pairs
         self.size = n
-        self.known: dict[str, tuple[bytes, str]] = {}
+        self.symbol_of = np.full(0x110000, -1, np.int64)
+        for c, i in self.symbols.items():
+            if len(c) == 1:
+                self.symbol_of[ord(c)] = i
+        for b, i in self.byte_id.items():
+            if b < 128 and self.symbol_of[b] < 0:  # one byte, one id, and no pair has it
+                self.symbol_of[b] = i
+        self.symbol_of[ord(" ")] = self.symbols.get(_SPACE, -1)
+        shown = [chr(self.byte_of[i]) if self.byte_of.get(i, 128) < 128 else self.strings.get(i, "").replace(_SPACE, " ") for i in range(n)]
+        self.piece_len = np.array([len(x) for x in shown], np.int64)
+        self.piece_at = np.concatenate([[0], np.cumsum(self.piece_len)[:-1]])
+        self.piece_chars = np.frombuffer("".join(shown).encode("utf-32-le"), np.uint32)
+        self.known: dict[str, bytes] = {}
+        self.odd: dict[str, str] = {}
 
     def _symbol(self, c: str, n: int) -> int:
         """The id of a character; characters that are no piece get ids past the vocabulary."""
@@ -84,12 +114,14 @@ class PieceModel:
         hit = self.keys[i] == key
         return np.where(hit, self.ranks[i], _NONE), np.where(hit, self.merged[i], 0)
 
-    def _rounds(self, words: list[list[int]]) -> list[list[int]]:
-        """Merge all words together; words are lists of symbol ids (-1: never merges)."""
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        sym = np.fromiter((x for w in words for x in w), np.int64, int(sizes.sum()))
-        seg = np.repeat(np.arange(len(words)), sizes)
-        done: list = [None] * len(words)
+    def _rounds(self, sym: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Merge all segments together.
+
+        sym: their symbols laid end to end (-1: never merges); sizes: how many each has. Returns the
+        final symbols in the same order and each segment's count.
+        """
+        seg = np.repeat(np.arange(len(sizes)), sizes)
+        done_sym, done_seg = [], []
 
         def pair_at(i: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
             rank, into = self._look(sym[i], sym[i + 1])
@@ -101,19 +133,16 @@ class PieceModel:
             rank[:-1], into[:-1] = pair_at(np.arange(len(sym) - 1))
         while len(sym):
             heads = np.flatnonzero(np.concatenate([[True], seg[1:] != seg[:-1]]))
+            lengths = np.diff(np.append(heads, len(sym)))
             least = np.minimum.reduceat(rank, heads)
             over = least == _NONE
             if over.any():
-                lengths = np.diff(np.concatenate([heads, [len(sym)]]))
-                for k in np.flatnonzero(over).tolist():
-                    done[seg[heads[k]]] = sym[heads[k] : heads[k] + lengths[k]].tolist()
-                stay = np.repeat(~over, lengths)
-                sym, seg, rank, into = sym[stay], seg[stay], rank[stay], into[stay]
+                gone = np.repeat(over, lengths)
+                done_sym.append(sym[gone]), done_seg.append(seg[gone])
+                sym, seg, rank, into = sym[~gone], seg[~gone], rank[~gone], into[~gone]
                 least, lengths = least[~over], lengths[~over]
                 if not len(sym):
                     break
-            else:
-                lengths = np.diff(np.concatenate([heads, [len(sym)]]))
             at = np.flatnonzero(rank == np.repeat(least, lengths))
             at = at[np.concatenate([[True], seg[at[1:]] != seg[at[:-1]]])]
             sym[at] = into[at]
@@ -121,13 +150,15 @@ class PieceModel:
             stay[at + 1] = False
             moved = at - np.arange(len(at))
             sym, seg, rank, into = sym[stay], seg[stay], rank[stay], into[stay]
-            redo = np.unique(np.concatenate([moved, moved[moved > 0] - 1]))
-            last = redo[redo == len(sym) - 1]
-            rank[last] = _NONE
-            redo = redo[redo < len(sym) - 1]
+            touched = np.zeros(len(sym) + 1, bool)
+            touched[moved] = True
+            touched[moved - 1] = True
+            redo = np.flatnonzero(touched[: len(sym) - 1])
+            rank[-1] = _NONE
             if len(redo):
                 rank[redo], into[redo] = pair_at(redo)
-        return [x or [] for x in done]
+        flat, owner = np.concatenate([np.zeros(0, np.int64), *done_sym]), np.concatenate([np.zeros(0, np.int64), *done_seg])
+        return flat[np.argsort(owner, kind="stable")], np.bincount(owner, minlength=len(sizes))
 
     def _heap(self, sym: list[int]) -> list[int]:
         """The same merges for one long word, least (rank, position) first."""
@@ -177,36 +208,72 @@ class PieceModel:
                 out.append(self.strings[i].replace(_SPACE, " ").encode() if i != self.unknown else " ⁇ ".encode())
         return b"".join(out).decode("utf-8", "replace")
 
-    def learn(self, segments: list[str]) -> None:
+    def learn(self, keys: list[str]) -> None:
         """Encode and decode segments that the table lacks."""
-        if not segments:
-            return
-        if len(self.known) > TABLE_ENTRIES:
-            self.known.clear()
-        get = self.symbols.get
-        chars = [s.replace(" ", _SPACE) for s in segments]
-        words = [[get(c, -1) for c in w] for w in chars]
-        short = [k for k, w in enumerate(words) if len(w) <= LONG]
-        merged: dict[int, list[int]] = dict(zip(short, self._rounds([words[k] for k in short])))
-        for k, s in enumerate(segments):
-            ids = self._ids(merged[k] if k in merged else self._heap(words[k]), chars[k])
-            text = self.decode_ids(ids)
-            self.known[s] = (np.array(ids, "<u4").tobytes(), s if text == s else text)
+        short = [k for k in keys if len(k) < LONG]
+        if short:
+            self._learn_short(short)
+        for k in keys:
+            if len(k) >= LONG:
+                chars = _text_of(k).replace(" ", _SPACE)
+                self._keep(k, self._ids(self._heap([self.symbols.get(c, -1) for c in chars]), chars))
+
+    def _keep(self, key: str, ids: list[int]) -> None:
+        self.known[key] = np.array(ids, "<u4").tobytes()
+        if (text := self.decode_ids(ids)) != _text_of(key):
+            self.odd[key] = text
+
+    def _learn_short(self, keys: list[str]) -> None:
+        segments = [_text_of(k) for k in keys]
+        joined = "".join(segments)
+        codes = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
+        sizes = np.fromiter(map(len, segments), np.int64, len(segments))
+        flat, counts = self._rounds(self.symbol_of[codes], sizes)
+        at = np.concatenate([[0], np.cumsum(counts)])
+        owner = np.repeat(np.arange(len(segments)), counts)
+        odd = np.zeros(len(segments), bool)
+        odd[owner[(flat < 0) | (flat >= self.size)]] = True
+        blob = flat.astype("<u4").tobytes()
+        cut = (at * 4).tolist()
+        plain = ~odd
+        # Decode: the pieces' characters end to end, and only where they differ from the segment, their text.
+        ids = np.where(odd[owner], 0, flat)
+        wide = self.piece_len[ids]
+        chars = self.piece_chars[np.repeat(self.piece_at[ids] - np.concatenate([[0], np.cumsum(wide)[:-1]]), wide) + np.arange(int(wide.sum()))]
+        long = np.bincount(owner, weights=wide, minlength=len(segments)).astype(np.int64)
+        plain &= long == sizes
+        source = codes[np.repeat(plain, sizes)]
+        same = np.repeat(np.arange(len(segments)), sizes)[np.repeat(plain, sizes)]
+        differs = np.unique(same[source != chars[np.repeat(plain, long)]])
+        plain[differs] = False
+        known = self.known
+        for s, a, b, ok in zip(keys, cut[:-1], cut[1:], plain.tolist()):
+            if ok:
+                known[s] = blob[a:b]
+        for k in np.flatnonzero(~plain).tolist():
+            self._keep(keys[k], self._ids(flat[at[k] : at[k + 1]].tolist(), segments[k].replace(" ", _SPACE)))
 
     def encode_many(self, texts: list[str]) -> list[tuple[bytes, str]]:
         """Per text: ids as little-endian 32-bit integers with begin and end, and the decoded text."""
         edge = [np.array([i], "<u4").tobytes() for i in (self.begin, self.end)]
-        cut = [_SEGMENT.findall((" " + t).replace(_SPACE, " ")) if t else [] for t in texts]
-        lacking: set[str] = set().union(*cut) - self.known.keys()
-        if len(self.known) + len(lacking) > TABLE_ENTRIES:
-            self.known.clear()
+        cut = [_keys(t) for t in texts]
+        known = self.known
+        lacking: set[str] = set()
+        for parts in cut:
+            lacking.update(filterfalse(known.__contains__, parts))
+        if len(known) + len(lacking) > TABLE_ENTRIES:
+            known.clear(), self.odd.clear()
             lacking = set().union(*cut)
         self.learn(list(lacking))
-        known, out = self.known, []
+        out = []
         for parts in cut:
-            found = [known[s] for s in parts]
-            text = "".join([f[1] for f in found])
-            out.append((edge[0] + b"".join([f[0] for f in found]) + edge[1], text[1:] if text.startswith(" ") else text))
+            ids = b"".join(map(known.__getitem__, parts))
+            if self.odd.keys().isdisjoint(parts) and " " not in "".join(parts):
+                text = " ".join(parts)
+            else:
+                text = "".join([self.odd.get(k) or _text_of(k) for k in parts])
+                text = text[1:] if text.startswith(" ") else text
+            out.append((edge[0] + ids + edge[1], text))
         return out
 
 
