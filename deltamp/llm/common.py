@@ -112,3 +112,21 @@ def lower_ascii(column):
     """Lower-case A-Z only, whatever the locale."""
     upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
     return F.translate(column, upper, upper.lower())
+
+
+def word_hashes_many(raws: list[bytes], lower: bool = False, piece: int = 1 << 18) -> tuple[np.ndarray, np.ndarray]:
+    """Word hashes of all texts end to end, and how many words each has; worked in cache-sized pieces."""
+    flat, sizes, held, size = [], [], [], 0
+    for k, raw in enumerate(raws):
+        held.append(raw)
+        size += len(raw) + 1
+        if size >= piece or k == len(raws) - 1:
+            joined = b"\n".join(held)
+            joined = joined.lower() if lower else joined  # bytes.lower() changes A-Z only
+            starts, ends = word_spans(joined)
+            flat.append(span_hashes(joined, starts, ends))
+            stops = np.cumsum(np.fromiter(map(len, held), np.int64, len(held)) + 1)
+            sizes.append(np.diff(np.searchsorted(starts, stops), prepend=0))
+            held, size = [], 0
+    empty = np.zeros(0, np.int64)
+    return np.concatenate([empty.astype(np.uint64), *flat]), np.concatenate([empty, *sizes])

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from deltamp.llm.common import as_bytes, run_hashes, size_units, span_hashes, word_spans
+from deltamp.llm.common import as_bytes, run_hashes, size_units, word_hashes_many
 
 WINDOW = 35
 GROUP_BYTES = 1 << 20
@@ -123,11 +123,11 @@ def remove_reference_spans(docs: DataFrame, reference: list[str], least: int = W
     return docs.select(id_col, F.col(text_col).cast("string")).mapInArrow(run, schema)
 
 
-def _windows(raw: bytes, window: int) -> np.ndarray:
-    starts, ends = word_spans(raw)
-    if len(starts) < window:
-        return np.zeros(0, np.uint64)
-    return run_hashes(span_hashes(raw, starts, ends), window)
+def _windows(raws: list[bytes], window: int) -> list[np.ndarray]:
+    """Window hashes of each text."""
+    flat, sizes = word_hashes_many(raws)
+    ends = np.cumsum(sizes)
+    return [run_hashes(flat[z - n : z], window) for n, z in zip(sizes.tolist(), ends.tolist())]
 
 
 def _bucket_of(hashes: np.ndarray, buckets: int) -> np.ndarray:
@@ -146,7 +146,7 @@ def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id",
     dealt = grouped.repartition(max(16, groups // 8), "g")
 
     def send(key, group):
-        parts = [_windows(x, window) for x in as_bytes(group.column("text").combine_chunks())]
+        parts = _windows(as_bytes(group.column("text").combine_chunks()), window)
         mine = np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.uint64)
         at = np.searchsorted(_bucket_of(mine, buckets), np.arange(buckets + 1))
         there = np.flatnonzero(np.diff(at))
@@ -166,7 +166,7 @@ def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id",
     def strike(key, docs, told):
         raws = as_bytes(docs.column("text").combine_chunks()) if docs.num_rows else []
         known = np.sort(np.concatenate([np.zeros(0, np.uint64), *(np.frombuffer(x, np.uint64) for x in told.column("hashes").to_pylist())]))
-        runs = [_windows(x, window) for x in raws]
+        runs = _windows(raws, window)
         flat = np.sort(np.concatenate(runs)) if runs else known
         known = np.union1d(known, flat[1:][flat[1:] == flat[:-1]])
         n, gone, kept = [], [], []
