@@ -95,7 +95,9 @@ def measure(docs: DataFrame, weights: list[int], text_col: str = "text") -> Data
     names = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"]
     judged = e.select("_row", *names, score.alias("score"), failed.alias("base_failed"))
     verdict = ~F.col("base_failed") & (F.col("score") >= LEAST_SCORE)
-    return judged.select("_row.*", F.struct(*names, "score", "base_failed", verdict.alias("kept")).alias("_q"))
+    # Through a generator, or a filter on the verdict would be pushed down and each array with it, many times over.
+    verdicts = F.array(F.struct(*names, "score", "base_failed", verdict.alias("kept")))
+    return judged.select("_row.*", F.explode_outer(verdicts).alias("_q"))
 
 
 def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
