@@ -1 +1,90 @@
+"""Streaming queries; each has a batch twin in SQL where the result is deterministic."""
 
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from deltamp.queries.layers import full_sql
+from deltamp.registry import graph, pair, table
+from deltamp.streaming import online as st
+
+_DAY = 86_400_000_000
+
+
+def _stream(spark, sf, **options):
+    return st.replay(spark, table(spark, sf, "events"), **options).withWatermark("ts", "1 hour")
+
+
+def _windowed(spark, sf, window, **options):
+    out = _stream(spark, sf, **options).groupBy(window.alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return st.drain(out.where(f"user_id <> {st.SENTINEL}").select(F.unix_micros("w.end").alias("due"), "user_id", "n"))
+
+
+@pair("st_tumbling", f"SELECT CAST((floor(epoch_us(ts) / {_DAY}) + 1) * {_DAY} AS BIGINT) AS due, user_id, count(*) AS n FROM events GROUP BY 1, 2")
+def st_tumbling(spark, sf):
+    return _windowed(spark, sf, F.window("ts", "1 day"))
+
+
+@pair("st_sliding")
+def st_sliding(spark, sf):
+    return _windowed(spark, sf, F.window("ts", "1 day", "12 hours"))
+
+
+@pair("st_session")
+def st_session(spark, sf):
+    return _windowed(spark, sf, F.session_window("ts", "6 hours"))
+
+
+@pair("st_dynamic_session")
+def st_dynamic_session(spark, sf):
+    return _windowed(spark, sf, F.session_window("ts", F.when(F.col("event_type") == "error", "1 hour").otherwise("6 hours")))
+
+
+@pair("st_flush_complete", "SELECT count(*) AS windows, CAST(sum(n) AS BIGINT) AS rows_ FROM (SELECT count(*) AS n FROM events GROUP BY floor(epoch_us(ts) / 86400000000), user_id)")
+def st_flush_complete(spark, sf):
+    return st_tumbling(spark, sf).agg(F.count("*").alias("windows"), F.sum("n").alias("rows_"))
+
+
+@pair("st_late_drop")
+def st_late_drop(spark, sf):
+    """Without the sentinel the windows beyond the watermark stay open."""
+    return _windowed(spark, sf, F.window("ts", "1 day"), sentinel=False).agg(F.count("*").alias("closed"))
+
+
+@pair("st_dedup", "SELECT count(*) AS n FROM events")
+def st_dedup(spark, sf):
+    e = table(spark, sf, "events")
+    out = st.replay(spark, e.union(e), sentinel=False).withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["event_id"])
+    return st.drain(out.select("event_id")).agg(F.count("*").alias("n"))
+
+
+@pair("st_aggregator_state", "SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
+def st_aggregator_state(spark, sf):
+    out = st.drain(st.running_sums(st.replay(spark, table(spark, sf, "events"), sentinel=False)), "update")
+    return out.groupBy("user_id").agg(F.max("n").alias("n"))
+
+
+@pair("ss_join_static", "SELECT event_type, count(*) AS n FROM events JOIN embeddings ON user_id = vec_id GROUP BY event_type")
+def ss_join_static(spark, sf):
+    e = table(spark, sf, "embeddings").select(F.col("vec_id").alias("user_id"))
+    return st.drain(_stream(spark, sf).join(e, "user_id").select("event_type")).groupBy("event_type").agg(F.count("*").alias("n"))
+
+
+@pair("ss_join_interval", "SELECT count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR AND a.event_type = 'view' AND b.event_type = 'purchase'")
+def ss_join_interval(spark, sf):
+    s = _stream(spark, sf)
+    a = s.where("event_type = 'view'").select(F.col("user_id").alias("u"), F.col("ts").alias("t"))
+    b = s.where("event_type = 'purchase'")
+    j = a.join(b, F.expr("u = user_id AND ts > t AND ts <= t + INTERVAL 1 HOUR"))
+    return st.drain(j.select("user_id")).agg(F.count("*").alias("n"))
+
+
+_HOP1 = "SELECT event_id AS seq, user_id * 7 % 15 AS src, user_id AS dst FROM events"
+
+
+@pair("stream_sage_final", f"{full_sql('ring').replace('WITH ', f'WITH ring AS ({_HOP1}), ', 1)}", ("emb0",))
+def stream_sage_final(spark, sf):
+    """Two layers kept up over a stream of edges, one delta cascade a batch."""
+    v = st.infer.settle(graph(spark, sf, "emb0"))
+    edges = lambda b: b.select(F.col("event_id").cast("string").alias("eid"), (F.col("user_id") * 7 % 15).alias("src"), F.col("user_id").alias("dst"))
+    return st.online(spark, v, st.replay(spark, table(spark, sf, "events"), 2, sentinel=False), edges)
