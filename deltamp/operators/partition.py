@@ -72,9 +72,9 @@ def hdrf(edges: DataFrame, parts: int = 16, balance: float = 2.0, eps: float = 1
         part = ranked.where((F.col("rank") >= at) & (F.col("rank") < at + chunk))
         a, b = state.select(F.col("v").alias("src"), F.col("degree").alias("da"), F.col("mask").alias("ma")), state.select(F.col("v").alias("dst"), F.col("degree").alias("db"), F.col("mask").alias("mb"))
         met = part.join(a, "src", "left").join(b, "dst", "left").select("seq", "src", "dst", "da", "ma", "db", "mb", F.floor((F.col("rank") - at) * workers / chunk).cast("int").alias("worker"))
-        base = list(load)
+        base = tuple(load)
 
-        def score(pdf: pd.DataFrame, base=base) -> pd.DataFrame:
+        def score(pdf: pd.DataFrame) -> pd.DataFrame:
             pdf = pdf.sort_values("seq")
             degree: dict = {}
             masks: dict = {}
@@ -130,7 +130,7 @@ def multilevel(edges: DataFrame, parts: int = 16, levels: int = 4, imbalance: fl
     home = settle(edges.select(F.col("src").alias("v")).union(edges.select("dst")).groupBy("v").agg(F.count("*").alias("d")).withColumn("c", F.col("v")))
     for _ in range(levels):
         both = weights.union(weights.select("b", "a", "w"))
-        pick = both.groupBy("a").agg(F.max_by("b", F.struct("w", F.xxhash64("a", "b") + F.xxhash64("b", "a"))).alias("b"))
+        pick = both.groupBy("a").agg(F.max_by("b", F.struct("w", F.xxhash64("a", "b").bitwiseXOR(F.xxhash64("b", "a")))).alias("b"))
         p, q = pick.alias("p"), pick.alias("q")
         pairs = p.join(q, (F.col("p.a") == F.col("q.b")) & (F.col("p.b") == F.col("q.a")) & (F.col("p.a") < F.col("p.b"))).select(F.col("p.a").alias("into"), F.col("p.b").alias("c"))
         home = settle(home.join(pairs, "c", "left").select("v", "d", F.coalesce("into", "c").alias("c")))

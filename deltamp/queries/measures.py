@@ -105,7 +105,7 @@ portable("wl_w7_copurchase", "SELECT count(*) AS edges, count(DISTINCT src) AS s
 portable("wl_w7_reply", "SELECT count(*) AS edges, count(DISTINCT src) AS sources FROM reply", ("reply",))
 portable("wl_w8_fk", "SELECT etype, count(*) AS messages, count(DISTINCT dst) AS outputs FROM fk GROUP BY etype", ("fk",))
 portable("wl_w9_trade", "SELECT op, count(*) AS n, count(DISTINCT dst) AS touched FROM trade GROUP BY op", ("trade",))
-portable("wl_w10_surge", f"SELECT hot, count(*) AS updates, count(DISTINCT due) AS outputs FROM (SELECT CASE WHEN dst % 1000 = 7 THEN 1 ELSE 0 END AS hot, dst * 100000 + floor((us + c * 1000000) / {W}) AS due FROM topic, (SELECT 0 AS c UNION ALL SELECT 1 UNION ALL SELECT 2) WHERE c = 0 OR dst % 1000 = 7) GROUP BY hot", ("topic",))
+portable("wl_w10_surge", f"SELECT hot, count(*) AS updates, count(DISTINCT due) AS outputs FROM (SELECT CASE WHEN dst % 1000 = 7 THEN 1 ELSE 0 END AS hot, dst * 100000 + CAST(floor((us + c * 1000000) / {W}) AS BIGINT) AS due FROM topic, (SELECT 0 AS c UNION ALL SELECT 1 UNION ALL SELECT 2) WHERE c = 0 OR dst % 1000 = 7) GROUP BY hot", ("topic",))
 portable("wl_w11_ablation", f"SELECT 'none' AS stage, count(*) AS messages FROM topic UNION ALL SELECT 'emit', count(*) FROM (SELECT DISTINCT src, {due_sql()} AS d FROM topic) UNION ALL SELECT 'gather', count(*) FROM (SELECT DISTINCT dst, src % 16 AS p, {due_sql()} AS d FROM topic) UNION ALL SELECT 'both', count(*) FROM (SELECT DISTINCT dst, src % 16 AS p, floor(us / {2 * W}) AS d FROM topic)", ("topic",))
-portable("wl_w12_sweep", " UNION ALL ".join(f"SELECT {h} AS hours, count(DISTINCT dst * 1000000 + floor(us / {h * H})) AS outputs, CAST(floor(avg(CAST({due_sql(h * H)} - us AS DOUBLE))) AS BIGINT) AS mean_us FROM hop" for h in (1, 12, 24)), ("hop",))
+portable("wl_w12_sweep", " UNION ALL ".join(f"SELECT {h} AS hours, count(DISTINCT dst * 1000000 + CAST(floor(us / {h * H}) AS BIGINT)) AS outputs, CAST(floor(avg(CAST({due_sql(h * H)} - us AS DOUBLE))) AS BIGINT) AS mean_us FROM hop" for h in (1, 12, 24)), ("hop",))
 __all__ = ["SESSION", "TUMBLING"]

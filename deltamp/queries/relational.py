@@ -123,7 +123,7 @@ same("agg_percentile", "SELECT etype, CAST(floor(median(w) * 10 + 0.5) AS BIGINT
 same("agg_filter_clause", "SELECT dst, count(*) FILTER (WHERE etype = 'click') AS clicks, count(*) AS n FROM hop GROUP BY dst", graphs=("hop",))
 for _n, _g in (("agg_grouping_sets", "GROUPING SETS ((etype, p), (etype), ())"), ("agg_rollup", "ROLLUP (etype, p)"), ("agg_cube", "CUBE (etype, p)")):
     same(_n, f"SELECT etype, p, count(*) AS n FROM (SELECT etype, dst % 4 AS p FROM hop) GROUP BY {_g}", graphs=("hop",))
-pair("agg_pivot_policy", "SELECT dst % 10 AS k, count(*) FILTER (WHERE etype = 'click') AS click, count(*) FILTER (WHERE etype = 'view') AS view FROM hop GROUP BY dst % 10", ("hop",))(lambda spark, sf: graph(spark, sf, "hop").groupBy((F.col("dst") % 10).alias("k")).pivot("etype", ["click", "view"]).agg(F.count("*")).fillna(0))
+pair("agg_pivot_policy", "SELECT dst % 10 AS k, count(*) FILTER (WHERE etype = 'click') AS click, count(*) FILTER (WHERE etype = 'view') AS view FROM hop GROUP BY dst % 10", ("hop",))(lambda spark, sf: graph(spark, sf, "hop").groupBy((F.col("dst") % 10).alias("k")).pivot("etype", ["click", "view"]).agg(F.count("seq")).fillna(0))
 pair("agg_unpivot_measures", "SELECT v, 'x0' AS name, x0 AS value FROM emb0 UNION ALL SELECT v, 'x1', x1 FROM emb0", ("emb0",))(lambda spark, sf: graph(spark, sf, "emb0").unpivot("v", ["x0", "x1"], "name", "value"))
 # Windows, order, sets.
 _W = "OVER (PARTITION BY dst ORDER BY seq)"
