@@ -35,10 +35,13 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def size_units(df: DataFrame, unit_bytes: int, least: int = 16) -> int:
-    """How many units of unit_bytes the plan's inputs hold, by the optimiser's own size estimate."""
-    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-    return max(least, min(2**30, size // unit_bytes))
+def size_units(df: DataFrame, text_col: str, *unit_bytes: int, least: int = 16) -> list[int]:
+    """How many units of so many bytes the texts fill, for each unit; one pass over their lengths.
+
+    The optimiser's estimate isn't used: it multiplies over joins and is unknown for local rows.
+    """
+    size = df.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))).first()[0] or 0
+    return [max(least, min(2**30, size // unit)) for unit in unit_bytes]
 
 
 def as_bytes(column: pa.Array) -> list[bytes]:

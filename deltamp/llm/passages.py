@@ -29,8 +29,8 @@ from pyspark.sql import types as T
 from deltamp.llm.common import as_bytes, run_hashes, size_units, word_hashes_many
 
 WINDOW = 35
-GROUP_BYTES = 1 << 20
-BUCKET_BYTES = 8 << 20
+GROUP_BYTES = 2 << 20
+BUCKET_BYTES = 16 << 20
 
 
 class Automaton:
@@ -141,7 +141,7 @@ def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id",
     """
     id_type = docs.schema[id_col].dataType
     narrow = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-    groups, buckets = size_units(docs, GROUP_BYTES, 64), size_units(docs, BUCKET_BYTES, 64)
+    groups, buckets = size_units(docs, text_col, GROUP_BYTES, BUCKET_BYTES, least=64)
     grouped = narrow.withColumn("g", F.pmod(F.xxhash64("id", "text"), F.lit(groups)).cast("int"))
     dealt = grouped.repartition(max(16, groups // 8), "g")
 
