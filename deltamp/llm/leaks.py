@@ -150,7 +150,7 @@ def randomised_svd(frame: DataFrame, known: np.ndarray, weight: np.ndarray, rank
             f, tf = np.unique(at[at >= 0], return_counts=True)
             used.append((f, tf * weight[f]))
             rows.append((tf * weight[f]) @ into[f])
-        return np.array(rows).reshape(len(items), -1), used
+        return np.array(rows).reshape(len(items), into.shape[1]), used
 
     def back(into: np.ndarray):
         held = frame.sparkSession.sparkContext.broadcast(into)
@@ -203,7 +203,7 @@ def fit(docs: DataFrame, benchmark: DataFrame, item_col: str = "item_id", item_t
         at = _positions(known, h)
         at = at[at >= 0]
         latent.append(scaled[at].sum(axis=0) / max(1e-9, float(np.sqrt((weight[at] ** 2).sum()))))
-    return Space(known, scaled, (weight**2).astype(np.float32), [i for i, _ in rows], items, [answer_of(raw) for _, raw in rows], np.array(latent, np.float32).reshape(len(rows), -1))
+    return Space(known, scaled, (weight**2).astype(np.float32), [i for i, _ in rows], items, [answer_of(raw) for _, raw in rows], np.array(latent, np.float32).reshape(len(rows), scaled.shape[1]))
 
 
 def search(raws: list[bytes], space: Space) -> list[list[tuple]]:

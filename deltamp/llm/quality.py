@@ -3,7 +3,7 @@
 Words and word pairs are hashed into FEATURES buckets. One pass counts the buckets over all documents
 (the raw corpus) and over the trusted ones (labelled good, at most TRUSTED labelled rows, those with the
 smallest id hashes). A document's score is the mean over its words and pairs of
-log(p_trusted / p_raw) in thousandths; at or above LEAST_SCORE it is kept, with no chance involved.
+log(p_trusted / p_raw) in thousandths, both counts on the trusted corpus' scale with PRIOR added; at or above LEAST_SCORE it is kept, with no chance involved.
 The weights are one array of FEATURES integers, whatever the corpus' size.
 
 Defined results: null text has no words and fails the base rule; a text without words scores 0;
@@ -22,6 +22,7 @@ from deltamp.llm.common import WORD_CLASS
 
 FEATURES = 1 << 15
 TRUSTED = 20_000
+PRIOR = 20
 LEAST_SCORE = -170.0
 _BREAKS = r"[\x20\x09-\x0D]+"
 
@@ -53,10 +54,12 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     raw, target = [0] * FEATURES, [0] * FEATURES
     for r in rows:
         raw[r["f"]], target[r["f"]] = r["raw"], r["good"]
-    n_raw, n_target = sum(raw) + FEATURES, sum(target) + FEATURES
-    if not sum(target):
+    n_raw, n_target = sum(raw), sum(target)
+    if not n_target:
         return [0] * FEATURES
-    return [round(1000 * (math.log((t + 1) / n_target) - math.log((r + 1) / n_raw))) for t, r in zip(target, raw)]
+    # Counts on the trusted corpus' scale, each with PRIOR more: a bucket of little evidence weighs little.
+    share = n_target / n_raw
+    return [round(1000 * (math.log(t + PRIOR) - math.log(r * share + PRIOR))) for t, r in zip(target, raw)]
 
 
 def measure(docs: DataFrame, weights: list[int], text_col: str = "text") -> DataFrame:

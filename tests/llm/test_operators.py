@@ -199,7 +199,7 @@ def test_tagger_gradients_and_held_out_accuracy(spark):
     assert hit >= 0.8 * sum(len(s) for _, s in texts) and hit >= 0.8 * sum(map(len, got))
     rows = [*AWKWARD, (20, "mail a.b@x.org or 12.13.14.15"), (21, "7 4485380592391139 end")]
     out = {r["doc_id"]: r for r in pii.scan(docs(spark, rows)).collect()}
-    assert out[20]["spans"].startswith("email:5:12,ip:16:27") and out[1]["spans"] == ""
+    assert out[20]["spans"].startswith("email:5:14,ip:18:29") and out[1]["spans"] == ""
     assert pii.redact(docs(spark, rows)).where("doc_id = 20").first()["text"] == "mail <email> or <ip>"
 
 
@@ -215,9 +215,9 @@ def test_leaks(spark):
     assert leaks.matches(docs(spark, rows), bench.where("false")).count() == 0
 
 
-@pytest.mark.parametrize("n,text", [(3, b"Is it so? Yes it is"), (2, b"First part here now. Two words. And more"), (1, b"")])
+@pytest.mark.parametrize("n,text", [(3, b"Is it so? Yes it is"), (4, b"First part here now. Two words. And more"), (0, b"")])
 def test_answers(n, text):
-    assert leaks.answer_of(text) in (3, 4, 0)
+    assert leaks.answer_of(text) == n
 
 
 def test_common_length():
@@ -226,7 +226,6 @@ def test_common_length():
         a, b = ([r.randrange(5) for _ in range(r.randint(0, 20))] for _ in range(2))
         row = [0] * (len(b) + 1)
         for x in a:
-            row = [0, *[0] * len(b)] if not row else row
             new = [0]
             for j, y in enumerate(b):
                 new.append(row[j] + 1 if x == y else max(row[j + 1], new[j]))
