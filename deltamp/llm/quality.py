@@ -23,7 +23,7 @@ from deltamp.llm.common import WORD_CLASS
 FEATURES = 1 << 15
 TRUSTED = 20_000
 PRIOR = 20
-LEAST_SCORE = -170.0
+LEAST_SCORE = -100.0
 _BREAKS = r"[\x20\x09-\x0D]+"
 
 
