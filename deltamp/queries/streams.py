@@ -17,7 +17,8 @@ def _stream(spark, sf, **options):
 
 def _windowed(spark, sf, window, **options):
     out = _stream(spark, sf, **options).groupBy(window.alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return st.drain(out.where(f"user_id <> {st.SENTINEL}").select(F.unix_micros("w.end").alias("due"), "user_id", "n"))
+    # Filtered after the stream: before it, the filter would be pushed below the watermark and take the sentinel.
+    return st.drain(out.select(F.unix_micros("w.end").alias("due"), "user_id", "n")).where(f"user_id <> {st.SENTINEL}")
 
 
 @pair("st_tumbling", f"SELECT CAST((floor(epoch_us(ts) / {_DAY}) + 1) * {_DAY} AS BIGINT) AS due, user_id, count(*) AS n FROM events GROUP BY 1, 2")
