@@ -62,7 +62,7 @@ def holds(kind: str, text: str) -> bool:
         local, at, domain = text.partition("@")
         return bool(at and local) and not local.strip(_LOCAL) and _DOMAIN.fullmatch(domain) is not None
     if kind == "ip":
-        return re.fullmatch(r"[0-9]+(\.[0-9]+){3}", text) is not None and all(len(p.lstrip("0")) <= 3 and int(p) <= 255 for p in text.split("."))
+        return re.fullmatch(r"[0-9]+(\.[0-9]+){3}", text) is not None and all(len(p) <= 3 and int(p or 0) <= 255 for p in (q.lstrip("0") for q in text.split(".")))
     d = _digits(text)
     if kind == "card":
         return _CARD.fullmatch(text) is not None and 13 <= len(d) <= 19 and luhn(d)

@@ -152,6 +152,11 @@ def test_licences(spark):
     assert got == {(20, "MIT/0"), (21, "GPL-3.0/0")}
 
 
+def test_long_runs_of_digits_are_judged():
+    zeros, nines = "0" * 6000, "9" * 6000
+    assert pii.base_spans(f"{zeros}1.2.3.004 {nines}.1.1.1") == [("ip", 0, 6009)]
+
+
 def test_chat_round_trip():
     r = random.Random(1)
     for _ in range(300):
