@@ -33,6 +33,7 @@ from deltamp.llm.common import as_bytes, word_hashes_many
 HALF, RANK, NEAR = 24, 256, 0.3
 LEAST_COMMON, LEAST_ANSWER, ANSWER_WORDS, LEAST_WORDS = 0.65, 0.5, 4, 6
 MOST_FEATURES, MOST_ITEMS, COMMON, LEAST_RARE = 200_000, 50_000, 0.02, 5
+STEP = 1_000  # half passages scored at once: a worker holds their words' latent rows
 
 
 def hashes_of(raw: bytes) -> np.ndarray:
@@ -228,9 +229,8 @@ def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
     filled = half[cuts]
     stop = np.append(cuts[1:], len(half))
     done: set[tuple[int, int]] = set()
-    step = 20_000
-    for a in range(0, len(filled), step):  # halves in order; the next half joins from the next row
-        z = min(len(filled), a + step + 1)
+    for a in range(0, len(filled), STEP):  # halves in order; the next half joins from the next row
+        z = min(len(filled), a + STEP + 1)
         lo, hi = cuts[a], stop[z - 1]
         vectors = np.add.reduceat(space.rows[at[lo:hi]], cuts[a:z] - lo, axis=0)
         ids = filled[a:z]
@@ -238,7 +238,7 @@ def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
         joined = vectors.copy()
         joined[follows] += vectors[follows + 1]
         score = (joined @ space.latent.T) / np.sqrt(np.maximum(both[np.minimum(ids, len(both) - 1)], 1e-12))[:, None].astype(np.float32)
-        if z - a == step + 1:
+        if z - a == STEP + 1:
             score = score[:-1]
         r, c = np.nonzero(score >= NEAR)
         for h, item, cosine in zip(ids[r].tolist(), c.tolist(), score[r, c].tolist()):
@@ -258,7 +258,7 @@ def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
     return out
 
 
-CHUNK_BYTES = 4_000_000
+CHUNK_BYTES = 1_000_000
 
 
 def _chunks(raws: list[bytes]) -> Iterator[list[bytes]]:
