@@ -6,7 +6,9 @@ blocks by key) gives its latent space, of at most RANK dimensions. Documents str
 passages of 2 * HALF words; a passage's latent inner product with an item over both lengths (the
 passage's counts the words that the space knows: those of the benchmark in at most COMMON of all
 documents, and all words of an item with under LEAST_RARE such) is its cosine, and at NEAR or more the item is a
-candidate: no cap on their number. A candidate holds if the longest common subsequence of the item and
+candidate: no cap on their number. An item that keeps under KEPT of its energy in the space, or is longer
+than a passage, isn't searched there but through an exact index of its rarest words: what holds the item
+lacks at most n - need of its n words, so of n - need + t listed ones it has t. A candidate holds if the longest common subsequence of the item and
 the passage with an item's length on either side covers LEAST_COMMON of the item, and LEAST_ANSWER of its
 answer: what follows its last question mark, else its last sentence of ANSWER_WORDS or more words.
 
@@ -19,6 +21,7 @@ no rows; columns other than id and text pass through keep_clean() unchanged.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -33,6 +36,7 @@ from deltamp.llm.common import as_bytes, word_hashes_many
 HALF, RANK, NEAR = 24, 256, 0.3
 LEAST_COMMON, LEAST_ANSWER, ANSWER_WORDS, LEAST_WORDS = 0.65, 0.5, 4, 6
 MOST_FEATURES, MOST_ITEMS, COMMON, LEAST_RARE = 200_000, 50_000, 0.02, 5
+KEPT = 0.98  # share of an item's squared length; what is lost lowers a cosine by at most sqrt(1 - KEPT) times the passage's lost share
 STEP = 1_000  # half passages scored at once: a worker holds their words' latent rows
 
 
@@ -67,6 +71,39 @@ def common_length(item: np.ndarray, text: np.ndarray) -> int:
     return len(item) - row.bit_count()
 
 
+@dataclass
+class Index:
+    """The listed words of items: postings of words[i] stand at starts[i] to starts[i + 1]."""
+
+    words: np.ndarray
+    starts: np.ndarray
+    items: np.ndarray
+    times: np.ndarray  # how often the item has the word
+    least: np.ndarray  # by item number: listed words that whatever holds the item must have
+
+
+def least_words(n: int) -> int:
+    """How many of an item's n words a text must have to hold it."""
+    return math.ceil(LEAST_COMMON * n - 1e-9)
+
+
+def build_index(items: list[np.ndarray], numbers: np.ndarray, known: np.ndarray, df: np.ndarray) -> Index:
+    """The rarest words of the items of these numbers, as many as no text that holds the item can miss."""
+    words, owners, times, least = [], [], [], np.zeros(len(items), np.int64)
+    for k in numbers.tolist():
+        word, count = np.unique(items[k], return_counts=True)
+        need = least_words(len(items[k]))
+        least[k] = max(1, need // 3)
+        order = np.lexsort((word, df[_positions(known, word)]))
+        most = int(np.searchsorted(np.cumsum(count[order]), len(items[k]) - need + least[k])) + 1
+        words.append(word[order[:most]]), times.append(count[order[:most]]), owners.append(np.full(len(order[:most]), k))
+    none = np.zeros(0, np.int64)
+    flat = np.concatenate([none.astype(np.uint64), *words])
+    order = np.argsort(flat, kind="stable")
+    word, starts = np.unique(flat[order], return_index=True)
+    return Index(word, np.append(starts, len(flat)), np.concatenate([none, *owners])[order], np.concatenate([none, *times])[order], least)
+
+
 @dataclass
 class Space:
     """What the search broadcasts: known word hashes (sorted), their latent rows, squared weights and the items."""
@@ -77,7 +114,9 @@ class Space:
     ids: list
     items: list[np.ndarray]
     answers: list[int]
-    latent: np.ndarray
+    latent: np.ndarray  # of the items in near only
+    near: np.ndarray  # numbers of the items searched in the space
+    index: Index  # of all others
 
 
 def _positions(known: np.ndarray, hashes: np.ndarray) -> np.ndarray:
@@ -196,15 +235,100 @@ def fit(docs: DataFrame, benchmark: DataFrame, item_col: str = "item_id", item_t
         at = _positions(known, h)
         if rare[at].sum() < LEAST_RARE:
             rare[at] = True
+    every = known
     known, weight = known[rare], idf[rare] + 1e-6
     basis = randomised_svd(benchmark.select(F.col(item_text_col).cast("string")), known, weight) if len(known) else np.zeros((0, 0))
     scaled = (weight[:, None] * basis).astype(np.float32)
-    latent = []
+    latent, kept = [], []
     for h in items:
         at = _positions(known, h)
-        at = at[at >= 0]
-        latent.append(scaled[at].sum(axis=0) / max(1e-9, float(np.sqrt((weight[at] ** 2).sum()))))
-    return Space(known, scaled, (weight**2).astype(np.float32), [i for i, _ in rows], items, [answer_of(raw) for _, raw in rows], np.array(latent, np.float32).reshape(len(rows), scaled.shape[1]))
+        f, tf = np.unique(at[at >= 0], return_counts=True)
+        row = tf @ scaled[f]
+        latent.append(row / max(1e-9, float(np.sqrt((tf * weight[f] ** 2).sum()))))
+        kept.append(len(h) <= 2 * HALF and row @ row >= KEPT * float(((tf * weight[f]) ** 2).sum()))
+    near = np.flatnonzero(np.array(kept, bool))
+    index = build_index(items, np.flatnonzero(~np.array(kept, bool)), every, df)
+    latent = np.array(latent, np.float32).reshape(len(rows), scaled.shape[1])[near]
+    return Space(known, scaled, (weight**2).astype(np.float32), [i for i, _ in rows], items, [answer_of(raw) for _, raw in rows], latent, near, index)
+
+
+def _share(space: Space, item: int, region: np.ndarray) -> float | None:
+    """The share of the item that the region has in common, if the region holds the item."""
+    want = space.items[item]
+    if np.isin(want, region).sum() < LEAST_COMMON * len(want):
+        return None
+    share = common_length(want, region) / len(want)
+    tail = want[len(want) - space.answers[item] :]
+    return share if share >= LEAST_COMMON and (not len(tail) or common_length(tail, region) >= LEAST_ANSWER * len(tail)) else None
+
+
+def _cosine(space: Space, item: int, passage: np.ndarray) -> float:
+    """The score of the search without its truncation."""
+    mine, other = (p[p >= 0] for p in (_positions(space.known, space.items[item]), _positions(space.known, passage)))
+    f, tf = np.unique(mine, return_counts=True)
+    times = dict(zip(f.tolist(), tf.tolist()))
+    dot = sum(float(space.weight2[p]) * times.get(p, 0) for p in other.tolist())
+    return dot / max(1e-12, float(np.sqrt(space.weight2[mine].sum() * space.weight2[other].sum())))
+
+
+def indexed(flat: np.ndarray, begins: np.ndarray, space: Space, slice_size: int = 1 << 20) -> Iterator[tuple[int, int, float, float]]:
+    """(text, item, share, cosine) for the items of the index that texts hold; flat[begins[k] : begins[k + 1]] is text k.
+
+    The region about a passage spans two neighbouring cells of its own length, so an item is tried only
+    about cells that have enough of its listed words.
+    """
+    x = space.index
+    at = _positions(x.words, flat)
+    here = np.flatnonzero(at >= 0)
+    if not len(here):
+        return
+    at = at[here]
+    owner = np.searchsorted(begins, here, side="right") - 1
+    lengths = np.array([len(h) for h in space.items], np.int64)
+    wide = 2 * HALF + 2 * lengths
+    cells = int(np.diff(begins).max()) // int(wide.min()) + 2
+    posted = np.cumsum(x.starts[at + 1] - x.starts[at])
+    keys, sums = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    a = 0
+    while a < len(at):
+        z = max(a + 1, int(np.searchsorted(posted, (posted[a - 1] if a else 0) + slice_size, side="right")))
+        n = x.starts[at[a:z] + 1] - x.starts[at[a:z]]
+        row = np.repeat(np.arange(z - a), n)
+        post = x.starts[at[a:z]][row] + np.arange(len(row)) - (np.cumsum(n) - n)[row]
+        item = x.items[post]
+        cell = (here[a:z] - begins[owner[a:z]])[row] // wide[item]
+        key = np.concatenate([keys, (owner[a:z][row] * len(lengths) + item) * cells + cell])
+        keys, where = np.unique(key, return_inverse=True)
+        sums = np.bincount(where, weights=np.concatenate([sums, x.times[post]])).astype(np.int64)
+        a = z
+    tried = np.unique(np.concatenate([keys, keys[keys % cells > 0] - 1]))
+
+    def total(k: np.ndarray) -> np.ndarray:
+        i = np.minimum(np.searchsorted(keys, k), len(keys) - 1)
+        return np.where(keys[i] == k, sums[i], 0)
+
+    item = tried // cells % len(lengths)
+    enough = total(tried) + total(tried + 1) >= x.least[item]  # the last cell of a text is always empty
+    found = None
+    for key in tried[enough].tolist():
+        pair, cell = divmod(key, cells)
+        if pair == found:
+            continue
+        k, item = divmod(pair, len(lengths))
+        want, text = space.items[item], flat[begins[k] : begins[k + 1]]
+        n, span = len(want), int(wide[item])
+        low = cell * span + n if cell else 0
+        starts = np.arange(-(-low // HALF) * HALF, min(len(text), (cell + 1) * span + n), HALF)
+        base = max(0, int(low) - n)
+        run = np.concatenate([[0], np.cumsum(np.isin(text[base : (cell + 2) * span], want))])
+        left, right = np.maximum(0, starts - n), np.minimum(len(text), starts + 2 * HALF + n)
+        for b, lo, hi in zip(starts.tolist(), left.tolist(), right.tolist()):
+            if run[hi - base] - run[lo - base] < least_words(n):
+                continue
+            if (share := _share(space, item, text[lo:hi])) is not None:
+                found = pair
+                yield k, item, share, _cosine(space, item, text[b : b + 2 * HALF])
+                break
 
 
 def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
@@ -214,6 +338,10 @@ def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
         return out
     flat, sizes = word_hashes_many(raws, lower=True)
     begins = np.concatenate([[0], np.cumsum(sizes)])
+    for k, item, share, cosine in indexed(flat, begins, space):
+        out[k].append((space.ids[item], share, cosine))
+    if not len(space.near):
+        return out
     halves = -(-sizes // HALF)
     first = np.concatenate([[0], np.cumsum(halves + 1)])  # one empty half after each text
     at = _positions(space.known, flat)
@@ -241,18 +369,14 @@ def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
         if z - a == STEP + 1:
             score = score[:-1]
         r, c = np.nonzero(score >= NEAR)
-        for h, item, cosine in zip(ids[r].tolist(), c.tolist(), score[r, c].tolist()):
+        for h, item, cosine in zip(ids[r].tolist(), space.near[c].tolist(), score[r, c].tolist()):
             k = int(np.searchsorted(first, h, side="right")) - 1
             if (k, item) in done:
                 continue
             want = space.items[item]
             begin = (h - int(first[k])) * HALF
             region = flat[begins[k] + max(0, begin - len(want)) : min(begins[k + 1], begins[k] + begin + 2 * HALF + len(want))]
-            if np.isin(want, region).sum() < LEAST_COMMON * len(want):
-                continue
-            share = common_length(want, region) / len(want)
-            tail = want[len(want) - space.answers[item] :]
-            if share >= LEAST_COMMON and (not len(tail) or common_length(tail, region) >= LEAST_ANSWER * len(tail)):
+            if (share := _share(space, item, region)) is not None:
                 done.add((k, item))
                 out[k].append((space.ids[item], share, cosine))
     return out

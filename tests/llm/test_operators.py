@@ -220,6 +220,19 @@ def test_leaks(spark):
     assert leaks.matches(docs(spark, rows), bench.where("false")).count() == 0
 
 
+def test_leaks_of_many_and_of_long_items(spark):
+    r = random.Random(7)
+    vocabulary = [words(1, 1000 + k) for k in range(3000)]
+    items = [(k, " ".join(r.choice(vocabulary) for _ in range(38)) + ".") for k in range(1200)]
+    items.append((1200, words(900, 60)))
+    noise = lambda n: " ".join(r.choice(vocabulary) for _ in range(n))
+    rows = [(k, f"{noise(r.randint(0, 90))} {t} {noise(r.randint(0, 90))}") for k, t in items]
+    half = " ".join("zz" if i % 4 == 3 else w for i, w in enumerate(items[5][1].split()))
+    rows += [(2000, noise(2000) + " " + half + " " + noise(500)), (2001, noise(3000)), (2002, None)]
+    got = {(m["doc_id"], m["item_id"]) for m in leaks.matches(docs(spark, rows), spark.createDataFrame(items, "item_id long, text string")).collect()}
+    assert got == {(k, k) for k in range(1201)} | {(2000, 5)}
+
+
 @pytest.mark.parametrize("n,text", [(3, b"Is it so? Yes it is"), (4, b"First part here now. Two words. And more"), (0, b"")])
 def test_answers(n, text):
     assert leaks.answer_of(text) == n
