@@ -201,18 +201,36 @@ def layer_parallelism(p: int, growth: int, layers: int, cap: int) -> list[tuple[
     return [(i + 1, min(p * growth**i, cap), p * growth**i > cap) for i in range(layers)]
 
 
-def lockstep_rounds(edges: DataFrame, most: int = 200) -> DataFrame:
-    """(seq, round): an edge goes when it is the first left at both its endpoints."""
-    left = settle(edges.select("seq", "src", "dst"))
-    out = None
-    for k in range(most):
-        ends = left.select(F.col("src").alias("v"), "seq").union(left.select("dst", "seq"))
-        first = ends.groupBy("v").agg(F.min("seq").alias("low"))
-        a, b = first.select(F.col("v").alias("src"), F.col("low").alias("l1")), first.select(F.col("v").alias("dst"), F.col("low").alias("l2"))
-        go = left.join(a, "src").join(b, "dst").where("seq = l1 AND seq = l2").select("seq", "src", "dst", F.lit(k).alias("round"))
-        go = settle(go)
-        out = go if out is None else out.union(go)
-        left = settle(left.join(go.select("seq"), "seq", "left_anti"))
-        if left.isEmpty():
-            break
-    return out
+def lockstep_rounds(edges: DataFrame, chunk: int = 1 << 20) -> DataFrame:
+    """(seq, round): an edge goes when it is the first left at both its endpoints; seq is unique.
+
+    That is one round after the later of the edges before it at either endpoint. Edges are read in seq order,
+    a chunk at a time, with the next free round of each endpoint joined in, so every edge gets its round
+    however many there are.
+    """
+    from deltamp.operators.window import global_rank
+
+    ranked = settle(global_rank(edges.select("seq", "src", "dst"), "seq"))
+    total = ranked.count()
+    state = edges.sparkSession.createDataFrame([], "v long, free long")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("seq")
+        free: dict = {}
+        out = []
+        for r in pdf.itertuples(index=False):
+            k = max(free.get(r.src, r.fa), free.get(r.dst, r.fb))
+            free[r.src] = free[r.dst] = k + 1
+            out.append(k)
+        return pd.DataFrame({"seq": pdf["seq"], "src": pdf["src"], "dst": pdf["dst"], "round": out})
+
+    done = None
+    for at in range(0, max(1, total), chunk):
+        part = ranked.where((F.col("rank") >= at) & (F.col("rank") < at + chunk))
+        a, b = state.select(F.col("v").alias("src"), F.col("free").alias("fa")), state.select(F.col("v").alias("dst"), F.col("free").alias("fb"))
+        met = part.join(a, "src", "left").join(b, "dst", "left").select("seq", "src", "dst", F.coalesce("fa", F.lit(0)).alias("fa"), F.coalesce("fb", F.lit(0)).alias("fb"), F.lit(0).alias("worker"))
+        placed = settle(met.groupBy("worker").applyInPandas(run, "seq long, src long, dst long, round int"))
+        ends = placed.select(F.col("src").alias("v"), (F.col("round") + 1).cast("long").alias("free")).union(placed.select("dst", (F.col("round") + 1).cast("long")))
+        state = settle(state.union(ends).groupBy("v").agg(F.max("free").alias("free")))
+        done = placed if done is None else done.union(placed)
+    return done.select("seq", "src", "dst", "round")

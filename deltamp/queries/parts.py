@@ -55,7 +55,7 @@ def part_vertex_greedy(spark, sf):
 
 @pair("part_conflict_free_rounds")
 def part_conflict_free_rounds(spark, sf):
-    return part.lockstep_rounds(graph(spark, sf, "reply").select("seq", "src", "dst"))
+    return part.lockstep_rounds(_hop(spark, sf))
 
 
 portable("part_first_round", "SELECT e.seq FROM hop e JOIN (SELECT v, min(seq) AS low FROM (SELECT src AS v, seq FROM hop UNION ALL SELECT dst, seq FROM hop) GROUP BY v) a ON a.v = e.src JOIN (SELECT v, min(seq) AS low FROM (SELECT src AS v, seq FROM hop UNION ALL SELECT dst, seq FROM hop) GROUP BY v) b ON b.v = e.dst WHERE e.seq = a.low AND e.seq = b.low", ("hop",))

@@ -114,3 +114,18 @@ def test_no_cartesian_product_and_pruned_scans(spark):
     plan = QUERIES["src_parquet_pruned"](spark, f"{DATA}/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(event_type), EqualTo(event_type,click)" in plan and "props" not in plan
     assert "CartesianProduct" not in QUERIES["inf_sage2"](spark, f"{DATA}/sf0.001")._jdf.queryExecution().executedPlan().toString()
+
+
+def test_lockstep_rounds_reach_every_edge(spark):
+    rng = random.Random(8)
+    rows = [(k, 0, k + 1) for k in range(260)] + [(1000 + k, 5000 + k, 5001 + k) for k in range(230)]
+    rows += [(2000 + k, rng.randrange(40), rng.randrange(40)) for k in range(200)]
+    got = {r["seq"]: r["round"] for r in partition.lockstep_rounds(spark.createDataFrame(rows, "seq long, src long, dst long"), chunk=150).collect()}
+    left, want, k = sorted(rows), {}, 0
+    while left:
+        low = {}
+        for q, a, b in left:
+            low.setdefault(a, q), low.setdefault(b, q)
+        want |= {q: k for q, a, b in left if low[a] == low[b] == q}
+        left, k = [e for e in left if e[0] not in want], k + 1
+    assert got == want and max(want.values()) > 259
