@@ -98,6 +98,49 @@ def cascade(vertices: DataFrame, batches: list[tuple[DataFrame, DataFrame]], lay
     return states, changes
 
 
+WEIGHT = "decimal(30,18)"  # sums of it are exact in any order, so a retracted weight leaves nothing behind
+
+
+def attention_messages(edges: DataFrame, values: DataFrame, sign: int) -> DataFrame:
+    """Delta rows (dst, num, den, n) of edges whose two ends have a value (v, x*), under one head's scores of both ends."""
+    a, b = (values.select("v", *[(F.col(x) / 1024.0).alias(x) for x in X]).alias(k) for k in "ab")
+    j = edges.join(a, F.expr("src = a.v")).join(b, F.expr("dst = b.v"))
+    w = j.select("dst", F.exp(F.expr("0.5 * a.x0 - 0.25 * b.x1")).alias("w"), F.col("a.x0").alias("m"))
+    return w.select("dst", *[(sign * c).cast(WEIGHT).alias(n) for c, n in ((F.col("w") * F.col("m"), "num"), (F.col("w"), "den"))], F.lit(sign).cast("long").alias("n"))
+
+
+def delta_attention(state: DataFrame, inputs: DataFrame, old_inputs: DataFrame, changed: DataFrame, edges_kept: DataFrame, added: DataFrame, deleted: DataFrame) -> DataFrame:
+    """The state (dst, num, den, n) after one batch, arguments as in delta_layer().
+
+    A score reads the destination too, so a kept edge is sent again when either of its ends changed.
+    """
+    moved = edges_kept.join(changed.withColumnRenamed("v", "src"), "src", "left_semi").select("eid")
+    moved = moved.union(edges_kept.join(changed.withColumnRenamed("v", "dst"), "dst", "left_semi").select("eid")).distinct()
+    again = edges_kept.join(moved, "eid", "left_semi")
+    rows = state
+    for edges, values, sign in ((again, old_inputs, -1), (again, inputs, 1), (deleted, old_inputs, -1), (added, inputs, 1)):
+        rows = rows.unionByName(attention_messages(edges, values, sign))
+    summed = rows.groupBy("dst").agg(*[F.sum(c).cast(WEIGHT).alias(c) for c in ("num", "den")], F.sum("n").alias("n"))
+    return settle(summed.where("n > 0"))
+
+
+def attention_cascade(batches: list[tuple[DataFrame, DataFrame, DataFrame]]) -> DataFrame:
+    """The state after batches of (values after it, added, deleted edges), from an empty graph."""
+    values, live = batches[0][0].where("false"), batches[0][1].select("eid", "src", "dst").where("false")
+    state = attention_messages(live, values, 1)
+    for after, added, deleted in batches:
+        added, deleted = added.select("eid", "src", "dst"), deleted.select("eid", "src", "dst")
+        both = added.join(deleted.select("eid"), "eid", "left_semi").select("eid")  # in one batch they cancel
+        added, deleted = added.join(both, "eid", "left_anti"), deleted.join(both, "eid", "left_anti")
+        kept = live.join(deleted.select("eid"), "eid", "left_anti")
+        after = settle(after.select("v", *X))
+        old, new = values.select("v", *X), after
+        changed = settle(new.exceptAll(old).select("v").union(old.exceptAll(new).select("v")).distinct())
+        state = delta_attention(state, new, old, changed, kept, added, deleted)
+        values, live = after, settle(kept.unionByName(added))
+    return state
+
+
 def influenced(edges: DataFrame, start_at: DataFrame, hops: int) -> DataFrame:
     """Vertices (v) that an edge into start_at (v) reaches within so many layers."""
     seen = start_at.select("v").distinct()

@@ -210,7 +210,16 @@ def _gat(spark, sf):
 
 
 pair("inf_gat1")(_gat)
-pair("delta_gat_state")(_gat)
+
+
+@pair("delta_gat_state")
+def delta_gat_state(spark, sf):
+    """The same by deltas: edges come in three batches, and a third of the vertices has other features until the last."""
+    v, e = hop_and_features(spark, sf)
+    early = v.select("v", *[F.when(F.col("v") % 3 == 0, F.col(x) + 512 * (k + 1)).otherwise(F.col(x)).alias(x) for k, x in enumerate(agg.X)])
+    added = batches_of(e, 3)
+    state = infer.attention_cascade([(v if k == 2 else early, *b) for k, b in enumerate(added)])
+    return state.select(F.col("dst").alias("v"), (F.col("num").cast("double") / F.col("den").cast("double")).alias("y"))
 
 
 @pair("inf_memory_decay")

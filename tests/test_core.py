@@ -129,3 +129,30 @@ def test_lockstep_rounds_reach_every_edge(spark):
         want |= {q: k for q, a, b in left if low[a] == low[b] == q}
         left, k = [e for e in left if e[0] not in want], k + 1
     assert got == want and max(want.values()) > 259
+
+
+def test_attention_deltas_follow_changed_destinations(spark):
+    rng = random.Random(6)
+    frame = lambda rows: spark.createDataFrame(rows, "eid string, src long, dst long")
+    values = lambda rows: spark.createDataFrame([(k, *x) for k, x in rows.items()], "v long, x0 long, x1 long, x2 long, x3 long")
+    before = {v: [rng.randint(-2000, 2000) for _ in range(4)] for v in range(6)}
+    after = {**before, 0: [5, 900, 1, 1], 1: [before[1][0], -1500, 0, 0], 6: [700, 300, 0, 0]}  # 1 changes as a destination only
+    first = [(str(i), rng.randrange(7), rng.randrange(6)) for i in range(20)] + [("s", 1, 1), ("m1", 2, 1), ("m2", 2, 1)]
+    gone, more = [*first[2:6], ("m2", 2, 1)], [("n1", 6, 0), ("n2", 3, 6), ("x", 3, 4)]
+    state = infer.attention_cascade([(values(before), frame(first), frame([])), (values(after), frame(more), frame([*gone, ("x", 3, 4)]))])
+    live = [(a, b) for e, a, b in first + more if (e, a, b) not in gone and e != "x"]
+    want = {}
+    for a, b in live:
+        w = np.exp((0.5 * after[a][0] - 0.25 * after[b][1]) / 1024)
+        num, den = want.get(b, (0, 0))
+        want[b] = (num + w * after[a][0] / 1024, den + w)
+    got = {r["dst"]: (float(r["num"]), float(r["den"])) for r in state.collect()}
+    assert got.keys() == want.keys() and all(np.allclose(got[k], want[k], rtol=1e-9) for k in want)
+
+
+def test_gat_state_by_deltas_equals_full_inference(spark):
+    from tests.harness import DATA
+
+    assert QUERIES["delta_gat_state"] is not QUERIES["inf_gat1"]
+    got, want = ({r["v"]: r["y"] for r in QUERIES[n](spark, f"{DATA}/sf0.001").collect()} for n in ("delta_gat_state", "inf_gat1"))
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
