@@ -1,8 +1,7 @@
 """Quality rules: fixed text measures and a hashed n-gram likelihood ratio, in DataFrame expressions only.
 
 Words and word pairs are hashed into FEATURES buckets. One pass counts the buckets over all documents
-(the raw corpus) and over the trusted ones (labelled good, at most TRUSTED labelled rows, those with the
-smallest id hashes). A document's score is the mean over its words and pairs of
+(the raw corpus) and over the trusted ones (all that are labelled good). A document's score is the mean over its words and pairs of
 log(p_trusted / p_raw) in thousandths, both counts on the trusted corpus' scale with PRIOR added; at or above LEAST_SCORE it is kept, with no chance involved.
 The weights are one array of FEATURES integers, whatever the corpus' size.
 
@@ -21,7 +20,6 @@ from pyspark.sql import functions as F
 from deltamp.llm.common import WORD_CLASS
 
 FEATURES = 1 << 15
-TRUSTED = 20_000
 PRIOR = 20
 LEAST_SCORE = -100.0
 _BREAKS = r"[\x20\x09-\x0D]+"
@@ -43,12 +41,12 @@ def features(hashes: str) -> Column:
     return F.transform(F.concat(h, pairs), lambda x: F.shiftrightunsigned(x, 49).cast("int"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", trusted: int = TRUSTED) -> list[int]:
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> list[int]:
     """The weights, in thousandths of a nat, by bucket."""
     good = labels.where((F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0)).select(F.col(id_col).alias("good_id")).distinct()
-    good = good.orderBy(F.xxhash64("good_id"), "good_id").limit(trusted)  # at most `trusted` ids: bounded, so broadcast
-    hashed = docs.select(F.col(id_col).alias("id"), word_hashes(F.col(text_col)).alias("h"))
-    marked = hashed.join(F.broadcast(good), hashed["id"] == good["good_id"], "left")
+    texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    joined = texts.join(good, texts["id"] == good["good_id"], "left")  # no broadcast hint: the ids grow with the corpus
+    marked = joined.select("good_id", word_hashes(F.col("text")).alias("h"))
     counted = marked.select(F.col("good_id").isNotNull().cast("int").alias("t"), F.explode_outer(features("h")).alias("f")).where("f is not null")
     rows = counted.groupBy("f").agg(F.count("*").alias("raw"), F.sum("t").alias("good")).collect()  # at most FEATURES rows
     raw, target = [0] * FEATURES, [0] * FEATURES

@@ -260,3 +260,8 @@ def test_pipeline_stages(spark, tmp_path):
     spark.createDataFrame([(1, 1, 0), (4, 1, 0), (5, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
     spark.createDataFrame([(0, words(30, 54))], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
     assert sorted(r["doc_id"] for r in corpus_pipeline.run(spark, str(tmp_path)).collect()) == [1, 4]
+
+
+def test_all_labelled_good_rows_are_trusted(spark):
+    frame = spark.range(21_000).selectExpr("id AS doc_id", "concat('w', id, ' x', id) AS text")
+    assert not any(quality.fit(frame, frame.selectExpr("doc_id", "1 AS quality", "0 AS toxic")))
