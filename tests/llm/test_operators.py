@@ -8,7 +8,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 
-from deltamp.llm import chat, leaks, licenses, passages, pieces, pii, quality, revisits, simhash, urls
+from deltamp.llm import chat, copies, leaks, licenses, passages, pieces, pii, quality, revisits, simhash, urls
 from deltamp.llm.common import run_hashes, word_hashes_many
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -265,3 +265,47 @@ def test_pipeline_stages(spark, tmp_path):
 def test_all_labelled_good_rows_are_trusted(spark):
     frame = spark.range(21_000).selectExpr("id AS doc_id", "concat('w', id, ' x', id) AS text")
     assert not any(quality.fit(frame, frame.selectExpr("doc_id", "1 AS quality", "0 AS toxic")))
+
+
+def edited(text, n, mark):
+    w = text.split()
+    for k in range(n):
+        w[10 + k * 30] = f"{mark}{k}"
+    return " ".join(w)
+
+
+def stage(spark, rows):
+    import corpus_pipeline
+
+    frame = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    return sorted(((r["doc_id"], r["text"]) for r in corpus_pipeline.keep_one_of_group(spark, frame, "").collect()), key=repr)
+
+
+def test_stage_drops_near_copies_by_five_word_shingles(spark):
+    base, other = words(200, 70), words(200, 71)
+    rows = [(1, base), (2, edited(base, 4, "q")), (3, edited(base, 6, "r")), (4, other), (5, other.upper())]
+    texts = dict(rows)
+    sets = copies.shingle_sets([t.encode() for t in texts.values()])
+    assert copies.similarity(sets[0], sets[1]) >= 0.8 > copies.similarity(sets[0], sets[2])
+    assert stage(spark, rows) == sorted([(k, texts[k]) for k in (1, 3, 4)], key=repr)
+
+
+def test_stage_groups_equal_all_pairs(spark):
+    r = random.Random(3)
+    rows = []
+    for k in range(5):
+        text = words(200, 80 + k)
+        for m in range(12):
+            rows.append((len(rows), text))
+            w = text.split()
+            for _ in range(2):
+                w[r.randrange(200)] = words(1, r.randrange(10**6))
+            text = " ".join(w)
+    sets = copies.shingle_sets([t.encode() for _, t in rows])
+    root = list(range(len(rows)))
+    for _ in rows:
+        for a in range(len(rows)):
+            for b in range(a):
+                if copies.similarity(sets[a], sets[b]) >= 0.8:
+                    root[a] = root[b] = min(root[a], root[b])
+    assert [i for i, _ in stage(spark, rows)] == sorted({root[k] for k in range(len(rows))}, key=lambda i: repr((i, rows[i][1])))
