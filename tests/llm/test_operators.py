@@ -309,3 +309,10 @@ def test_stage_groups_equal_all_pairs(spark):
                 if copies.similarity(sets[a], sets[b]) >= 0.8:
                     root[a] = root[b] = min(root[a], root[b])
     assert [i for i, _ in stage(spark, rows)] == sorted({root[k] for k in range(len(rows))}, key=lambda i: repr((i, rows[i][1])))
+
+
+def test_stage_keeps_a_row_of_every_group(spark):
+    a, b, c, d = (words(60, 90 + k) for k in range(4))
+    rows = [(None, a), (None, b), (None, b), (7, c), (7, d), (8, d), (None, d), (9, None), (None, "")]
+    want = [(None, a), (None, b), (7, c), (7, d), (9, None)]
+    assert stage(spark, rows) == sorted(want, key=repr) == stage(spark, rows[::-1])
