@@ -23,15 +23,27 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def settle(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared checkpoint folder, so lost executors cost no recomputation.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir, else the context's checkpoint folder.
 
-    The folder is the session's spark.checkpoint.dir; only where that is unset (tests on one
-    machine) a temporary folder takes its place.
+    Where neither is set, a session on one machine gets a temporary folder; on a cluster that is an error,
+    as executors couldn't read what the driver's machine holds.
     """
+    sc = spark.sparkContext
+    named = sc.getConf().get("spark.checkpoint.dir", "") or sc.getCheckpointDir()
+    if named:
+        return named
+    if not sc.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    sc.setCheckpointDir(tempfile.mkdtemp(prefix="deltamp-"))
+    return sc.getCheckpointDir()
+
+
+def settle(df: DataFrame) -> DataFrame:
+    """Cut the lineage through the shared checkpoint folder, so lost executors cost no recomputation."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir", "") or tempfile.mkdtemp(prefix="deltamp-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)
 
 

@@ -12,10 +12,13 @@ lacks at most n - need of its n words, so of n - need + t listed ones it has t.
 the passage with an item's length on either side covers LEAST_COMMON of the item, and LEAST_ANSWER of its
 answer: what follows its last question mark, else its last sentence of ANSWER_WORDS or more words.
 
-Broadcast: the space, MOST_FEATURES rows at most (checked), and the items, MOST_ITEMS at most (checked).
+Broadcast: the space of the items of a passage's length or less, MOST_FEATURES rows at most, and the items,
+MOST_ITEMS and MOST_WORDS at most. A larger benchmark is cut by hash into parts that fit, and each part
+searches all documents; an item over the bounds is a part of its own.
 
-Defined results: null texts and texts that share nothing match nothing; an item of fewer than
-LEAST_WORDS words is no evidence and is left out; repeated rows repeat their matches; empty tables give
+Defined results: null texts and texts that share nothing match nothing; an item of fewer than LEAST_WORDS
+words is held only by a text with all its words in a row, and one of fewer than EVIDENCE words by none;
+repeated rows repeat their matches; empty tables give
 no rows; columns other than id and text pass through keep_clean() unchanged.
 """
 
@@ -31,11 +34,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from deltamp.llm.common import as_bytes, word_hashes_many
+from deltamp.llm.common import WORD_CLASS, as_bytes, lower_ascii, word_hashes_many
 
 HALF, RANK, NEAR = 24, 256, 0.3
-LEAST_COMMON, LEAST_ANSWER, ANSWER_WORDS, LEAST_WORDS = 0.65, 0.5, 4, 6
-MOST_FEATURES, MOST_ITEMS, COMMON, LEAST_RARE = 200_000, 50_000, 0.02, 5
+LEAST_COMMON, LEAST_ANSWER, ANSWER_WORDS, LEAST_WORDS, EVIDENCE = 0.65, 0.5, 4, 6, 3
+MOST_FEATURES, MOST_ITEMS, MOST_WORDS, COMMON, LEAST_RARE = 50_000, 50_000, 5_000_000, 0.02, 5
 KEPT = 0.98  # share of an item's squared length; what is lost lowers a cosine by at most sqrt(1 - KEPT) times the passage's lost share
 STEP = 1_000  # half passages scored at once: a worker holds their words' latent rows
 
@@ -84,7 +87,7 @@ class Index:
 
 def least_words(n: int) -> int:
     """How many of an item's n words a text must have to hold it."""
-    return math.ceil(LEAST_COMMON * n - 1e-9)
+    return n if n < LEAST_WORDS else math.ceil(LEAST_COMMON * n - 1e-9)
 
 
 def build_index(items: list[np.ndarray], numbers: np.ndarray, known: np.ndarray, df: np.ndarray) -> Index:
@@ -93,7 +96,7 @@ def build_index(items: list[np.ndarray], numbers: np.ndarray, known: np.ndarray,
     for k in numbers.tolist():
         word, count = np.unique(items[k], return_counts=True)
         need = least_words(len(items[k]))
-        least[k] = max(1, need // 3)
+        least[k] = need if need == len(items[k]) else max(1, need // 3)
         order = np.lexsort((word, df[_positions(known, word)]))
         most = int(np.searchsorted(np.cumsum(count[order]), len(items[k]) - need + least[k])) + 1
         words.append(word[order[:most]]), times.append(count[order[:most]]), owners.append(np.full(len(order[:most]), k))
@@ -155,25 +158,33 @@ def document_frequencies(docs: DataFrame, known: np.ndarray, text_col: str = "te
     return out, n
 
 
-def _summed_blocks(frame: DataFrame, make, rows: int, width: int, block: int = 4096) -> np.ndarray:
-    """Sum over partitions of make(item hash arrays), a (rows, width) matrix, by blocks of rows."""
+def _summed_rows(frame: DataFrame, make, rows: int, width: int, block: int = 1024) -> np.ndarray:
+    """Sum over all texts of make(item hash arrays): (row numbers, their values), into a (rows, width) matrix.
+
+    A task holds the blocks of rows that its own texts touch; blocks meet by number.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros((rows, width))
+        held: dict[int, np.ndarray] = {}
         for b in batches:
-            total += make([hashes_of(x) for x in as_bytes(b.column(0))])
-        for a in range(0, rows, block):
-            yield pa.RecordBatch.from_arrays([pa.array([a], pa.int64()), pa.array([total[a : a + block].tobytes()], pa.binary())], names=["at", "m"])
+            for at, values in make([hashes_of(x) for x in as_bytes(b.column(0))]):
+                for n in np.unique(at // block).tolist():
+                    mine = at // block == n
+                    np.add.at(held.setdefault(n, np.zeros((min(block, rows - n * block), width))), at[mine] - n * block, values[mine])
+        for n, m in held.items():
+            yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64()), pa.array([m.tobytes()], pa.binary())], names=["at", "m"])
 
     def add(table):
-        m = sum(np.frombuffer(x) for x in table.column("m").to_pylist())
+        m = np.frombuffer(table.column("m")[0].as_py()).copy()
+        for x in table.column("m").to_pylist()[1:]:
+            m += np.frombuffer(x)
         return pa.table({"at": table.column("at")[:1], "m": pa.array([m.tobytes()], pa.binary())})
 
     summed = frame.mapInArrow(run, "at long, m binary").groupBy("at").applyInArrow(add, "at long, m binary")
     out = np.zeros((rows, width))
-    for r in summed.collect():  # rows * width numbers, bounded by MOST_FEATURES and RANK
+    for r in summed.toLocalIterator():  # rows * width numbers in all, bounded by MOST_FEATURES and RANK
         m = np.frombuffer(r["m"]).reshape(-1, width)
-        out[r["at"] : r["at"] + len(m)] = m
+        out[r["at"] * block : r["at"] * block + len(m)] = m
     return out
 
 
@@ -182,70 +193,81 @@ def randomised_svd(frame: DataFrame, known: np.ndarray, weight: np.ndarray, rank
     k = max(1, min(rank + extra, len(known)))
     shared = frame.sparkSession.sparkContext.broadcast((known, weight))
 
-    def matrix(items: list[np.ndarray], into: np.ndarray) -> tuple[np.ndarray, list]:
+    def terms(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         known, weight = shared.value
-        rows, used = [], []
-        for h in items:
-            at = _positions(known, h)
-            f, tf = np.unique(at[at >= 0], return_counts=True)
-            used.append((f, tf * weight[f]))
-            rows.append((tf * weight[f]) @ into[f])
-        return np.array(rows).reshape(len(items), into.shape[1]), used
+        at = _positions(known, h)
+        f, tf = np.unique(at[at >= 0], return_counts=True)
+        return f, tf * weight[f]
 
     def back(into: np.ndarray):
         held = frame.sparkSession.sparkContext.broadcast(into)
 
-        def make(items: list[np.ndarray]) -> np.ndarray:
-            y, used = matrix(items, held.value)
-            out = np.zeros_like(held.value)
-            for row, (f, v) in zip(y, used):
-                out[f] += v[:, None] * row[None, :]
-            return out
+        def make(items: list[np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+            for h in items:
+                f, v = terms(h)
+                yield f, v[:, None] * (v @ held.value[f])[None, :]
 
         return make
 
     q = np.random.default_rng(seed).standard_normal((len(known), k))
     for _ in range(2):
-        q, _ = np.linalg.qr(_summed_blocks(frame, back(q), len(known), k))
+        q, _ = np.linalg.qr(_summed_rows(frame, back(q), len(known), k))
     held = frame.sparkSession.sparkContext.broadcast(q)
 
-    def gram(items: list[np.ndarray]) -> np.ndarray:
-        y, _ = matrix(items, held.value)
-        return y.T @ y if len(items) else np.zeros((k, k))
+    def gram(items: list[np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        y = [v @ held.value[f] for f, v in map(terms, items)]
+        if y:
+            yield np.arange(k), np.array(y).T @ np.array(y)
 
-    values, vectors = np.linalg.eigh(_summed_blocks(frame, gram, q.shape[1], q.shape[1]))
+    values, vectors = np.linalg.eigh(_summed_rows(frame, gram, q.shape[1], q.shape[1]))
     keep = [i for i in np.argsort(values)[::-1][:rank] if values[i] > 1e-9 * max(values.max(), 1e-300)]
     return q @ vectors[:, keep]
 
 
-def fit(docs: DataFrame, benchmark: DataFrame, item_col: str = "item_id", item_text_col: str = "text", text_col: str = "text") -> Space:
-    rows = benchmark.select(F.col(item_col).alias("i"), F.col(item_text_col).cast("string").alias("t")).where("t is not null").limit(MOST_ITEMS + 1).collect()
-    if len(rows) > MOST_ITEMS:
-        raise ValueError("the benchmark is over MOST_ITEMS; run it in parts")
-    rows = [(r["i"], r["t"].encode()) for r in rows]
-    rows = [(i, raw) for i, raw in rows if len(raw.split()) >= LEAST_WORDS]
+def benchmark_parts(benchmark: DataFrame, item_col: str = "item_id", item_text_col: str = "text") -> list[DataFrame]:
+    """The benchmark in as few parts of a power of two as fit the bounds: columns i and t."""
+    rows = benchmark.select(F.col(item_col).alias("i"), F.col(item_text_col).cast("string").alias("t")).where("t is not null")
+    words = F.regexp_extract_all(lower_ascii(F.col("t")), F.lit(WORD_CLASS), F.lit(0))
+    sized = rows.withColumn("w", words).withColumn("n", F.size("w")).withColumn("h", F.xxhash64("i", "t"))
+    parts = 1
+    while True:
+        own = sized.withColumn("p", F.pmod("h", F.lit(parts)))
+        counts = own.groupBy("p").agg(F.count("*").alias("items"), F.sum("n").alias("words"))
+        kinds = own.where(F.col("n") <= 2 * HALF).select("p", F.explode("w").alias("x")).distinct().groupBy("p").agg(F.count("*").alias("kinds"))
+        over = (F.col("items") > MOST_ITEMS) | (F.col("words") > MOST_WORDS) | (F.coalesce("kinds", F.lit(0)) > MOST_FEATURES)
+        if not counts.join(kinds, "p", "left").where(over & (F.col("items") > 1)).head(1) or parts >= 1 << 16:
+            return [rows.where(F.pmod(F.xxhash64("i", "t"), F.lit(parts)) == p) for p in range(parts)]
+        parts *= 2
+
+
+def fit(docs: DataFrame, part: DataFrame, text_col: str = "text") -> Space:
+    """What the search for a part of the benchmark (columns i, t) needs; document frequencies are those of docs."""
+    rows = [(r["i"], r["t"].encode()) for r in part.collect()]  # bounded by benchmark_parts()
+    rows = [(i, raw) for i, raw in rows if len(raw.split()) >= EVIDENCE]
     items = [hashes_of(raw) for _, raw in rows]
+    fits = [LEAST_WORDS <= len(h) <= 2 * HALF for h in items]
     known = np.unique(np.concatenate([np.zeros(0, np.uint64), *items]))
-    if len(known) > MOST_FEATURES:
-        raise ValueError("the benchmark has over MOST_FEATURES words; run it in parts")
     df, n = document_frequencies(docs, known, text_col)
     idf = np.log((n + 1) / (df + 1))
     rare = df <= COMMON * n
-    for h in items:  # an item of common words only is searched by them all
+    ours = np.zeros(len(known), bool)
+    for h, short in zip(items, fits):
         at = _positions(known, h)
-        if rare[at].sum() < LEAST_RARE:
+        if short and rare[at].sum() < LEAST_RARE:  # an item of common words only is searched by them all
             rare[at] = True
+        ours[at] |= short
     every = known
-    known, weight = known[rare], idf[rare] + 1e-6
-    basis = randomised_svd(benchmark.select(F.col(item_text_col).cast("string")), known, weight) if len(known) else np.zeros((0, 0))
+    known, weight = known[rare & ours], idf[rare & ours] + 1e-6
+    texts = part.where(F.size(F.regexp_extract_all("t", F.lit(WORD_CLASS), F.lit(0))).between(LEAST_WORDS, 2 * HALF)).select("t")
+    basis = randomised_svd(texts.repartition(max(1, len(rows) // 500)), known, weight) if len(known) else np.zeros((0, 0))
     scaled = (weight[:, None] * basis).astype(np.float32)
     latent, kept = [], []
-    for h in items:
+    for h, short in zip(items, fits):
         at = _positions(known, h)
         f, tf = np.unique(at[at >= 0], return_counts=True)
         row = tf @ scaled[f]
         latent.append(row / max(1e-9, float(np.sqrt((tf * weight[f] ** 2).sum()))))
-        kept.append(len(h) <= 2 * HALF and row @ row >= KEPT * float(((tf * weight[f]) ** 2).sum()))
+        kept.append(short and row @ row >= KEPT * float(((tf * weight[f]) ** 2).sum()))
     near = np.flatnonzero(np.array(kept, bool))
     index = build_index(items, np.flatnonzero(~np.array(kept, bool)), every, df)
     latent = np.array(latent, np.float32).reshape(len(rows), scaled.shape[1])[near]
@@ -257,6 +279,8 @@ def _share(space: Space, item: int, region: np.ndarray) -> float | None:
     want = space.items[item]
     if np.isin(want, region).sum() < LEAST_COMMON * len(want):
         return None
+    if len(want) < LEAST_WORDS:
+        return 1.0 if len(region) >= len(want) and (np.lib.stride_tricks.sliding_window_view(region, len(want)) == want).all(axis=1).any() else None
     share = common_length(want, region) / len(want)
     tail = want[len(want) - space.answers[item] :]
     return share if share >= LEAST_COMMON and (not len(tail) or common_length(tail, region) >= LEAST_ANSWER * len(tail)) else None
@@ -334,7 +358,7 @@ def indexed(flat: np.ndarray, begins: np.ndarray, space: Space, slice_size: int
 def search(raws: list[bytes], space: Space) -> list[list[tuple]]:
     """Per text: (item, share of the item in common, cosine) for each item that it holds."""
     out: list[list[tuple]] = [[] for _ in raws]
-    if not len(space.known):
+    if not space.items:
         return out
     flat, sizes = word_hashes_many(raws, lower=True)
     begins = np.concatenate([[0], np.cumsum(sizes)])
@@ -399,28 +423,41 @@ def _chunks(raws: list[bytes]) -> Iterator[list[bytes]]:
 
 def matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id") -> DataFrame:
     """One row per document row and item it holds: id, item, common (share of the item's words), cosine."""
-    shared = docs.sparkSession.sparkContext.broadcast(fit(docs, benchmark, item_col, text_col=text_col))
     schema = T.StructType([T.StructField(id_col, docs.schema[id_col].dataType), T.StructField(item_col, benchmark.schema[item_col].dataType), T.StructField("common", T.DoubleType()), T.StructField("cosine", T.DoubleType())])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            found = [m for c in _chunks(as_bytes(b.column(1))) for m in search(c, shared.value)]
-            at = [k for k, m in enumerate(found) for _ in m]
-            flat = [x for m in found for x in m]
-            if flat:
-                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), pa.array([x[0] for x in flat]), pa.array([x[1] for x in flat]), pa.array([float(x[2]) for x in flat])], names=schema.names)
-
-    return docs.select(id_col, F.col(text_col).cast("string")).mapInArrow(run, schema)
+    def found_with(shared):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                found = [m for c in _chunks(as_bytes(b.column(1))) for m in search(c, shared.value)]
+                at = [k for k, m in enumerate(found) for _ in m]
+                flat = [x for m in found for x in m]
+                if flat:
+                    yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(at)), pa.array([x[0] for x in flat]), pa.array([x[1] for x in flat]), pa.array([float(x[2]) for x in flat])], names=schema.names)
+
+        return run
+
+    narrow = docs.select(id_col, F.col(text_col).cast("string"))
+    out = None
+    for part in benchmark_parts(benchmark, item_col):
+        shared = docs.sparkSession.sparkContext.broadcast(fit(docs, part, text_col))
+        rows = narrow.mapInArrow(found_with(shared), schema)
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text") -> DataFrame:
     """The rows that hold no item, with all their columns."""
-    shared = docs.sparkSession.sparkContext.broadcast(fit(docs, benchmark, text_col=text_col))
     at = docs.columns.index(text_col)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            found = [m for c in _chunks(as_bytes(b.column(at))) for m in search(c, shared.value)]
-            yield b.filter(pa.array([not m for m in found], pa.bool_()))
+    def clean_of(shared):
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                found = [m for c in _chunks(as_bytes(b.column(at))) for m in search(c, shared.value)]
+                yield b.filter(pa.array([not m for m in found], pa.bool_()))
+
+        return run
 
-    return docs.mapInArrow(run, docs.schema)
+    out = docs
+    for part in benchmark_parts(benchmark):
+        out = out.mapInArrow(clean_of(docs.sparkSession.sparkContext.broadcast(fit(docs, part, text_col))), docs.schema)
+    return out

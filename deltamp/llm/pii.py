@@ -1,15 +1,19 @@
 """Personal data by fixed patterns and a character-level bidirectional LSTM with CRF transitions.
 
 The tagger is trained in numpy from labelled spans that a seeded generator writes; training depends on
-nothing but the parameters in this file. Texts are cut into overlapping windows on a fixed grid, each
-position's emission is the mean over its windows, weighted towards a window's middle, and one
-Viterbi pass decodes each stretch of joined windows as a whole.
-
-Every kind needs an at sign or digits, and the decoder admits no entity in a window without either: such
-windows decode to nothing by constraint, so their emissions aren't computed. This loses no span.
-
-The tagger's spans are added if they hold up against the kind's own definition (trimmed to it) and touch
-no base span or earlier span of any kind; base spans stay as they are.
+nothing but the parameters in this file. Whole texts are cut into overlapping windows on a fixed grid, and
+each position's emission is the mean over its windows, weighted towards a window's middle. Viterbi decodes
+across windows, in every stretch where an entity could pay: characters add at most their best entity score
+over the outside tag's, and an entity's sum must make up for the transitions into and out of it; where no
+run of characters does that, the best path is outside throughout and needs no decoding.
+A text over PIECE characters is tagged piece by piece, and a stretch over BLOCK decoded block by block,
+each with OVERLAP characters more, which is longer than any entity; a span belongs to the piece and the
+block that it begins in. So memory doesn't grow with a text.
+
+The tagger finds what the patterns lose: a card beside other digits, an address with its dots in brackets,
+an e-mail with its signs spelt out, a telephone number without a plus. A span is added if its text, with
+such signs put back, is of its kind by the kind's own definition (settled()), and shares no character with a
+base span or an earlier added one; base spans stay as they are. A failed base match is no base span.
 
 Defined results: null text is empty; offsets are code points, ends exclusive; repeated rows repeat their
 results; an empty table gives no rows; other columns pass through redact() unchanged.
@@ -17,6 +21,7 @@ results; an empty table gives no rows; other columns pass through redact() uncha
 
 from __future__ import annotations
 
+import bisect
 import functools
 import random
 import re
@@ -31,8 +36,9 @@ from pyspark.sql import types as T
 from deltamp.llm.common import as_texts
 
 KINDS = ("email", "ip", "card", "phone")
-WIDTH, STEP, HIDDEN, EMBED = 96, 48, 16, 12
-STEPS, BATCH, SEED, RATE, TRAIN_WIDTH = 220, 48, 7, 0.025, 64
+WIDTH, STEP, HIDDEN, EMBED = 128, 112, 8, 10
+STEPS, BATCH, SEED, RATE, TRAIN_WIDTH = 420, 48, 7, 0.03, 64
+PAD, PIECE, BLOCK, OVERLAP = 8, 500_000, 384, 128
 TAGS = 1 + 2 * len(KINDS)
 
 # The contract's patterns. The e-mail pattern is run from its at signs, to stay linear.
@@ -103,7 +109,8 @@ def codes(text: str) -> np.ndarray:
 
 def labelled_text(rng: random.Random) -> tuple[str, list[tuple[str, int, int]]]:
     """One written training text with its spans: words, distracting numbers and entities."""
-    word = lambda: "".join(rng.choice("aeiourstnlhdcmbéçß") for _ in range(rng.randint(2, 9)))
+    low = lambda: "".join(rng.choice("aaeeeiioourstnnlhdcmbfgpvwyzkjxq" + "éçßäöüñóè" * (rng.random() < 0.3)) for _ in range(rng.randint(1, 10)))
+    word = lambda: low() if rng.random() < 0.8 else rng.choice((low().capitalize(), low().upper(), low()[:3] + "-" + low()))
     num = lambda n: "".join(rng.choice("0123456789") for _ in range(n))
 
     def card() -> str:
@@ -114,28 +121,31 @@ def labelled_text(rng: random.Random) -> tuple[str, list[tuple[str, int, int]]]:
 
     def entity(kind: str) -> str:
         if kind == "email":
-            return f"{rng.choice((word(), num(2), word() + '.' + word()))}@{rng.choice(('mail', 'post', 'x'))}{rng.choice(('', num(1)))}.{rng.choice(('example.com', 'net', 'org', 'example.org'))}"
+            at, dot = rng.choice((("@", "."), ("@", "."), ("@", "."), (" [at] ", " [dot] "), ("(at)", "."), (" (at) ", " (dot) "), ("[at]", "[dot]")))
+            host = f"{rng.choice(('mail', 'post', 'x', low()))}{rng.choice(('', num(1)))}.{rng.choice(('example.com', 'net', 'org', 'example.org'))}"
+            return rng.choice((low(), num(2), low() + "." + low())).replace(".", dot if dot == "." else ".") + at + host.replace(".", dot)
         if kind == "ip":
-            return ".".join(str(rng.randint(0, 255)) for _ in range(4))
+            return rng.choice((".", ".", ".", "[.]", "(.)")).join(str(rng.randint(0, 255)) for _ in range(4))
         if kind == "card":
             return card()
-        return rng.choice((f"+{rng.randint(1, 99)} ({num(3)}) {num(3)}-{num(4)}", f"+{num(2)} {num(3)} {num(3)} {num(3)}", f"+{num(11)}"))
+        return rng.choice((f"+{rng.randint(1, 99)} ({num(3)}) {num(3)}-{num(4)}", f"+{num(2)} {num(3)} {num(3)} {num(3)}", f"+{num(11)}", f"({num(3)}) {num(3)}-{num(4)}", f"00{num(2)} {num(3)} {num(3)} {num(3)}", f"{num(3)}-{num(3)}-{num(4)}"))
 
     text, spans = "", []
-    for _ in range(rng.randint(6, 14)):
+    for _ in range(rng.randint(8, 18)):
         kind = rng.random()
-        if kind < 0.3:
+        if kind < 0.22:
             name = rng.choice(KINDS)
             lead = rng.choice(("", "", "", num(rng.randint(1, 3)) + " ")) if name in ("card", "ip") else ""
-            shown = entity(name)
             text += lead
-            spans.append((name, len(text), len(text) + len(shown)))
-            text += shown
-        elif kind < 0.4:
-            text += rng.choice((num(rng.randint(1, 6)), f"{num(1)}.{num(2)}", f"{num(4)}-{num(2)}-{num(2)}", f"{num(3)}.{num(3)}", f"v{num(1)}.{num(1)}.{num(1)}", 'token = "' + "".join(rng.choice("0123456789abcdef") for _ in range(20)) + '"', f"@{word()}", f"{word()} @ {word()}"))
+            for more in range(rng.choice((1, 1, 1, 2)) if name == "card" else 1):  # cards side by side
+                shown = (" " if more else "") + entity(name)
+                spans.append((name, len(text) + (more > 0), len(text) + len(shown)))
+                text += shown
+        elif kind < 0.34:
+            text += rng.choice(("(" + word() + ")", "[" + word() + "]", word() + ".", "at", "dot", num(rng.randint(1, 6)), f"{num(1)}.{num(2)}", f"{num(4)}-{num(2)}-{num(2)}", f"{num(3)}.{num(3)}", f"v{num(1)}.{num(1)}.{num(1)}", 'token = "' + "".join(rng.choice("0123456789abcdef") for _ in range(20)) + '"', f"@{word()}", f"{word()} @ {word()}"))
         else:
             text += word()
-        text += rng.choice((" ", " ", " ", ", ", ". ", "\n", "### ", "&&& "))
+        text += rng.choice((" ", " ", " ", " ", ", ", ". ", "\n", "### ", "&&& ", "!! ", " | ", "*** ", "%%% ", ": ", "? ", "; "))
     return text, spans
 
 
@@ -158,7 +168,8 @@ def _allowed() -> np.ndarray:
 
 
 def _squash(x: np.ndarray) -> np.ndarray:
-    return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
+    with np.errstate(over="ignore"):
+        return 1 / (1 + np.exp(-x))
 
 
 class Tagger:
@@ -261,18 +272,24 @@ class Tagger:
         return loss
 
     def viterbi(self, e: np.ndarray) -> np.ndarray:
-        """Best tags of (batch, time, tag) emissions."""
-        trans = self.p["A"] + _allowed()
+        """Best tags of (batch, time, tag) emissions. Outside and begin tags follow any tag, an inside tag two only."""
+        trans = (self.p["A"] + _allowed()).astype(e.dtype)
         n, steps, _ = e.shape
-        best, back = e[:, 0] + np.where(np.arange(TAGS) % 2 == 0, np.where(np.arange(TAGS) > 0, -1e4, 0), 0), np.zeros((steps, n, TAGS), np.int8)
+        free, own, begin = [0, *range(1, TAGS, 2)], list(range(2, TAGS, 2)), list(range(1, TAGS, 2))
+        into = trans[:, free, None]
+        stay, enter = trans[own, own, None], trans[begin, own, None]
+        best = np.empty((steps, TAGS, n), e.dtype)
+        best[0] = e[:, 0].T
+        best[0, own] -= 1e4
         for t in range(1, steps):
-            x = best[:, :, None] + trans[None]
-            back[t] = x.argmax(axis=1)
-            best = x.max(axis=1) + e[:, t]
+            last, now = best[t - 1], best[t]
+            now[free] = (last[:, None] + into).max(axis=0)
+            now[own] = np.maximum(last[own] + stay, last[begin] + enter)
+            now += e[:, t].T
         tags = np.zeros((n, steps), np.int64)
-        tags[:, -1] = best.argmax(axis=1)
+        tags[:, -1] = best[-1].argmax(axis=0)
         for t in range(steps - 1, 0, -1):
-            tags[:, t - 1] = back[t, np.arange(n), tags[:, t]]
+            tags[:, t - 1] = (best[t - 1] + trans[:, tags[:, t]]).argmax(axis=0)
         return tags
 
 
@@ -281,98 +298,190 @@ def trained() -> Tagger:
     """The tagger after training; the same weights in every process."""
     t = Tagger()
     t.train()
+    t.kind = np.float32  # half the time of doubles; training has them
     return t
 
 
-def _stretches(text: str) -> list[tuple[int, int]]:
-    """Runs [a, z) of grid windows that hold an at sign or a digit, joined where they overlap."""
-    out: list[list[int]] = []
-    last = -1
-    for m in _TRIGGER.finditer(text):
-        block = m.start() // STEP
-        if block == last:
-            continue
-        last = block
-        a, z = max(0, block - 1) * STEP, min(len(text), (block + 2) * STEP)
-        if out and out[-1][1] >= a:
-            out[-1][1] = z
-        else:
-            out.append([a, z])
-    return [(a, z) for a, z in out]
-
-
-_EDGE = np.minimum(np.arange(1, WIDTH + 1), np.arange(WIDTH, 0, -1)).astype(float)
-
-
-def model_spans(texts: list[str], tagger: Tagger, at_once: int = 2048) -> list[list[tuple[str, int, int]]]:
-    """The tagger's spans per text, decoded over whole stretches."""
-    stretches = [(k, a, z) for k, t in enumerate(texts) for a, z in _stretches(t)]
+_EDGE = np.minimum(np.arange(1, WIDTH + 1), np.arange(WIDTH, 0, -1)).astype(np.float32)
+
+
+def _blocks(length: int, most: int) -> list[tuple[int, int, int]]:
+    """(begin, end of the core, end with overlap) of the pieces of a run."""
+    return [(a, min(length, a + most), min(length, a + most + OVERLAP)) for a in range(0, length, most)]
+
+
+def _emissions(flat: np.ndarray, starts: list[int], lengths: list[int], tagger: Tagger, at_once: int) -> np.ndarray:
+    """Mean emissions of every character of texts that lie in flat, WIDTH blanks after each."""
+    first, second = [], []
+    for s, n in zip(starts, lengths):
+        grid = np.arange(s, s + max(1, n - (WIDTH - STEP)), STEP)
+        first.append(grid[::2]), second.append(grid[1::2])
+    total, weight = np.zeros((len(flat), TAGS), np.float32), np.zeros(len(flat), np.float32)
+    half = sum(map(len, first))
+    at = np.concatenate([np.zeros(0, np.int64), *first, *second])
+    for i in range(0, len(at), at_once):
+        where = at[i : i + at_once, None] + np.arange(WIDTH)
+        e = tagger.emissions(flat[where])
+        e *= _EDGE[:, None]
+        cut = min(len(where), max(0, half - i))
+        for part in (slice(0, cut), slice(cut, len(where))):  # windows of one half don't overlap
+            total[where[part]] += e[part]
+            weight[where[part]] += _EDGE
+    return total / np.maximum(weight, 1e-9)[:, None]
+
+
+def _tagged(e: np.ndarray, tagger: Tagger) -> Iterator[tuple[int, int, int]]:
+    """(begin, end, entity tag) of the decoded spans of one run of emissions."""
+    found = [np.zeros((0, 2), np.int64)]
+    trans = tagger.p["A"]
+    # Leaving an entity for another one at once costs a transition of its own; the least of both exits is taken.
+    out_of = np.maximum(trans[:, 0], trans[:, 1::2].max(axis=1) - trans[0, 1::2].min() + trans[0, 0])
+    for b in range(1, TAGS, 2):
+        stay = max(float(trans[b, b + 1]), float(trans[b + 1, b + 1])) - trans[0, 0]
+        toll = trans[0, 0] - float(trans[0, b]) - float(max(out_of[b], out_of[b + 1])) + stay
+        run = np.cumsum(np.maximum(e[:, b], e[:, b + 1]) - e[:, 0] + stay, dtype=np.float64)
+        least = np.minimum(np.minimum.accumulate(run), 0)
+        near = np.flatnonzero(run - least > max(0.0, toll))  # the greatest sum of a run that ends here
+        if len(near):
+            fresh = np.append(True, least[near][1:] < least[near][:-1])  # a new excursion above the least sum so far
+            first, last = near[fresh], near[np.append(np.flatnonzero(fresh)[1:] - 1, len(near) - 1)]
+            rise = np.searchsorted(-least, -least[first], side="left")  # where that least sum was reached
+            found.append(np.stack([np.minimum(rise, first), last], axis=1))
+    regions = np.concatenate(found)
+    if not len(regions):
+        return
+    regions = regions[np.argsort(regions[:, 0], kind="stable")]
+    lows, highs = np.maximum(0, regions[:, 0] - PAD), np.maximum.accumulate(np.minimum(len(e), regions[:, 1] + PAD + 1))
+    joins = np.flatnonzero(lows[1:] > highs[:-1])
+    lows, highs = lows[np.append(0, joins + 1)], highs[np.append(joins, len(highs) - 1)]
+    rows = [(lo + a, lo + core, lo + z) for lo, hi in zip(lows.tolist(), highs.tolist()) for a, core, z in _blocks(hi - lo, BLOCK)]
+    rows.sort(key=lambda r: r[2] - r[0])
+    k = 0
+    while k < len(rows):
+        longest = rows[k][2] - rows[k][0]
+        m = k + 1
+        while m < len(rows) and rows[m][2] - rows[m][0] <= 1.5 * longest + 16 and (m - k) * (rows[m][2] - rows[m][0]) < 200_000:
+            m += 1
+        group = rows[k:m]
+        size = max(z - a for a, _, z in group)
+        block = np.zeros((len(group), size, TAGS), np.float32)
+        block[:, :, 1:] = -50.0
+        for r, (a, _, z) in enumerate(group):
+            block[r, : z - a] = e[a:z]
+        for (a, core, z), y in zip(group, tagger.viterbi(block)):
+            for i in np.flatnonzero(y[: core - a] % 2 == 1).tolist():
+                j = i + 1
+                while j < z - a and y[j] == y[i] + 1:
+                    j += 1
+                yield a + i, a + j, int(y[i])
+        k = m
+
+
+def model_spans(texts: list[str], tagger: Tagger, at_once: int = 1024) -> list[list[tuple[str, int, int]]]:
+    """The tagger's spans per text, by start."""
     out: list[list[tuple[str, int, int]]] = [[] for _ in texts]
-    stretches.sort(key=lambda s: s[2] - s[1])
-    group: list[tuple[int, int, int]] = []
-    for s in [*stretches, None]:
-        if group and (s is None or (s[2] - s[1]) * (len(group) + 1) > at_once * WIDTH or s[2] - s[1] > 2 * (group[0][2] - group[0][1])):
-            _decode(texts, group, tagger, at_once, out)
-            group = []
-        if s:
-            group.append(s)
+    pieces = [(k, a, core, z) for k, t in enumerate(texts) for a, core, z in _blocks(len(t), PIECE)]
+    k = 0
+    while k < len(pieces):
+        m, size = k, 0
+        while m < len(pieces) and (m == k or size + pieces[m][3] - pieces[m][1] <= PIECE):
+            size += pieces[m][3] - pieces[m][1]
+            m += 1
+        lengths = [z - a for _, a, _, z in pieces[k:m]]
+        starts = np.concatenate([[0], np.cumsum(np.array(lengths) + WIDTH)]).tolist()
+        flat = np.full(starts[-1], 32, np.int64)
+        for s, (t, a, _, z) in zip(starts, pieces[k:m]):
+            flat[s : s + z - a] = codes(texts[t][a:z])
+        e = _emissions(flat, starts[:-1], lengths, tagger, at_once)
+        order = np.array(starts)
+        for i, j, tag in _tagged(e, tagger):
+            r = int(np.searchsorted(order, i, side="right")) - 1
+            t, a, core, z = pieces[k + r]
+            i, j = i - starts[r] + a, min(j - starts[r] + a, z)
+            if i < core and i < j:
+                out[t].append((KINDS[(tag - 1) // 2], i, j))
+        k = m
+    for spans in out:
+        spans.sort(key=lambda x: (x[1], x[2]))
     return out
 
 
-def _decode(texts: list[str], group: list[tuple[int, int, int]], tagger: Tagger, at_once: int, out: list) -> None:
-    longest = max(z - a for _, a, z in group)
-    steps = max(1, -(-(longest - WIDTH) // STEP) + 1)
-    size = (steps - 1) * STEP + WIDTH
-    x = np.full((len(group), size), 32, np.int64)
-    for r, (k, a, z) in enumerate(group):
-        x[r, : z - a] = codes(texts[k][a:z])
-    windows = np.lib.stride_tricks.sliding_window_view(x, WIDTH, axis=1)[:, ::STEP].reshape(-1, WIDTH)
-    e = np.concatenate([tagger.emissions(windows[i : i + at_once]) for i in range(0, len(windows), at_once)]).reshape(len(group), steps, WIDTH, TAGS)
-    total, weight = np.zeros((len(group), size, TAGS)), np.zeros(size)
-    for s in range(steps):
-        total[:, s * STEP : s * STEP + WIDTH] += e[:, s] * _EDGE[None, :, None]
-        weight[s * STEP : s * STEP + WIDTH] += _EDGE
-    tags = tagger.viterbi(total / weight[None, :, None])
-    for r, (k, a, z) in enumerate(group):
-        y = tags[r, : z - a]
-        for i in np.flatnonzero(y % 2 == 1).tolist():
-            j = i + 1
-            while j < len(y) and y[j] == y[i] + 1:
-                j += 1
-            out[k].append((KINDS[(int(y[i]) - 1) // 2], a + i, a + j))
-
-
-def _trim(kind: str, text: str, a: int, z: int) -> tuple[int, int] | None:
-    """The span without signs that can't begin or end its kind, if it then holds."""
-    ends = {"email": _LOCAL, "ip": "0123456789", "card": "0123456789", "phone": "+0123456789"}[kind]
+_AT, _DOT = re.compile(r"\s?[\[(]\s?(?:at|AT|@)\s?[\])]\s?"), re.compile(r"\s?[\[(]\s?(?:dot|DOT|[.])\s?[\])]\s?")
+_GROUPS = re.compile(r"[0-9]+")
+_PLAIN_PHONE = re.compile(r"(?:\([0-9]{2,4}\)[\x20.-]?|00[0-9]{1,3}[\x20.-]|[0-9]{3}[\x20.-])[0-9]{2,4}(?:[\x20.-][0-9]{2,4})+")
+
+
+def settled(kind: str, text: str, a: int, z: int) -> list[tuple[int, int]]:
+    """The parts of a tagged span that are of its kind: trimmed, spelt-out signs put back, cards cut from rows of digits."""
+    digit = lambda k: 0 <= k < len(text) and "0" <= text[k] <= "9"
+    if kind == "card":
+        groups = [(a + m.start(), a + m.end()) for m in _GROUPS.finditer(text[a:z])]
+        if groups:  # digits that the tagger cut off belong to the outer groups
+            lo, hi = groups[0][0], groups[-1][1]
+            while digit(lo - 1):
+                lo -= 1
+            while digit(hi):
+                hi += 1
+            groups[0], groups[-1] = (lo, groups[0][1]), (groups[-1][0], hi) if len(groups) > 1 else (lo, hi)
+        out, i = [], 0
+        while i < len(groups):
+            took = 0
+            for j in range(i, min(len(groups), i + 19)):
+                if j > i and (groups[j][0] - groups[j - 1][1] != 1 or text[groups[j - 1][1]] not in " -"):
+                    break
+                d = _digits(text[groups[i][0] : groups[j][1]])
+                if len(d) > 19:
+                    break
+                if len(d) >= 13 and luhn(d):
+                    took = j + 1
+            if took:
+                out.append((groups[i][0], groups[took - 1][1]))
+            i = took or i + 1
+        return out
+    ends = {"email": _LOCAL + "])", "ip": "0123456789", "phone": "+(0123456789"}[kind]
     while a < z and text[a] not in ends:
         a += 1
-    while a < z and text[z - 1] not in ends or (kind == "email" and a < z and text[z - 1] in "._%+"):
+    while a < z and (text[z - 1] not in ends or (kind == "email" and text[z - 1] in "._%+])")):
         z -= 1
-    whole = (a == 0 or text[a - 1] not in "0123456789") and (z == len(text) or text[z] not in "0123456789")
-    return (a, z) if a < z and whole and holds(kind, text[a:z]) else None
+    if a >= z or digit(a - 1) or digit(z):
+        return []
+    if kind == "phone":
+        n = len(_digits(text[a:z]))
+        return [(a, z)] if holds(kind, text[a:z]) or (9 <= n <= 15 and _PLAIN_PHONE.fullmatch(text, a, z)) else []
+    plain = _DOT.sub(".", _AT.sub("@", text[a:z]))
+    return [(a, z)] if holds(kind, plain) else []
 
 
 def find(texts: list[str], tagger: Tagger) -> list[tuple[list, list]]:
     """Per text: base spans, and all spans, both by kind and then start."""
     out = []
     for text, guessed in zip(texts, model_spans(texts, tagger)):
-        base = base_spans(text)
-        taken = sorted((a, z) for _, a, z in base)
-        added = []
-        for kind, a, z in sorted(guessed, key=lambda s: s[1]):
-            if (fit := _trim(kind, text, a, z)) and all(fit[1] <= b or fit[0] >= y for b, y in taken):
-                added.append((kind, *fit))
-                taken.append(fit)
-        out.append((base, sorted(base + added, key=lambda s: (KINDS.index(s[0]), s[1]))))
+        out.append(merged(text, base_spans(text), guessed))
     return out
 
 
+def merged(text: str, base: list[tuple[str, int, int]], guessed: list[tuple[str, int, int]]) -> tuple[list, list]:
+    """Base spans, and they with the tagger's that hold and share no character with them or each other."""
+    taken = sorted((a, z) for _, a, z in base)
+    heads, reach, top = [a for a, _ in taken], [], 0
+    for _, z in taken:
+        top = max(top, z)
+        reach.append(top)
+    added, free = [], 0
+    for kind, a, z in guessed:
+        for lo, hi in settled(kind, text, a, z):
+            k = bisect.bisect_left(heads, hi)  # base spans that begin before this one ends
+            if lo >= free and (k == 0 or reach[k - 1] <= lo):
+                added.append((kind, lo, hi))
+                free = hi
+    return base, sorted(base + added, key=lambda s: (KINDS.index(s[0]), s[1]))
+
+
 def shown(spans: list[tuple[str, int, int]]) -> str:
     return ",".join(f"{k}:{a}:{z}" for k, a, z in spans)
 
 
-CHUNK_CHARS = 4_000_000
+CHUNK_CHARS = 1_000_000
 
 
 def _chunks(texts: list[str]) -> Iterator[list[str]]:

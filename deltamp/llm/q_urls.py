@@ -15,7 +15,7 @@ def _sql() -> str:
     ranked = sorted(RULES, key=lambda r: -len(r[1] + r[2]))
     rule = "CASE " + " ".join(f"WHEN {fits(h, p)} THEN '{h}{p}'" for _, h, p in ranked) + " END"
     action = "CASE rule " + " ".join(f"WHEN '{h}{p}' THEN '{a}'" for a, h, p in ranked) + " END"
-    blocked = " OR ".join(f"regexp_matches(lower(coalesce(url, '')), '{p.regex}')" for p in PATTERNS)
+    blocked = " OR ".join(f"regexp_matches(lower(coalesce(url, '')), '{p}')" for p in PATTERNS)
     return rf"""
 WITH tail AS (SELECT page_id, url, CASE WHEN contains(url, '://') THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS t FROM pages),
      cut AS (SELECT page_id, url, lower(regexp_extract(t, '^[^/?#]*')) AS host, regexp_extract(t, '^[^/?#]*([^?#]*)', 1) AS path FROM tail),

@@ -1,25 +1,26 @@
 """Quality rules: fixed text measures and a hashed n-gram likelihood ratio, in DataFrame expressions only.
 
-Words and word pairs are hashed into FEATURES buckets. One pass counts the buckets over all documents
-(the raw corpus) and over the trusted ones (all that are labelled good). A document's score is the mean over its words and pairs of
-log(p_trusted / p_raw) in thousandths, both counts on the trusted corpus' scale with PRIOR added; at or above LEAST_SCORE it is kept, with no chance involved.
-The weights are one array of FEATURES integers, whatever the corpus' size.
+Words and word pairs are hashed into buckets, whose number grows with the text (one for every BUCKET_BYTES of it,
+between LEAST_BUCKETS and MOST_BUCKETS, a power of two). One pass counts the buckets over all documents (the raw
+corpus) and over the trusted ones (all that are labelled good). A document's score is the mean over its words and
+pairs of log(p_trusted / p_raw) in thousandths, both counts on the trusted corpus' scale with PRIOR added; at or
+above LEAST_SCORE it is kept, with no chance involved. The weights are one array of integers, a literal of
+MOST_BUCKETS entries at most, made by one aggregation and read by the driver as one row.
 
 Defined results: null text has no words and fails the base rule; a text without words scores 0;
 without trusted rows (or an empty table) all weights are 0; null ids and repeated rows are judged like
-any other row; columns of the input other than the two named pass through judge() unchanged.
+any other row; columns of the input other than the two named pass through judge() unchanged, the verdicts
+being named verdict_column(): _q, with more underscores in front where the input has such a column.
 """
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from deltamp.llm.common import WORD_CLASS
 
-FEATURES = 1 << 15
+LEAST_BUCKETS, MOST_BUCKETS, BUCKET_BYTES = 1 << 15, 1 << 20, 4096
 PRIOR = 20
 LEAST_SCORE = -100.0
 _BREAKS = r"[\x20\x09-\x0D]+"
@@ -34,34 +35,50 @@ def word_hashes(text: Column) -> Column:
     return F.transform(F.regexp_extract_all(F.coalesce(text.cast("string"), F.lit("")), F.lit(WORD_CLASS), F.lit(0)), lambda w: F.xxhash64(w))
 
 
-def features(hashes: str) -> Column:
+def verdict_column(docs: DataFrame) -> str:
+    """The name of the verdicts' struct: _q, or the first longer one that the input doesn't use."""
+    name = "_q"
+    while name in docs.columns or name == "_row":
+        name = "_" + name
+    return name
+
+
+def buckets_for(docs: DataFrame, text_col: str = "text") -> int:
+    size = docs.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))).first()[0] or 0
+    return min(MOST_BUCKETS, max(LEAST_BUCKETS, 1 << (size // BUCKET_BYTES).bit_length()))
+
+
+def features(hashes: str, buckets: int) -> Column:
     """Buckets of the words and of the pairs of neighbours."""
     h = F.col(hashes)
     pairs = _upto(F.size(h) - 1, lambda i: F.xxhash64(F.get(h, i), F.get(h, i + 1)))
-    return F.transform(F.concat(h, pairs), lambda x: F.shiftrightunsigned(x, 49).cast("int"))
+    return F.transform(F.concat(h, pairs), lambda x: F.shiftrightunsigned(x, 64 - (buckets.bit_length() - 1)).cast("int"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> list[int]:
+def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", buckets: int | None = None) -> list[int]:
     """The weights, in thousandths of a nat, by bucket."""
+    buckets = buckets or buckets_for(docs, text_col)
     good = labels.where((F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0)).select(F.col(id_col).alias("good_id")).distinct()
     texts = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     joined = texts.join(good, texts["id"] == good["good_id"], "left")  # no broadcast hint: the ids grow with the corpus
     marked = joined.select("good_id", word_hashes(F.col("text")).alias("h"))
-    counted = marked.select(F.col("good_id").isNotNull().cast("int").alias("t"), F.explode_outer(features("h")).alias("f")).where("f is not null")
-    rows = counted.groupBy("f").agg(F.count("*").alias("raw"), F.sum("t").alias("good")).collect()  # at most FEATURES rows
-    raw, target = [0] * FEATURES, [0] * FEATURES
-    for r in rows:
-        raw[r["f"]], target[r["f"]] = r["raw"], r["good"]
-    n_raw, n_target = sum(raw), sum(target)
-    if not n_target:
-        return [0] * FEATURES
+    counted = marked.select(F.col("good_id").isNotNull().cast("int").alias("t"), F.explode_outer(features("h", buckets)).alias("f")).where("f is not null")
+    rows = counted.groupBy("f").agg(F.count("*").alias("raw"), F.sum("t").alias("good"))
+    totals = F.struct(F.sum("raw").alias("n"), F.sum("good").alias("t"), F.collect_list(F.struct("f", "raw", "good")).alias("cells"))
     # Counts on the trusted corpus' scale, each with PRIOR more: a bucket of little evidence weighs little.
-    share = n_target / n_raw
-    return [round(1000 * (math.log(t + PRIOR) - math.log(r * share + PRIOR))) for t, r in zip(target, raw)]
+    share = F.col("s.t") / F.col("s.n")
+    weight = lambda c: F.round(1000 * (F.log(c["good"] + PRIOR) - F.log(c["raw"] * share + PRIOR))).cast("int")
+    told = F.transform("s.cells", lambda c: F.concat_ws(":", c["f"], weight(c)))
+    packed = rows.agg(totals.alias("s")).select(F.when(F.col("s.t") > 0, F.array_join(told, ","))).first()[0]  # one row
+    out = [0] * buckets
+    for cell in packed.split(",") if packed else []:
+        f, w = cell.split(":")
+        out[int(f)] = int(w)
+    return out
 
 
 def measure(docs: DataFrame, weights: list[int], text_col: str = "text") -> DataFrame:
-    """All columns of docs, and a struct column _q with the measures, the score and the verdicts."""
+    """All columns of docs, and a struct column verdict_column(docs) with the measures, the score and the verdicts."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
     table = F.split(F.lit(",".join(map(str, weights))), ",").cast("array<int>")  # folds to one literal array
     own = F.struct(*[F.col(c) for c in docs.columns]).alias("_row")
@@ -75,7 +92,7 @@ def measure(docs: DataFrame, weights: list[int], text_col: str = "text") -> Data
     b = a.select(
         "_row", "word_chars", "n_symbols", F.size("h").cast("long").alias("n_words"),
         (F.size("lines") - F.size(F.array_distinct("lines"))).cast("long").alias("n_dup_lines"),
-        features("h").alias("f"),
+        features("h", len(weights)).alias("f"),
         _upto(F.size(h) - 4, lambda i: F.xxhash64(*[F.get(h, i + k) for k in range(5)])).alias("w"),
     )
     w, s, p = F.col("w"), F.col("s"), F.col("p")
@@ -98,7 +115,7 @@ def measure(docs: DataFrame, weights: list[int], text_col: str = "text") -> Data
     verdict = ~F.col("base_failed") & (F.col("score") >= LEAST_SCORE)
     # Through a generator, or a filter on the verdict would be pushed down and each array with it, many times over.
     verdicts = F.array(F.struct(*names, "score", "base_failed", verdict.alias("kept")))
-    return judged.select("_row.*", F.explode_outer(verdicts).alias("_q"))
+    return judged.select("_row.*", F.explode_outer(verdicts).alias(verdict_column(docs)))
 
 
 def judge(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

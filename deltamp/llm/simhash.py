@@ -157,12 +157,12 @@ def _bucket_links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield done
 
 
-def links(distinct: DataFrame, rows: int) -> DataFrame:
+def links(distinct: DataFrame, rows: int, hot: int = HOT) -> DataFrame:
     """Links (a > b) that span the groups of distinct fingerprints (column fp), within RADIUS bits."""
     masks = block_masks(blocks_for(rows))
     keyed = distinct.select("fp", F.explode(F.array(*[F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for t, m in enumerate(masks)])).alias("k")).select("k.t", "k.key", "fp")
     sizes = keyed.groupBy("t", "key").agg(F.count("*").alias("n")).where("n > 1")
-    slots = F.when(F.col("n") <= HOT, F.lit(1)).otherwise(F.ceil(F.col("n") / (HOT // 2))).cast("int")
+    slots = F.when(F.col("n") <= hot, F.lit(1)).otherwise(F.ceil(F.col("n") / (hot // 2))).cast("int")
     mine = F.pmod(F.xxhash64("fp"), F.col("slots")).cast("int")
     met = keyed.join(sizes, ["t", "key"]).withColumn("slots", slots).withColumn("mine", mine)
     met = met.select("t", "key", "mine", "fp", F.explode(F.sequence(F.lit(0), F.col("slots") - 1)).alias("other"))
@@ -172,10 +172,11 @@ def links(distinct: DataFrame, rows: int) -> DataFrame:
     return dealt.mapInArrow(_bucket_links, "a long, b long").distinct()
 
 
-def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """The smallest node of each node's component, by alternating large and small stars.
 
-    edges (a > b). Each round is a few joins and minima over the edges, settled in the shared folder.
+    edges (a > b). Each round is a few joins and minima over the edges, settled in the shared folder; rounds go on
+    until one changes nothing, some log(nodes) of them.
     Nodes without an edge don't appear. Result: node, root.
     """
 
@@ -185,9 +186,7 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
 
     e = settle(edges.select("a", "b").where("a <> b").distinct())
     before = mark(e)
-    for _ in range(most_rounds):
-        if not before[0]:
-            break
+    while before[0]:
         both = e.union(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
         e = both.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()

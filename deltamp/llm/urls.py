@@ -1,9 +1,11 @@
 """URL filters: host and path rules first, then pattern rules found through their rarest literal token.
 
-Each pattern rule names the literal tokens that any matching URL must hold. A counting pass over the
-URLs (only tokens that rules name, so at most a few per rule) tells which of a rule's tokens is rarest,
-and the rule is filed under it. A URL's tokens then fetch candidate rules, and only those run their
-regular expression. A rule without tokens is a candidate for every URL.
+A pattern's alternatives are spread out into variants, and each variant's regular expression is read for
+the literal tokens that every match holds whole: runs of [a-z0-9] with something else proved on either
+side. A counting pass over the URLs (only such tokens, so at most a few per rule) tells which of a
+variant's tokens is rarest, and the rule is filed under it. A URL's tokens then fetch candidate rules, and
+only those run their regular expression. A rule with a variant that proves no token is refused, so the
+verdict never depends on what else is in the table.
 
 Defined results: a null URL, or one without ://, has empty host and path, no rule, and the method's
 verdict over the text there is; repeated rows repeat their verdicts; an empty table gives no rows.
@@ -13,7 +15,8 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
-from dataclasses import dataclass
+from re import _constants as C
+from re import _parser as regex_parser
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -26,24 +29,91 @@ _TOKEN = re.compile(r"[a-z0-9]+")
 _HOST = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
-@dataclass(frozen=True)
-class Pattern:
-    """A blocking regular expression over the ASCII-lower-cased URL, and tokens each match must hold."""
-
-    regex: str
-    tokens: tuple[str, ...]
+MOST_VARIANTS = 64
+_ALNUM = frozenset(map(ord, "abcdefghijklmnopqrstuvwxyz0123456789"))
+# What a step of a variant may be: one known character, one of unknown ones that are or aren't token
+# characters (or may be either), or an edge of the URL.
+_SEPARATOR, _INSIDE, _UNKNOWN = "separator", "inside", "unknown"
+
+
+def _charset(items: list) -> str:
+    """Whether the characters of a class are all separators, all token characters, or either."""
+    if items and items[0][0] is C.NEGATE:
+        return _UNKNOWN
+    points: set[int] = set()
+    for op, arg in items:
+        if op is C.LITERAL:
+            points.add(arg)
+        elif op is C.RANGE:
+            points.update(range(arg[0], arg[1] + 1))
+        else:
+            return _UNKNOWN
+    return _SEPARATOR if not points & _ALNUM else _INSIDE if points <= _ALNUM else _UNKNOWN
+
+
+def _variants(parsed) -> list[list]:
+    """The step lists of a parsed expression, one for each way through its alternatives."""
+    out: list[list] = [[]]
+    for op, arg in parsed:
+        if op is C.LITERAL:
+            steps = [[chr(arg)]]
+        elif op is C.IN:
+            steps = [[_charset(arg)]]
+        elif op is C.AT and arg in (C.AT_BEGINNING, C.AT_BEGINNING_STRING, C.AT_END, C.AT_END_STRING):
+            steps = [[_SEPARATOR]]
+        elif op is C.SUBPATTERN:
+            steps = _variants(arg[3])
+        elif op is C.BRANCH:
+            steps = [v for branch in arg[1] for v in _variants(branch)]
+        elif op in (C.MAX_REPEAT, C.MIN_REPEAT):
+            low, high, inner = arg
+            some = _variants(inner)
+            # Of a repetition only its first and last pass are known; what lies between is anything.
+            repeated = [[*a, _UNKNOWN, *b] for a in some for b in some] if high > 1 else []
+            steps = ([[]] if low == 0 else []) + some + repeated
+        else:
+            steps = [[_UNKNOWN]]
+        out = [a + b for a in out for b in steps]
+        if len(out) > MOST_VARIANTS:
+            raise ValueError("a pattern has over MOST_VARIANTS alternatives: write it as several")
+    return out
+
+
+def _kind(step: str) -> str:
+    return step if len(step) > 1 else _INSIDE if ord(step) in _ALNUM else _SEPARATOR
+
+
+def _whole_tokens(steps: list) -> frozenset[str]:
+    """The literal tokens that stand whole in every string these steps match."""
+    found, at = set(), 0
+    while at < len(steps):
+        end = at
+        while end < len(steps) and len(steps[end]) == 1 and ord(steps[end]) in _ALNUM:
+            end += 1
+        if end > at and at > 0 and end < len(steps) and _kind(steps[at - 1]) == _kind(steps[end]) == _SEPARATOR:
+            found.add("".join(steps[at:end]))
+        at = max(end, at + 1)
+    return frozenset(found)
+
+
+def proved_tokens(regex: str) -> list[frozenset[str]]:
+    """Token sets, one a variant: every match of the expression holds all tokens of one of them whole."""
+    sets = set(map(_whole_tokens, _variants(regex_parser.parse(regex))))
+    if frozenset() in sets:
+        raise ValueError(f"{regex}: no literal token is proved; bound one on both sides")
+    return sorted(sets, key=sorted)
 
 
 # The contract's host and path rules, and this package's own pattern rules.
 RULES = (("allow", "com", "/"), ("block", "example.com", "/en/"), ("allow", "www.example.com", "/en/"), ("block", "net", "/es/"), ("block", "net", "/fr/"))
 PATTERNS = (
-    Pattern(r"://([a-z0-9-]+[.])*spam-farm[.]", ("spam", "farm")),
-    Pattern(r"[?&]utm_source=spam", ("utm", "source", "spam")),
-    Pattern(r"/(casino|poker)(/|$)", ()),
-    Pattern(r"://ads?[.]", ()),
-    Pattern(r"/de/[0-9]+[.]html", ("de", "html")),
-    Pattern(r"[?&]page=2&ref=x", ("page", "2", "ref", "x")),
-    Pattern(r"/tag/[a-z0-9-]+/feed(/|$)", ("tag", "feed")),
+    r"://([a-z0-9-]+[.])*(spam-farm|casino-win|free-bets|cheap-pills|adult-x|ads-track)[.]",
+    r"[?&]utm_source=spam(&|#|$)",
+    r"/(casino|poker)(/|$)",
+    r"://ads?[.]",
+    r"/de/[0-9]+[.]html",
+    r"[?&]page=2&ref=x",
+    r"/tag/[a-z0-9-]+/feed(/|$)",
 )
 
 
@@ -63,28 +133,25 @@ def base_rule(host: str, path: str, rules=RULES) -> tuple[str, str] | None:
 
 
 class PatternIndex:
-    """Rules by their rarest token."""
+    """Rules by the rarest proved token of each of their variants."""
 
-    def __init__(self, patterns: tuple[Pattern, ...], counts: dict[str, int]):
-        self.always, self.by_token = [], {}
+    def __init__(self, patterns: tuple[str, ...], counts: dict[str, int]):
+        self.by_token: dict[str, list] = {}
         for p in patterns:
-            compiled = re.compile(p.regex)
-            if p.tokens:
-                rarest = min(p.tokens, key=lambda t: (counts.get(t, 0), -len(t), t))
-                self.by_token.setdefault(rarest, []).append(compiled)
-            else:
-                self.always.append(compiled)
+            compiled = re.compile(p)
+            for tokens in proved_tokens(p):
+                rarest = min(tokens, key=lambda t: (counts.get(t, 0), -len(t), t))
+                if compiled not in self.by_token.setdefault(rarest, []):
+                    self.by_token[rarest].append(compiled)
 
     def blocks(self, url: str) -> bool:
         low = url.translate(_HOST)
-        tokens = set(_TOKEN.findall(low))
-        candidates = [r for t in tokens & self.by_token.keys() for r in self.by_token[t]] + self.always
-        return any(r.search(low) for r in candidates)
+        return any(r.search(low) for t in self.by_token.keys() & set(_TOKEN.findall(low)) for r in self.by_token[t])
 
 
-def token_counts(urls: DataFrame, url_col: str, patterns: tuple[Pattern, ...]) -> dict[str, int]:
+def token_counts(urls: DataFrame, url_col: str, patterns: tuple[str, ...]) -> dict[str, int]:
     """In how many URLs each token that a rule names occurs: one row a token at most."""
-    named = sorted({t for p in patterns for t in p.tokens})
+    named = sorted({t for p in patterns for tokens in proved_tokens(p) for t in tokens})
     if not named:
         return {}
     upper = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
@@ -92,7 +159,7 @@ def token_counts(urls: DataFrame, url_col: str, patterns: tuple[Pattern, ...]) -
     return {r["t"]: r["n"] for r in urls.select(F.explode(held).alias("t")).groupBy("t").agg(F.count("*").alias("n")).collect()}
 
 
-def filter_urls(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules=RULES, patterns: tuple[Pattern, ...] = PATTERNS) -> DataFrame:
+def filter_urls(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules=RULES, patterns: tuple[str, ...] = PATTERNS) -> DataFrame:
     """Per row: id, host, path, rule (null if none fits) and verdict."""
     shared = pages.sparkSession.sparkContext.broadcast(PatternIndex(patterns, token_counts(pages, url_col, patterns)))
     schema = T.StructType([T.StructField(id_col, pages.schema[id_col].dataType), *(T.StructField(c, T.StringType()) for c in ("host", "path", "rule", "verdict"))])
