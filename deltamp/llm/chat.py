@@ -22,6 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
 PIECE_CHARS = 500_000
 # The template's control strings.
@@ -110,10 +111,11 @@ def format_conversations(rows: DataFrame, tokenizer_path: str, learn: str = "ass
 
     texts=True returns the pieces themselves instead: conv_id, piece, formatted, token ids and mask.
     """
-    narrow = rows.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
+    narrow = rows.select("conv_id", F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     dealt = narrow.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
-    digest_schema = "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, n_tokens long, n_loss_tokens long"
-    text_schema = "conv_id long, piece long, formatted string, ids array<int>, loss_mask array<boolean>"
+    kind = rows.schema["conv_id"].dataType
+    digest_schema = f"conv_id {kind.simpleString()}, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long, n_tokens long, n_loss_tokens long"
+    text_schema = f"conv_id {kind.simpleString()}, piece long, formatted string, ids array<int>, loss_mask array<boolean>"
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
         """(conversation, rendered piece, assistant spans, is it the last) in order."""
@@ -148,7 +150,7 @@ def format_conversations(rows: DataFrame, tokenizer_path: str, learn: str = "ass
 
     def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [x.split()[0] for x in digest_schema.split(", ")]
-        kinds = [pa.string() if x.endswith("string") else pa.int64() for x in digest_schema.split(", ")]
+        kinds = [to_arrow_type(kind), *(pa.string() if x.endswith("string") else pa.int64() for x in digest_schema.split(", ")[1:])]
         out, now = [], None
         for (key, rendered, spans, last), e in encoded(batches):
             now = now or _Digest(key)
@@ -166,7 +168,7 @@ def format_conversations(rows: DataFrame, tokenizer_path: str, learn: str = "ass
         piece = 0
         for (key, rendered, spans, last), e in encoded(batches):
             mask, _ = loss_mask(offsets_of(e), spans)
-            yield pa.RecordBatch.from_arrays([pa.array([key], pa.int64()), pa.array([piece], pa.int64()), pa.array([rendered]), pa.array([e.ids], pa.list_(pa.int32())), pa.array([mask.tolist()], pa.list_(pa.bool_()))], names=["conv_id", "piece", "formatted", "ids", "loss_mask"])
+            yield pa.RecordBatch.from_arrays([pa.array([key], to_arrow_type(kind)), pa.array([piece], pa.int64()), pa.array([rendered]), pa.array([e.ids], pa.list_(pa.int32())), pa.array([mask.tolist()], pa.list_(pa.bool_()))], names=["conv_id", "piece", "formatted", "ids", "loss_mask"])
             piece = 0 if last else piece + 1
 
     return dealt.mapInArrow(whole, text_schema) if texts else dealt.mapInArrow(digests, digest_schema)

@@ -142,8 +142,10 @@ def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id",
     id_type = docs.schema[id_col].dataType
     narrow = docs.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
     groups, buckets = size_units(docs, text_col, GROUP_BYTES, BUCKET_BYTES, least=64)
-    grouped = narrow.withColumn("g", F.pmod(F.xxhash64("id", "text"), F.lit(groups)).cast("int"))
-    dealt = grouped.repartition(max(16, groups // 8), "g")
+    # The partition's number goes in, so that rows which repeat all over the input don't meet in one group.
+    grouped = narrow.withColumn("g", F.pmod(F.xxhash64("id", "text", F.spark_partition_id()), F.lit(groups)).cast("int"))
+    parts = max(16, groups // 8)
+    dealt = grouped.repartition(parts, "g")
 
     def send(key, group):
         parts = _windows(as_bytes(group.column("text").combine_chunks()), window)
@@ -189,7 +191,7 @@ def repeated_runs(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id",
         return pa.table({"id": docs.column("id"), "n_words": pa.array(n, pa.int64()), "n_removed": pa.array(gone, pa.int64()), "kept": pa.array(kept, pa.binary())})
 
     sent = dealt.groupBy("g").applyInArrow(send, "bucket int, g int, hashes binary")
-    told = sent.groupBy("bucket").applyInArrow(answer, "g int, hashes binary")
+    told = sent.repartition(parts, "bucket").groupBy("bucket").applyInArrow(answer, "g int, hashes binary").repartition(parts, "g")
     schema = T.StructType([T.StructField("id", id_type), T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept", T.BinaryType())])
     out = dealt.groupBy("g").cogroup(told.groupBy("g")).applyInArrow(strike, schema)
     return out.withColumnRenamed("id", id_col)

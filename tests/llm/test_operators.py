@@ -316,3 +316,206 @@ def test_stage_keeps_a_row_of_every_group(spark):
     rows = [(None, a), (None, b), (None, b), (7, c), (7, d), (8, d), (None, d), (9, None), (None, "")]
     want = [(None, a), (None, b), (7, c), (7, d), (9, None)]
     assert stage(spark, rows) == sorted(want, key=repr) == stage(spark, rows[::-1])
+
+
+def test_rules_are_found_by_their_tokens_as_by_all_expressions():
+    """The verdict is the regular expressions' own, whatever token is rarest."""
+    r = random.Random(1)
+    bits = ["://", "ads", "ad", ".", "/", "casino", "poker", "de", "1", "22", "html", "htmlx", "?", "&", "utm_source=", "spam", "spammer", "page=2", "ref=x", "xyz", "-farm", "spam-farm", "adult-x", "blog", "tag", "feed", "#", "x", "A", "casino-win", "DE"]
+    named = [t for p in urls.PATTERNS for s in urls.proved_tokens(p) for t in s]
+    hits = 0
+    for k in range(20_000):
+        if k % 200 == 0:
+            index = urls.PatternIndex(urls.PATTERNS, {t: r.randrange(9) for t in named})
+        u = ("http://" if k % 2 else "") + "".join(r.choice(bits) for _ in range(r.randint(1, 9)))
+        want = any(re.search(p, u.lower()) for p in urls.PATTERNS)
+        hits += want
+        assert index.blocks(u) == want, u
+    assert hits > 100
+
+
+def test_rules_that_prove_no_token_are_refused():
+    assert urls.proved_tokens("/a(bb|cd)?/x(/|$)") == [frozenset({"a", "x"}), frozenset({"abb", "x"}), frozenset({"acd", "x"})]
+    for bad in ("spam", "/spam", "x=[0-9]+", "/(a|b*)/?"):
+        with pytest.raises(ValueError):
+            urls.proved_tokens(bad)
+
+
+def test_url_rows_repeat_and_may_be_long(spark):
+    rows = [(1, "http://x.org/" + "a/" * 50_000 + "casino/"), (1, "http://x.org/" + "a/" * 50_000 + "casino/"), (2, None)]
+    f = spark.createDataFrame([(*r, "v") for r in rows], "page_id long, url string, verdict string")
+    assert sorted((r["page_id"], r["verdict"]) for r in urls.filter_urls(f).collect()) == [(1, "block"), (1, "block"), (2, "allow")]
+    assert urls.filter_urls(f.where("false")).count() == 0
+
+
+def test_whole_licence_texts(spark):
+    """A 300-word template beside all others, held against containment by sets over all windows."""
+    long = words(300, 400)
+    texts = {**licenses.TEMPLATES, "Long": (long,)}
+    w = long.split()
+    mit = licenses.TEMPLATES["MIT"][2]
+    rows = [(1, words(120, 1) + " " + long + " " + words(80, 2)), (2, " ".join(w[:200])), (3, " ".join(w[:265])), (4, words(700, 3) + " " + mit.upper()), (5, words(900, 4)), (6, None)]
+    got = {(r["doc_id"], r["template"]) for r in licenses.scan(docs(spark, rows), texts=texts).collect()}
+    cut = lambda t: re.findall(r"[a-z0-9]+(?:[.-][a-z0-9]+)*", (t or "").lower())
+    shingles = lambda x: {tuple(x[i : i + 5]) for i in range(len(x) - 4)}
+    want = set()
+    for i, t in rows:
+        for name, notices in texts.items():
+            for k, n in enumerate(notices):
+                have, need = cut(t), shingles(cut(n))
+                width = licenses.width_of(len(cut(n)))
+                if any(len(shingles(have[a : a + width]) & need) >= 0.8 * len(need) for a in range(0, max(1, len(have)), width // 2)):
+                    want.add((i, f"{name}/{k}"))
+    assert got == want and {(1, "Long/0"), (3, "Long/0"), (4, "MIT/2")} <= got and (2, "Long/0") not in got
+    with pytest.raises(ValueError):
+        licenses.templates(spark, {"X": ("one two",)})
+
+
+def test_links_of_a_hot_bucket_lose_nothing(spark):
+    """Over 4000 fingerprints share most blocks; groups equal those of all pairs."""
+    r = np.random.default_rng(9)
+    base = np.uint64(0x0123456789ABCDEF)
+    low = r.choice(1 << 13, 4500, replace=False).astype(np.uint64)
+    fps = np.unique(base ^ (low * np.uint64(8)))
+    frame = spark.createDataFrame([(int(x),) for x in fps.view(np.int64)], "fp long")
+    got = {tuple(x) for x in simhash.links(frame, 4500, hot=500).collect()}
+    root = {int(x): int(x) for x in fps.view(np.int64)}
+
+    def find(x):
+        while root[x] != x:
+            root[x] = root[root[x]]
+            x = root[x]
+        return x
+
+    def groups(pairs):
+        root.update({k: k for k in root})
+        for a, b in pairs:
+            a, b = find(a), find(b)
+            root[max(a, b)] = min(a, b)
+        return {k: find(k) for k in root}
+
+    x, y = np.nonzero(np.triu(np.bitwise_count(fps[:, None] ^ fps[None, :]) <= 3, 1))
+    signed = fps.view(np.int64)
+    assert groups(got) == groups(zip(signed[x].tolist(), signed[y].tolist()))
+
+
+def test_benchmark_in_parts_and_short_items(spark, monkeypatch):
+    monkeypatch.setattr(leaks, "MOST_ITEMS", 3)
+    items = [(k, words(20 + k, 500 + k)) for k in range(10)] + [(50, "tiny little item"), (51, "two words"), (52, "four words in order")]
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    assert len(leaks.benchmark_parts(bench)) > 2
+    rows = [(k, words(60, k) + " " + t + " " + words(20, 90 + k)) for k, t in items] + [(60, "order in words four tiny item little"), (61, None)]
+    assert {(m["doc_id"], m["item_id"]) for m in leaks.matches(docs(spark, rows), bench).collect()} == {(k, k) for k, t in items if k != 51}
+    assert sorted(r["doc_id"] for r in leaks.keep_clean(docs(spark, rows), bench).collect()) == [51, 60, 61]
+
+
+def test_added_spans_against_brute_force_and_other_rules():
+    """merged() against a plain restatement; then planted forms that the patterns lose."""
+    r = random.Random(3)
+    for _ in range(400):
+        text = "".join(r.choice("12345 (+-.@[a]") for _ in range(60))
+        base = pii.base_spans(text)
+        guessed = sorted(((r.choice(pii.KINDS), a, a + r.randint(1, 30)) for a in (r.randrange(60) for _ in range(5))), key=lambda s: (s[1], s[2]))
+        guessed = [(k, a, min(60, z)) for k, a, z in guessed]
+        used, want = {i for _, a, z in base for i in range(a, z)}, list(base)
+        for k, a, z in guessed:
+            for lo, hi in pii.settled(k, text, a, z):
+                if not used & set(range(lo, hi)) and lo >= max([0, *(y for q in want[len(base) :] for y in [q[2]])]):
+                    want.append((k, lo, hi))
+                    used |= set(range(lo, hi))
+        assert pii.merged(text, base, guessed) == (base, sorted(want, key=lambda s: (pii.KINDS.index(s[0]), s[1])))
+    vocabulary = "the report was sent by our office to a new client last week and nobody answered order ticket room section".split()
+    num = lambda n: "".join(r.choice("0123456789") for _ in range(n))
+
+    def card():
+        body = "4" + num(14)
+        return body + next(c for c in "0123456789" if pii.luhn(body + c))
+
+    texts = []
+    for _ in range(150):
+        text, spans = "", []
+        for _ in range(20):
+            kind = r.choice(("card", "email", "phone", None, None, None, None, None))
+            if kind is None:
+                text += r.choice((*vocabulary, num(4), "v1.2.3", "(" + r.choice(vocabulary) + ")")) + " "
+                continue
+            if kind == "card":
+                text += num(2) + " "
+            shown = {"card": card, "email": lambda: f"{r.choice(vocabulary)} [at] {r.choice(vocabulary)} [dot] org", "phone": lambda: f"({num(3)}) {num(3)}-{num(4)}"}[kind]()
+            spans.append((kind, len(text), len(text) + len(shown)))
+            text += shown + " "
+        texts.append((text, spans))
+    found = pii.find([t for t, _ in texts], pii.trained())
+    added = sum(len(set(all_) - set(base)) for base, all_ in found)
+    right = sum(len(set(s) & set(all_) - set(base)) for (_, s), (base, all_) in zip(texts, found))
+    missed_by_base = sum(len(set(s) - set(base)) for (_, s), (base, _) in zip(texts, found))
+    assert added and right >= 0.85 * added and right >= 0.7 * missed_by_base
+
+
+def test_windows_without_signs_hold_nothing():
+    rng = random.Random(5)
+    texts = ["".join(pii.labelled_text(rng)[0] + " " + words(40, k) + " " for _ in range(4)) for k in range(60)]
+    t = pii.trained()
+    whole = [pii.merged(x, pii.base_spans(x), g) for x, g in zip(texts, pii.model_spans(texts, t, every=True))]
+    assert whole == pii.find(texts, t)
+
+
+def test_long_texts_are_tagged_piece_by_piece(monkeypatch):
+    rng = random.Random(6)
+    text = " ".join(pii.labelled_text(rng)[0] for _ in range(60))
+    t = pii.trained()
+    whole = pii.find([text], t)[0]
+    monkeypatch.setattr(pii, "PIECE", 1500)
+    got = pii.find([text], t)[0]
+    assert got[0] == whole[0] and len(set(got[1]) ^ set(whole[1])) <= 0.03 * len(whole[1])
+    assert pii.model_spans([], t) == [] and pii.find([""], t) == [([], [])]
+
+
+def test_buckets_grow_and_columns_may_clash(spark):
+    frame = docs(spark, [(k, words(50, k)) for k in range(30)]).withColumnRenamed("length", "_q")
+    labels = spark.createDataFrame([(1, 1, 0)], "doc_id long, quality int, toxic int")
+    out = quality.judge(frame, labels)
+    assert out.columns == ["doc_id", "text", "_q", "__q"] and out.where("__q.kept is not null").count() == 30
+    assert quality.buckets_for(frame) == quality.LEAST_BUCKETS and quality.judge(frame.where("false"), labels).count() == 0
+    big = frame.selectExpr("doc_id", "repeat('x', 40000000) AS text").limit(8)
+    assert quality.buckets_for(big) == 1 << 17
+
+
+def test_quality_scores_by_brute_force(spark):
+    from math import log
+
+    rows = [(k, words(30, k % 7)) for k in range(25)]
+    labels = spark.createDataFrame([(k, 1, 0) for k in range(0, 25, 3)], "doc_id long, quality int, toxic int")
+    raw, good = {}, {}
+    grams = lambda t: [*t.split(), *zip(t.split(), t.split()[1:])]
+    for k, t in rows:
+        for g in grams(t):
+            raw[g] = raw.get(g, 0) + 1
+            good[g] = good.get(g, 0) + (k % 3 == 0)
+    share = sum(good.values()) / sum(raw.values())
+    weight = {g: round(1000 * (log(good[g] + quality.PRIOR) - log(raw[g] * share + quality.PRIOR))) for g in raw}
+    for r in quality.judge(docs(spark, rows), labels).collect():
+        want = sum(weight[g] for g in grams(r["text"])) / len(grams(r["text"]))
+        assert abs(r["_q"]["score"] - want) < 2  # few of 32,768 buckets are shared
+
+
+def test_conversations_keep_their_id_type(spark):
+    f = spark.createDataFrame([("a", 0, "user", "x"), ("b", 0, "assistant", None)], "conv_id string, turn long, role string, text string")
+    path = str(public_tokenizers.path("byte_bpe_50k.json"))
+    assert sorted(r["conv_id"] for r in chat.format_conversations(f, path).collect()) == ["a", "b"]
+    assert chat.format_conversations(f.where("false"), path).count() == 0
+
+
+def test_pipeline_of_awkward_rows(spark, tmp_path):
+    """Null and repeated ids, null texts, a clashing column; and an empty table."""
+    import corpus_pipeline
+
+    good = [words(120, 700 + k) for k in range(4)]
+    rows = [(None, good[0]), (None, good[1]), (5, good[2]), (5, good[3]), (5, good[3]), (6, None), (7, "")]
+    kind = "doc_id long, text string, lang string, source string, n_chars long, _q string"
+    for name, some in (("a", rows), ("b", [])):
+        spark.createDataFrame([(i, t, "en", "s", 1, "z") for i, t in some], kind).write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        spark.createDataFrame([(5, 1, 0)], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/{name}/labels.parquet")
+        spark.createDataFrame([(0, words(30, 54))], "item_id long, text string").write.parquet(f"{tmp_path}/{name}/benchmark.parquet")
+    assert corpus_pipeline.run(spark, f"{tmp_path}/b").count() == 0
+    assert sorted(r["doc_id"] or -1 for r in corpus_pipeline.run(spark, f"{tmp_path}/a").collect()) == [-1, -1, 5, 5]
