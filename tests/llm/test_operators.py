@@ -519,3 +519,37 @@ def test_pipeline_of_awkward_rows(spark, tmp_path):
         spark.createDataFrame([(0, words(30, 54))], "item_id long, text string").write.parquet(f"{tmp_path}/{name}/benchmark.parquet")
     assert corpus_pipeline.run(spark, f"{tmp_path}/b").count() == 0
     assert sorted(r["doc_id"] or -1 for r in corpus_pipeline.run(spark, f"{tmp_path}/a").collect()) == [-1, -1, 5, 5]
+
+
+def test_buckets_of_several_groups_equal_all_pairs(spark):
+    """Chains of edits, where a bucket's centre links few of its rows; dealt out in slots or not."""
+    r = random.Random(8)
+    rows = []
+    for k in range(2):
+        w = words(60, 800 + k).split()
+        for _ in range(60):
+            rows.append((len(rows), " ".join(w)))
+            w[r.randrange(60)] = words(1, r.randrange(10**6))
+    sets = copies.shingle_sets([t.encode() for _, t in rows])
+    root = list(range(len(rows)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a in range(len(rows)):
+        for b in range(a):
+            if copies.similarity(sets[a], sets[b]) >= 0.8:
+                p, q = find(a), find(b)
+                root[max(p, q)] = min(p, q)
+    want = sorted({find(k) for k in range(len(rows))})
+    got = {hot: None for hot in (4000, 20)}
+    for hot in got:
+        frame = docs(spark, rows)
+        slim = copies.banded(frame.selectExpr("doc_id AS id", "xxhash64(doc_id) AS row", "text"))
+        groups = dict(tuple(x) for x in simhash.components(copies.links(slim, copies.fingered(frame), hot=hot)).collect())
+        name = {int(copies.set_hash(s).view(np.int64)): k for k, s in enumerate(sets)}
+        got[hot] = sorted({min(name[f] for f in name if groups.get(f, f) == groups.get(g, g)) for g in name})
+    assert got == {4000: want, 20: want}
+    assert copies.bucket_links([1, 2], [1, 2], np.zeros(2, np.uint64), [np.arange(4, dtype=np.uint64), np.arange(5, dtype=np.uint64)]) == [(2, 1)]
