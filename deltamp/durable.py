@@ -1,15 +1,26 @@
-"""Cuts of lineage that survive lost executors."""
+"""Cuts of lineage that survive lost executors, in folders that driver and executors share."""
 
 from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir, else the context's checkpoint folder; a temporary one only on a single machine."""
+    sc = spark.sparkContext
+    named = sc.getConf().get("spark.checkpoint.dir", "") or sc.getCheckpointDir()
+    if named:
+        return named
+    if not sc.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    sc.setCheckpointDir(tempfile.mkdtemp(prefix="deltamp-"))
+    return sc.getCheckpointDir()
 
 
 def settle(df: DataFrame) -> DataFrame:
-    """Checkpoint in the folder the session names; a temporary one only where it names none (tests)."""
     sc = df.sparkSession.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir", "") or tempfile.mkdtemp(prefix="deltamp-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint(eager=True)

@@ -5,19 +5,22 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from deltamp.functions.grid import DIMS, mean
+from deltamp.functions.grid import DIMS
 
 X = [f"x{i}" for i in range(DIMS)]
 S = [f"s{i}" for i in range(DIMS)]
 
 
+# SQL text and not Column calls: at 64 components the calls themselves would take seconds.
+
+
 def absorb(messages: DataFrame) -> DataFrame:
     """Delta rows (dst, s*, n) that add messages (dst, x*)."""
-    return messages.select("dst", *[F.col(x).alias(s) for x, s in zip(X, S)], F.lit(1).cast("long").alias("n"))
+    return messages.selectExpr("dst", *[f"{x} AS {s}" for x, s in zip(X, S)], "1L AS n")
 
 
 def retract(messages: DataFrame) -> DataFrame:
-    return messages.select("dst", *[(-F.col(x)).alias(s) for x, s in zip(X, S)], F.lit(-1).cast("long").alias("n"))
+    return messages.selectExpr("dst", *[f"-{x} AS {s}" for x, s in zip(X, S)], "-1L AS n")
 
 
 def swap(new: DataFrame, old: DataFrame) -> DataFrame:
@@ -28,11 +31,12 @@ def swap(new: DataFrame, old: DataFrame) -> DataFrame:
 def merge(deltas: DataFrame, state: DataFrame | None = None) -> DataFrame:
     """State (dst, s*, n) after all delta rows; partial sums combine before the shuffle."""
     rows = deltas if state is None else state.unionByName(deltas)
-    return rows.groupBy("dst").agg(*[F.sum(s).alias(s) for s in S], F.sum("n").alias("n"))
+    return rows.groupBy("dst").agg(*[F.expr(f"sum({s}) AS {s}") for s in (*S, "n")])
 
 
 def read_mean(state: DataFrame) -> DataFrame:
-    return state.select("dst", *[mean(F.col(s), F.col("n")).alias(f"m{i}") for i, s in enumerate(S)], "n")
+    means = [f"CASE WHEN n > 0 THEN CAST(floor(CAST({s} AS DOUBLE) / n + 0.5D) AS BIGINT) ELSE 0L END AS m{i}" for i, s in enumerate(S)]
+    return state.selectExpr("dst", *means, "n")
 
 
 def extremum(values: DataFrame, kind: str) -> DataFrame:

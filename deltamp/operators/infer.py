@@ -1,29 +1,47 @@
-"""Message passing: full inference, and the same state kept up by deltas.
+"""Message passing: full inference, and the same state kept up by deltas (deltamp.operators.store).
 
-One delta step of one layer takes the batch's added and deleted edges and the changed inputs, sums the
-signed messages by destination in one shuffle, re-evaluates only the vertices that a message or an own
-input touched, and passes on the outputs that differ.
+A layer's update is a dense product over rows of DIMS integers; it runs on Arrow batches, after the sums.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from deltamp.durable import settle
-from deltamp.functions.grid import DIMS, update
-from deltamp.operators.aggregators import S, X, absorb, merge, read_mean, retract, swap
+from deltamp.functions.grid import DIMS, dense
+from deltamp.operators.aggregators import S, X, absorb, merge
 
-M = [f"m{i}" for i in range(DIMS)]
 
 
-def update_rows(vertices: DataFrame, means: DataFrame, layer: int) -> DataFrame:
-    """Outputs (v, x*) of vertices (v, x*) with aggregates (dst, m*); no aggregate counts as zero."""
-    j = vertices.join(means, vertices["v"] == means["dst"], "left")
-    other = [F.coalesce(F.col(m), F.lit(0).cast("long")) for m in M]
-    return j.select("v", *[c.alias(x) for c, x in zip(update([F.col(x) for x in X], other, layer), X)])
+def matrix(batch: pa.RecordBatch, first: int, width: int = DIMS) -> np.ndarray:
+    """Columns first to first + width of a batch as rows of integers, null counting as zero."""
+    return np.stack([batch.column(k).fill_null(0).to_numpy(zero_copy_only=False) for k in range(first, first + width)], axis=1)
+
+
+LAYOUT = f"v long, {', '.join(f'{x} long' for x in X)}"
+
+
+def half_up_mean(total: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Rows of sums over their counts, rounded half up; zero without messages."""
+    return np.where(n[:, None] > 0, np.floor(total / np.maximum(n, 1)[:, None] + 0.5), 0).astype(np.int64)
+
+
+def update_rows(vertices: DataFrame, sums: DataFrame, layer: int) -> DataFrame:
+    """Outputs (v, x*) of vertices (v, x*) with aggregates (dst, s*, n); no aggregate counts as zero."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            n = b.column(1 + 2 * DIMS).fill_null(0).to_numpy(zero_copy_only=False)
+            h = dense(matrix(b, 1), half_up_mean(matrix(b, 1 + DIMS), n), layer)
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(h[:, k]) for k in range(DIMS))], names=["v", *X])
+
+    j = vertices.select("v", *X).join(sums.select("dst", *S, "n"), F.expr("v = dst"), "left").select("v", *X, *S, "n")
+    return j.mapInArrow(run, LAYOUT)
 
 
 def messages(edges: DataFrame, values: DataFrame) -> DataFrame:
@@ -35,69 +53,10 @@ def full(vertices: DataFrame, edges: DataFrame, layers: int = 2) -> DataFrame:
     """Mean-aggregated layers over the whole graph: the truth that deltas must reach."""
     h = vertices.select("v", *X)
     for layer in range(layers):
-        h = update_rows(h, read_mean(merge(absorb(messages(edges, h)))), layer)
+        h = update_rows(h, merge(absorb(messages(edges, h))), layer)
     return h
 
 
-@dataclass
-class LayerState:
-    aggregates: DataFrame  # dst, s*, n
-    outputs: DataFrame  # v, x*
-
-
-def start(vertices: DataFrame, layers: int) -> list[LayerState]:
-    """The state of a graph without edges."""
-    out, h = [], vertices.select("v", *X)
-    for layer in range(layers):
-        none = absorb(h.withColumnRenamed("v", "dst")).where("false")
-        h = update_rows(h, read_mean(none), layer)
-        out.append(LayerState(none, h))
-    return out
-
-
-def delta_layer(state: LayerState, inputs: DataFrame, old_inputs: DataFrame, changed: DataFrame, edges_kept: DataFrame, added: DataFrame, deleted: DataFrame, layer: int) -> tuple[LayerState, DataFrame]:
-    """One layer, one batch.
-
-    inputs, old_inputs: (v, x*) after and before; changed: (v) whose input differs; edges_kept: edges in both
-    graphs. Returns the new state and the (v) whose output differs.
-    """
-    kept = edges_kept.join(changed.withColumnRenamed("v", "src"), "src", "left_semi")
-    deltas = absorb(messages(added, inputs)).unionByName(retract(messages(deleted, old_inputs))).unionByName(swap(messages(kept, inputs), messages(kept, old_inputs)))
-    summed = merge(deltas).where(" OR ".join(f"{s} <> 0" for s in [*S, "n"]))
-    aggregates = merge(summed, state.aggregates).where("n > 0")
-    touched = summed.select(F.col("dst").alias("v")).union(changed).distinct()
-    redone = update_rows(inputs.join(touched, "v", "left_semi"), read_mean(aggregates), layer)
-    new = redone.alias("new")
-    both = state.outputs.alias("old").join(new, "v", "full")
-    differs = F.lit(False)
-    for x in X:
-        differs = differs | (F.col(f"new.{x}").isNotNull() & ~F.col(f"new.{x}").eqNullSafe(F.col(f"old.{x}")))
-    rows = settle(both.select("v", *[F.coalesce(f"new.{x}", f"old.{x}").alias(x) for x in X], differs.alias("differs")))
-    return LayerState(settle(aggregates), rows.drop("differs")), rows.where("differs").select("v")
-
-
-def cascade(vertices: DataFrame, batches: list[tuple[DataFrame, DataFrame]], layers: int = 2, edges: DataFrame | None = None) -> tuple[list[LayerState], list[DataFrame]]:
-    """Apply (added, deleted) edge batches in turn. Returns the final state and the last batch's changed vertices by layer."""
-    states = start(vertices, layers)
-    base = vertices.select("v", *X)
-    live = edges if edges is not None else batches[0][0].select("eid", "src", "dst").where("false")
-    changes: list[DataFrame] = []
-    for added, deleted in batches:
-        added, deleted = added.select("eid", "src", "dst"), deleted.select("eid", "src", "dst")
-        both = added.join(deleted.select("eid"), "eid", "left_semi").select("eid")  # in one batch they cancel
-        added, deleted = added.join(both, "eid", "left_anti"), deleted.join(both, "eid", "left_anti")
-        kept = live.join(deleted.select("eid"), "eid", "left_anti")
-        inputs = old_inputs = base
-        changed, changes = base.select("v").where("false"), []
-        for layer in range(layers):
-            before = states[layer].outputs
-            states[layer], next_changed = delta_layer(states[layer], inputs, old_inputs, changed, kept, added, deleted, layer)
-            inputs, old_inputs, changed = states[layer].outputs, before, next_changed
-            changes.append(changed)
-        live = settle(kept.unionByName(added))
-    return states, changes
-
-
 WEIGHT = "decimal(30,18)"  # sums of it are exact in any order, so a retracted weight leaves nothing behind
 
 

@@ -6,14 +6,17 @@ order; production widths run the same plans on doubles.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from deltamp.functions.grid import DIMS, weights
 from deltamp.operators.aggregators import X
+from deltamp.operators.infer import matrix
 
 G = [f"g{i}" for i in range(DIMS)]
 
@@ -28,14 +31,26 @@ def plan_batches(n_labels: int, per_part: int, epochs: int) -> list[tuple[int, i
     return [(e, a, min(n_labels, a + per_part)) for e in range(epochs) for a in range(0, n_labels, per_part)]
 
 
+def _products(rows: DataFrame, own: np.ndarray, other: np.ndarray | None, names: list[str]) -> DataFrame:
+    """(v, own columns, other columns) to (v, names): own times its matrix plus other times its own, exact on integers."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            h = matrix(b, 1).astype(np.float64) @ own
+            if other is not None:
+                h += matrix(b, 1 + DIMS).astype(np.float64) @ other
+            h = h.astype(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(h[:, k]) for k in range(DIMS))], names=["v", *names])
+
+    return rows.mapInArrow(run, f"v long, {', '.join(f'{n} long' for n in names)}")
+
+
 def forward_linear(vertices: DataFrame, edges: DataFrame, layer: int) -> DataFrame:
     """(v, x*) of a linear sum layer: own weights on x plus neighbour weights on the sum of messages."""
-    ws, wn, _ = weights(layer)
+    ws, wn, _ = (np.array(w, np.float64) for w in weights(layer))
     sums = edges.join(vertices, edges["src"] == vertices["v"]).groupBy("dst").agg(*[F.sum(x).alias(f"a{i}") for i, x in enumerate(X)])
-    j = vertices.join(sums, vertices["v"] == sums["dst"], "left")
-    a = [F.coalesce(F.col(f"a{i}"), F.lit(0).cast("long")) for i in range(DIMS)]
-    out = [sum((ws[i][k] * F.col(X[k]) + wn[i][k] * a[k] for k in range(DIMS)), F.lit(0).cast("long")) for i in range(DIMS)]
-    return j.select("v", *[c.cast("long").alias(x) for c, x in zip(out, X)])
+    j = vertices.select("v", *X).join(sums, F.col("v") == F.col("dst"), "left")
+    return _products(j.select("v", *X, *[f"a{i}" for i in range(DIMS)]), ws.T, wn.T, X)
 
 
 def output_gradient(final: DataFrame, labels: DataFrame) -> DataFrame:
@@ -51,9 +66,9 @@ def accumulate(gradients: DataFrame) -> DataFrame:
 
 def backward_update(gradients: DataFrame, layer: int) -> tuple[DataFrame, DataFrame]:
     """Phase one: gradients by the aggregate and by the own input."""
-    ws, wn, _ = weights(layer)
-    through = lambda w: [sum((w[i][k] * F.col(G[i]) for i in range(DIMS)), F.lit(0).cast("long")).cast("long").alias(G[k]) for k in range(DIMS)]
-    return gradients.select("v", *through(wn)), gradients.select("v", *through(ws))
+    ws, wn, _ = (np.array(w, np.float64) for w in weights(layer))
+    g = gradients.select("v", *G)
+    return _products(g, wn, None, G), _products(g, ws, None, G)
 
 
 def backward_message(edges: DataFrame, by_aggregate: DataFrame) -> DataFrame:
@@ -68,10 +83,17 @@ def backward_layer(gradients: DataFrame, edges: DataFrame, layer: int) -> DataFr
 
 
 def weight_gradient(inputs: DataFrame, gradients: DataFrame) -> DataFrame:
-    """(i, j, g): the sum over vertices of output gradient i times input j, one small table."""
-    j = inputs.join(gradients, "v")
-    cells = F.array(*[F.struct(F.lit(i).alias("i"), F.lit(k).alias("j"), (F.col(G[i]) * F.col(X[k])).alias("g")) for i in range(DIMS) for k in range(DIMS)])
-    return j.select(F.explode(cells).alias("c")).groupBy("c.i", "c.j").agg(F.sum("c.g").cast("long").alias("g"))
+    """(i, j, g): the sum over vertices of output gradient i times input j; a batch sends one partial matrix."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros((DIMS, DIMS))
+        for b in batches:
+            total += matrix(b, DIMS).astype(np.float64).T @ matrix(b, 0).astype(np.float64)
+        i, j = np.divmod(np.arange(DIMS * DIMS), DIMS)
+        yield pa.RecordBatch.from_arrays([pa.array(i.astype(np.int32)), pa.array(j.astype(np.int32)), pa.array(total.ravel().astype(np.int64))], names=["i", "j", "g"])
+
+    rows = inputs.join(gradients, "v").select(*X, *G).mapInArrow(run, "i int, j int, g long")
+    return rows.groupBy("i", "j").agg(F.sum("g").alias("g"))
 
 
 def average(parameters: DataFrame) -> DataFrame:

@@ -53,14 +53,34 @@ def session(rows: DataFrame, gap: int, most: int | None = None) -> DataFrame:
     return numbered.withColumn("due", F.max("us").over(Window.partitionBy("key", "_s", "_c")) + gap).drop("_new", "_s", "_c")
 
 
-def adaptive_gaps(rows: DataFrame, k: int = 2, least: int = HOUR, most: int = 2 * DAY) -> DataFrame:
-    """(key, day, freq, gap): counts per day, averaged half and half over days, and the gap k days / frequency, clamped."""
-    daily = rows.groupBy("key", F.floor(F.col("us") / DAY).cast("long").alias("day")).agg(F.count("*").alias("n"))
-    w = Window.partitionBy("key").orderBy("day").rowsBetween(Window.unboundedPreceding, 0)
-    series = daily.withColumn("s", F.collect_list("n").over(w))
-    average = F.aggregate("s", F.lit(-1.0), lambda acc, x: F.when(acc < 0, x.cast("double")).otherwise((acc + x) / 2))
-    gap = F.least(F.lit(most), F.greatest(F.lit(least), F.floor(k * F.lit(DAY).cast("double") / average).cast("long")))
-    return series.select("key", "day", F.floor(average * 1e6 + 0.5).cast("long").alias("freq"), gap.alias("gap"))
+def _averages(daily: DataFrame, *key: str) -> DataFrame:
+    """(key.., day, average) of (key.., day, n): half the day's count and half the average before, one fold a key."""
+    series = daily.groupBy(*key).agg(F.array_sort(F.collect_list(F.struct("day", F.col("n").cast("double").alias("n")))).alias("a"))
+    start = F.struct(F.lit(-1.0).alias("f"), F.array().cast("array<struct<day:bigint,f:double>>").alias("all"))
+
+    def step(acc, d):
+        f = F.when(acc["f"] < 0, d["n"]).otherwise((acc["f"] + d["n"]) / 2)
+        return F.struct(f.alias("f"), F.concat(acc["all"], F.array(F.struct(d["day"].alias("day"), f.alias("f")))).alias("all"))
+
+    return series.select(*key, F.explode(F.aggregate("a", start, step)["all"]).alias("d")).select(*key, "d.day", F.col("d.f").alias("average"))
+
+
+def adaptive_gaps(rows: DataFrame, k: int = 2, least: int = HOUR, most: int = 2 * DAY, sketch: CountMin | None = None) -> DataFrame:
+    """(key, day, freq, gap): counts per day, averaged half and half over days, and the gap k days / frequency, clamped.
+
+    With a sketch, the counts averaged are those of its cells, so storage is days times cells and not keys; a key
+    reads the least of its cells' averages, which is never below its own where its cells are busy on its days only.
+    """
+    day = F.floor(F.col("us") / DAY).cast("long").alias("day")
+    if sketch is None:
+        series = _averages(rows.groupBy("key", day).agg(F.count("*").alias("n")), "key")
+    else:
+        seen = rows.select("key", day)
+        cells = _averages(sketch.cells(seen, "key").groupBy("depth", "bucket", "day").agg(F.count("*").alias("n")), "depth", "bucket")
+        mine = sketch.cells(seen.distinct(), "key")
+        series = mine.join(cells, ["depth", "bucket", "day"]).groupBy("key", "day").agg(F.min("average").alias("average"))
+    gap = F.least(F.lit(most), F.greatest(F.lit(least), F.floor(k * F.lit(DAY).cast("double") / F.col("average")).cast("long")))
+    return series.select("key", "day", F.floor(F.col("average") * 1e6 + 0.5).cast("long").alias("freq"), gap.alias("gap"))
 
 
 def adaptive(rows: DataFrame, **options) -> DataFrame:
@@ -73,8 +93,9 @@ def adaptive(rows: DataFrame, **options) -> DataFrame:
     return numbered.withColumn("due", last["us"] + last["gap"]).drop("_new", "_s", "_d", "gap")
 
 
-def global_rank(rows: DataFrame, order: str, parts: int = 16) -> DataFrame:
+def global_rank(rows: DataFrame, order: str, parts: int | None = None) -> DataFrame:
     """rank (from 0) in a total order without a one-partition window: range parts, their sizes, local ranks."""
+    parts = parts or max(16, rows.sparkSession.sparkContext.defaultParallelism, int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")))
     cut = rows.repartitionByRange(parts, order).withColumn("_p", F.spark_partition_id())
     from deltamp.durable import settle
 
@@ -90,6 +111,21 @@ def fixed_count(rows: DataFrame, size: int) -> DataFrame:
     return global_rank(rows, "seq").withColumn("due", F.floor(F.col("rank") / size).cast("long")).drop("rank")
 
 
+def count_closes(edges: DataFrame, size: int) -> DataFrame:
+    """(batch, close): the time of the last edge of each batch of so many edges; one row a batch."""
+    return fixed_count(edges, size).groupBy(F.col("due").alias("batch")).agg(F.max("us").alias("close"))
+
+
+def by_count(edges: DataFrame, size: int):
+    """The policy that holds edges back until their batch of so many is complete."""
+
+    def policy(rows: DataFrame) -> DataFrame:
+        ranked = fixed_count(rows, size).withColumnRenamed("due", "batch")
+        return ranked.join(count_closes(edges, size), "batch").withColumn("due", F.col("close")).drop("batch", "close")
+
+    return policy
+
+
 def outputs(due: DataFrame) -> DataFrame:
     """The outputs that remain: per key and due, how many rows it stands for and the last row's time."""
     return due.groupBy("key", "due").agg(F.count("*").alias("n"), F.max("us").alias("last_us"))
@@ -113,16 +149,16 @@ class CountMin:
     def __init__(self, depth: int = 4, width: int = 4096):
         self.depth, self.width = depth, width
 
-    def _cells(self, rows: DataFrame, key: str) -> DataFrame:
+    def cells(self, rows: DataFrame, key: str) -> DataFrame:
         cells = F.array(*[F.struct(F.lit(d).alias("depth"), F.pmod(F.xxhash64(F.lit(d), F.col(key)), F.lit(self.width)).cast("int").alias("bucket")) for d in range(self.depth)])
         return rows.withColumn("_c", F.explode(cells)).select("*", "_c.depth", "_c.bucket").drop("_c")
 
     def update(self, rows: DataFrame, key: str = "key") -> DataFrame:
-        return self._cells(rows.select(key), key).groupBy("depth", "bucket").agg(F.count("*").cast("double").alias("weight"))
+        return self.cells(rows.select(key), key).groupBy("depth", "bucket").agg(F.count("*").cast("double").alias("weight"))
 
     def estimate(self, sketch: DataFrame, keys: DataFrame, key: str = "key") -> DataFrame:
         """depth * width rows at most: a bounded broadcast."""
-        return self._cells(keys.select(key).distinct(), key).join(F.broadcast(sketch), ["depth", "bucket"], "left").groupBy(key).agg(F.min(F.coalesce("weight", F.lit(0.0))).alias("estimate"))
+        return self.cells(keys.select(key).distinct(), key).join(F.broadcast(sketch), ["depth", "bucket"], "left").groupBy(key).agg(F.min(F.coalesce("weight", F.lit(0.0))).alias("estimate"))
 
     def average(self, old: DataFrame, new: DataFrame, alpha: float = 0.5) -> DataFrame:
         scaled = old.withColumn("weight", F.col("weight") * (1 - alpha)).unionByName(new.withColumn("weight", F.col("weight") * alpha))

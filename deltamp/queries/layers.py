@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from deltamp.functions.grid import DIMS, mean_sql, update_sql
 from deltamp.operators import aggregators as agg
 from deltamp.operators import infer
+from deltamp.operators.store import cascade
 from deltamp.registry import graph, pair, portable
 
 N = range(DIMS)
@@ -32,10 +33,6 @@ portable("deg_avg", f"SELECT CAST(floor(avg(out_degree) * 1e6 + 0.5) AS BIGINT)
 portable("deg_skew_topk", f"SELECT v, in_degree FROM ({_DEG}) ORDER BY in_degree DESC, v LIMIT 20", ("topic",))
 
 
-def _cols(p, names):
-    return ", ".join(f"{p}{i} AS {n}{i}" for i, n in zip(N, [names] * DIMS))
-
-
 def layer_cte(name: str, source: str, edges: str, layer: int) -> str:
     """A layer over vertices (v, x*) as CTEs name_a and name."""
     sums = ", ".join(f"sum(h.x{i}) AS s{i}" for i in N)
@@ -44,8 +41,8 @@ def layer_cte(name: str, source: str, edges: str, layer: int) -> str:
     return f"{name}_a AS (SELECT dst, {means} FROM (SELECT e.dst, {sums}, count(*) AS n FROM {edges} e JOIN {source} h ON e.src = h.v GROUP BY e.dst)), {name} AS (SELECT v, {', '.join(f'{u} AS x{i}' for i, u in zip(N, update_sql(layer)))} FROM (SELECT v, {', '.join(f'x{i}' for i in N)}, {read} FROM {source} LEFT JOIN {name}_a ON v = dst))"
 
 
-def full_sql(edges: str = "hop", layers: int = 2) -> str:
-    ctes, source = [], "emb0"
+def full_sql(edges: str = "hop", layers: int = 2, source: str = "emb0") -> str:
+    ctes = []
     for k in range(layers):
         ctes.append(layer_cte(f"h{k + 1}", source, edges, k))
         source = f"h{k + 1}"
@@ -75,19 +72,19 @@ def batches_of(edges, parts: int):
 @pair("delta_cascade2_state", full_sql(layers=2), ("hop", "emb0"))
 def delta_cascade2_state(spark, sf):
     v, e = hop_and_features(spark, sf)
-    return infer.cascade(v, batches_of(e, 4), 2)[0][-1].outputs
+    return cascade(v, batches_of(e, 3), 2).outputs()
 
 
 @pair("delta_layer1_state", f"WITH {layer_cte('h1', 'emb0', 'hop', 0)} SELECT e.dst, {', '.join(f'CAST(sum(x{i}) AS BIGINT) AS s{i}' for i in N)}, count(*) AS n FROM hop e JOIN emb0 ON src = v GROUP BY e.dst", ("hop", "emb0"))
 def delta_layer1_state(spark, sf):
     v, e = hop_and_features(spark, sf)
-    return infer.cascade(v, batches_of(e, 3), 1)[0][0].aggregates
+    return cascade(v, batches_of(e, 3), 1).aggregates(1)
 
 
 @pair("delta_edge_add", full_sql(layers=1), ("hop", "emb0"))
 def delta_edge_add(spark, sf):
     v, e = hop_and_features(spark, sf)
-    return infer.cascade(v, batches_of(e, 2), 1)[0][0].outputs
+    return cascade(v, batches_of(e, 2), 1).outputs()
 
 
 _KEPT = "(SELECT * FROM hop WHERE etype <> 'error')"
@@ -96,60 +93,68 @@ _KEPT = "(SELECT * FROM hop WHERE etype <> 'error')"
 @pair("delta_edge_delete", full_sql(_KEPT, 2), ("hop", "emb0"))
 def delta_edge_delete(spark, sf):
     v, e = hop_and_features(spark, sf)
-    return infer.cascade(v, [(e, e.where("false")), (e.where("false"), e.where("etype = 'error'"))], 2)[0][-1].outputs
+    return cascade(v, [(e, None), (None, e.where("etype = 'error'"))], 2).outputs()
 
 
 @pair("delta_order_invariance", full_sql(layers=2), ("hop", "emb0"))
 def delta_order_invariance(spark, sf):
     v, e = hop_and_features(spark, sf)
-    return infer.cascade(v, batches_of(e, 3)[::-1], 2)[0][-1].outputs
+    return cascade(v, batches_of(e, 3)[::-1], 2).outputs()
 
 
-@pair("delta_edge_update", f"SELECT e.dst, CAST(sum(x0 * 2) AS BIGINT) AS s0, count(*) AS n FROM hop e JOIN emb0 ON src = v GROUP BY e.dst", ("hop", "emb0"))
+@pair("delta_edge_update", f"SELECT e.dst, {', '.join(f'CAST(sum(x{i} * 2) AS BIGINT) AS s{i}' for i in N)}, count(*) AS n FROM hop e JOIN emb0 ON src = v GROUP BY e.dst", ("hop", "emb0"))
 def delta_edge_update(spark, sf):
     """An edge feature changes from 1 to 2: each message is swapped on its own edge."""
     v, e = hop_and_features(spark, sf)
     old = infer.messages(e, v)
-    new = old.select("dst", *[(F.col(x) * 2).alias(x) for x in agg.X])
-    return agg.merge(agg.swap(new, old), agg.merge(agg.absorb(old))).select("dst", "s0", "n")
+    new = old.selectExpr("dst", *[f"{x} * 2 AS {x}" for x in agg.X])
+    return agg.merge(agg.swap(new, old), agg.merge(agg.absorb(old)))
 
 
-_FEATS = "(SELECT v, x0 + 1 AS x0, x1, x2, x3 FROM emb0)"
+def packed(v):
+    return v.selectExpr("v", f"array({', '.join(agg.X)}) AS x")
 
 
-@pair("delta_feature_update", f"WITH up AS {_FEATS}, {layer_cte('h1', 'up', 'hop', 0)} SELECT v, x0, x1, x2, x3 FROM h1", ("hop", "emb0"))
-def delta_feature_update(spark, sf):
-    v, e = hop_and_features(spark, sf)
-    states, _ = infer.cascade(v, [(e, e.where("false"))], 1)
-    new = v.select("v", (F.col("x0") + 1).alias("x0"), "x1", "x2", "x3")
-    none = e.select("eid", "src", "dst").where("false")
-    return infer.delta_layer(states[0], new, v.select("v", *agg.X), v.select("v"), e.select("eid", "src", "dst"), none, none, 0)[0].outputs
+_FEATS = f"(SELECT v, x0 + 1 AS x0, {', '.join(agg.X[1:])} FROM emb0)"
+_FEW = "(SELECT * FROM emb0 WHERE label >= 3)"
 
 
-_FEW = "(SELECT * FROM emb0 WHERE v % 3 <> 0)"
+@pair("delta_feature_update", f"WITH up AS {_FEATS}, {layer_cte('h1', 'up', 'hop', 0)}, {layer_cte('h2', 'h1', 'hop', 1)} SELECT v, {', '.join(agg.X)} FROM h2", ("hop", "emb0"))
+def delta_feature_update(spark, sf):
+    """Every feature moves after the edges came: swaps run through both layers."""
+    v, e = hop_and_features(spark, sf)
+    store = cascade(v, [(e, None)], 2)
+    store.apply(2, features=v.selectExpr("v", f"array(x0 + 1, {', '.join(agg.X[1:])}) AS x"))
+    return store.outputs()
 
 
-@pair("delta_feature_add", "SELECT e.dst, CAST(sum(x0) AS BIGINT) AS s0, count(*) AS n FROM hop e JOIN emb0 ON src = v GROUP BY e.dst", ("hop", "emb0"))
+@pair("delta_feature_add", full_sql(layers=2), ("hop", "emb0"))
 def delta_feature_add(spark, sf):
-    """A third of the features arrive after the edges: their messages are absorbed once ready."""
+    """The features of three labels arrive after the edges: their messages are absorbed once ready."""
     v, e = hop_and_features(spark, sf)
-    first = agg.merge(agg.absorb(infer.messages(e, v.where("v % 3 <> 0"))))
-    return agg.merge(agg.absorb(infer.messages(e, v.where("v % 3 = 0"))), first).select("dst", "s0", "n")
+    store = cascade(v.where("label >= 3"), [(e, None)], 2)
+    store.apply(2, features=packed(v.where("label < 3")))
+    return store.outputs()
 
 
-@pair("delta_feature_delete", f"SELECT e.dst, CAST(sum(x0) AS BIGINT) AS s0, count(*) AS n FROM hop e JOIN {_FEW} ON src = v GROUP BY e.dst", ("hop", "emb0"))
+@pair("delta_feature_delete", f"WITH few AS {_FEW}, {layer_cte('h1', 'few', 'hop', 0)}, {layer_cte('h2', 'h1', 'hop', 1)} SELECT v, {', '.join(agg.X)} FROM h2", ("hop", "emb0"))
 def delta_feature_delete(spark, sf):
+    """Three labels lose their features: their messages are retracted in both layers, their edges stay."""
     v, e = hop_and_features(spark, sf)
-    state = agg.merge(agg.absorb(infer.messages(e, v)))
-    return agg.merge(agg.retract(infer.messages(e, v.where("v % 3 = 0"))), state).where("n > 0").select("dst", "s0", "n")
+    store = cascade(v, [(e, None)], 2)
+    store.apply(2, features=v.where("label < 3").selectExpr("v", "CAST(NULL AS ARRAY<BIGINT>) AS x"))
+    return store.outputs()
 
 
-@pair("delta_vertex_delete", f"SELECT e.dst, CAST(sum(x0) AS BIGINT) AS s0, count(*) AS n FROM hop e JOIN {_FEW} f ON src = v WHERE e.dst % 3 <> 0 GROUP BY e.dst", ("hop", "emb0"))
+@pair("delta_vertex_delete", f"WITH few AS {_FEW}, left_ AS (SELECT h.* FROM hop h JOIN few a ON src = a.v JOIN few b ON dst = b.v), {layer_cte('h1', 'few', 'left_', 0)}, {layer_cte('h2', 'h1', 'left_', 1)} SELECT v, {', '.join(agg.X)} FROM h2", ("hop", "emb0"))
 def delta_vertex_delete(spark, sf):
-    """A deleted vertex retracts its out-messages and drops its own aggregate."""
+    """Three labels' vertices go with all their edges, in one batch."""
     v, e = hop_and_features(spark, sf)
-    state = agg.merge(agg.absorb(infer.messages(e, v)))
-    return agg.merge(agg.retract(infer.messages(e, v.where("v % 3 = 0"))), state).where("n > 0 AND dst % 3 <> 0").select("dst", "s0", "n")
+    store = cascade(v, [(e, None)], 2)
+    gone = v.where("label < 3").select("v")
+    edges = e.alias("e").join(gone.alias("a"), F.expr("e.src = a.v"), "left").join(gone.alias("b"), F.expr("e.dst = b.v"), "left").where("a.v IS NOT NULL OR b.v IS NOT NULL").select("e.*")
+    store.apply(2, deleted=edges, features=gone.selectExpr("v", "CAST(NULL AS ARRAY<BIGINT>) AS x"))
+    return store.outputs()
 
 
 portable("ready_counts", f"SELECT CASE WHEN v IS NULL THEN 0 ELSE 1 END AS ready, count(*) AS edges FROM hop LEFT JOIN {_FEW} ON src = v GROUP BY CASE WHEN v IS NULL THEN 0 ELSE 1 END", ("hop", "emb0"))
@@ -173,30 +178,101 @@ for _h, _sql in ((1, "SELECT DISTINCT dst AS v FROM hop WHERE src = 0 UNION SELE
 @pair("worked_example", "SELECT CAST(layer AS INTEGER) AS layer, v FROM (VALUES (1, 0), (2, 0), (2, 1), (2, 2)) t(layer, v)".replace("layer, v FROM", "layer, CAST(v AS BIGINT) AS v FROM"))
 def worked_example(spark, sf):
     """a=0 sends to b=1 and c=2; then d=3 sends to a. Layer one changes a, layer two a, b and c."""
-    v = spark.createDataFrame([(0, 9, 5, 3, 1), (1, 2, 8, 1, 4), (2, 3, 3, 7, 7), (3, 90, 70, 50, 30)], "v long, x0 long, x1 long, x2 long, x3 long")
-    e = spark.createDataFrame([("1", 0, 1), ("2", 0, 2)], "eid string, src long, dst long")
-    d = spark.createDataFrame([("3", 3, 0)], "eid string, src long, dst long")
-    _, changes = infer.cascade(v, [(e, e.where("false")), (d, d.where("false"))], 2)
-    return changes[0].select(F.lit(1).alias("layer"), "v").union(changes[1].select(F.lit(2), "v"))
+    level = {0: 9, 1: 2, 2: 3, 3: 90}
+    v = spark.createDataFrame([(k, *[n + (7 * i + 3 * k) % 11 for i in N]) for k, n in level.items()], f"v long, {', '.join(f'{x} long' for x in agg.X)}")
+    e = spark.createDataFrame([(0, 1), (0, 2)], "src long, dst long")
+    d = spark.createDataFrame([(3, 0)], "src long, dst long")
+    store = cascade(v, [(e, None), (d, None)], 2)
+    return store.changed(1).select(F.lit(1).alias("layer"), "v").union(store.changed(2).select(F.lit(2), "v"))
 
 
 # Models beyond the mean: one-layer readings over grid features.
-portable("inf_gcn1", "SELECT dst AS v, CAST(floor(sum(CAST(x0 AS DOUBLE)) / count(*) * 64 + 0.5) AS BIGINT) AS y0, CAST(sum(x1) AS BIGINT) AS y1 FROM hop JOIN emb0 ON src = v GROUP BY dst", ("hop", "emb0"))
+
+
+@pair("inf_gcn1", f"SELECT dst AS v, {', '.join(f'CAST(sum(x{i}) AS BIGINT) AS y{i}' for i in N)} FROM hop JOIN emb0 ON src = v GROUP BY dst", ("hop", "emb0"))
+def inf_gcn1(spark, sf):
+    """The plain sum of messages."""
+    v, e = hop_and_features(spark, sf)
+    return infer.messages(e, v).groupBy(F.col("dst").alias("v")).agg(*[F.expr(f"sum(x{i}) AS y{i}") for i in N])
+
+
+_SYM = f"SELECT e.dst AS v, {', '.join(f'CAST(sum(CAST(floor(x{i} / sqrt(CAST(o.d AS DOUBLE) * i.d) * 1024 + 0.5) AS BIGINT)) AS BIGINT) AS y{i}' for i in N)} FROM {{}} e JOIN emb0 ON e.src = v JOIN (SELECT src, count(*) AS d FROM {{}} GROUP BY src) o ON o.src = e.src JOIN (SELECT dst, count(*) AS d FROM {{}} GROUP BY dst) i ON i.dst = e.dst GROUP BY e.dst"
+
+
+def _symmetric(edges, v, sign=1):
+    """Messages divided by the root of both ends' degrees, on the grid, so that sums are exact."""
+    out, into = edges.groupBy("src").agg(F.count("*").alias("od")), edges.groupBy("dst").agg(F.count("*").alias("id"))
+    j = edges.join(out, "src").join(into, "dst").join(v, F.expr("src = v"))
+    return j.selectExpr("src", "dst", "od", "id", *[f"{sign} * CAST(floor({x} / sqrt(CAST(od AS DOUBLE) * id) * 1024D + 0.5D) AS BIGINT) AS {x}" for x in agg.X])
+
+
+@pair("inf_gcn_sym", _SYM.format("hop", "hop", "hop"), ("hop", "emb0"))
+def inf_gcn_sym(spark, sf):
+    v, e = hop_and_features(spark, sf)
+    return _symmetric(e, v).groupBy(F.col("dst").alias("v")).agg(*[F.expr(f"sum(x{i}) AS y{i}") for i in N])
+
+
+@pair("delta_gcn_sym", _SYM.format("hop", "hop", "hop"), ("hop", "emb0"))
+def delta_gcn_sym(spark, sf):
+    """An edge changes its ends' degrees, so a batch also swaps the other messages of its sources and destinations."""
+    v, e = hop_and_features(spark, sf)
+    early, late = e.where("etype <> 'error'"), e.where("etype = 'error'")
+    state = infer.settle(_symmetric(early, v).groupBy("dst").agg(*[F.expr(f"sum({x}) AS {x}") for x in agg.X]))
+    moved = e.join(late.select("src").distinct(), "src", "left_semi").select("seq").union(e.join(late.select("dst").distinct(), "dst", "left_semi").select("seq")).distinct()
+
+    def again(edges, sign):
+        degrees = edges.groupBy("src").agg(F.count("*").alias("od")), edges.groupBy("dst").agg(F.count("*").alias("id"))
+        j = edges.join(moved, "seq", "left_semi").join(degrees[0], "src").join(degrees[1], "dst").join(v, F.expr("src = v"))
+        return j.selectExpr("dst", *[f"{sign} * CAST(floor({x} / sqrt(CAST(od AS DOUBLE) * id) * 1024D + 0.5D) AS BIGINT) AS {x}" for x in agg.X])
+
+    deltas = again(early, -1).unionByName(again(e, 1)).unionByName(state)
+    return deltas.groupBy(F.col("dst").alias("v")).agg(*[F.expr(f"sum(x{i}) AS y{i}") for i in N])
+
+
 portable("inf_edge_weighted", "SELECT dst AS v, CAST(sum(x0 * w) AS BIGINT) AS y0, CAST(sum(x1 * w) AS BIGINT) AS y1, CAST(sum(w) AS BIGINT) AS w FROM hop JOIN emb0 ON src = v GROUP BY dst", ("hop", "emb0"))
 portable("inf_typed_fk", "SELECT dst AS v, CAST(sum(src % 1000 * CASE etype WHEN 'order-part' THEN 2 WHEN 'supplier-part' THEN 3 WHEN 'customer-order' THEN 5 ELSE 7 END) AS BIGINT) AS y, count(*) AS n FROM fk GROUP BY dst", ("fk",))
-_JUMPS = {"concat": ["a.x0 AS a0", "a.x1 AS a1", "b.x0 AS b0", "b.x1 AS b1"], "max": ["greatest(a.x0, b.x0) AS y0", "greatest(a.x1, b.x1) AS y1"]}
+_JUMPS = {"concat": [f"{t}.x{i} AS {t}{i}" for t in "ab" for i in N], "max": [f"greatest(a.x{i}, b.x{i}) AS y{i}" for i in N]}
 for _m, _e in _JUMPS.items():
 
     @pair(f"inf_jk_{_m}", f"WITH {layer_cte('h1', 'emb0', 'hop', 0)}, {layer_cte('h2', 'h1', 'hop', 1)} SELECT a.v, {', '.join(_e)} FROM h1 a JOIN h2 b ON a.v = b.v", ("hop", "emb0"))
     def _jump(spark, sf, _e=_e):
         v, e = hop_and_features(spark, sf)
-        return infer.full(v, e, 1).alias("a").join(infer.full(v, e, 2).alias("b"), F.expr("a.v = b.v")).selectExpr("a.v AS v", *_e)
+        one = infer.settle(infer.full(v, e, 1))
+        two = infer.update_rows(one, agg.merge(agg.absorb(infer.messages(e, one))), 1)
+        return one.alias("a").join(two.alias("b"), F.expr("a.v = b.v")).selectExpr("a.v AS v", *_e)
+
+
+_ALL = ", ".join(agg.X)
+_DOT = lambda a, b: " + ".join(f"{a}x{i} * {b}x{i}" for i in N)
+
+
+@pair("head_node_argmax", f"SELECT v, CAST(list_position([{_ALL}], list_max([{_ALL}])) - 1 AS INTEGER) AS class FROM emb0", ("emb0",))
+def head_node_argmax(spark, sf):
+    return graph(spark, sf, "emb0").selectExpr("v", f"CAST(array_position(array({_ALL}), array_max(array({_ALL}))) - 1 AS INT) AS class")
+
+
+@pair("head_link_dot", f"SELECT seq, CAST({_DOT('a.', 'b.')} AS BIGINT) AS score FROM hop JOIN emb0 a ON src = a.v JOIN emb0 b ON dst = b.v", ("hop", "emb0"))
+def head_link_dot(spark, sf):
+    """The score of every edge from whole embeddings of its ends."""
+    e, v = graph(spark, sf, "hop").select("seq", "src", "dst"), graph(spark, sf, "emb0").selectExpr("v", f"array({_ALL}) AS x")
+    j = e.join(v.selectExpr("v AS src", "x AS a"), "src").join(v.selectExpr("v AS dst", "x AS b"), "dst")
+    return j.selectExpr("seq", "aggregate(zip_with(a, b, (p, q) -> p * q), 0L, (t, y) -> t + y) AS score")
+
+
+@pair("head_topk_similar", f"SELECT a.v, CAST(floor(CAST({_DOT('a.', 'q.')} AS DOUBLE) / sqrt(CAST({_DOT('a.', 'a.')} AS DOUBLE)) / sqrt(CAST({_DOT('q.', 'q.')} AS DOUBLE)) * 1e6 + 0.5) AS BIGINT) AS cosine FROM emb0 a, (SELECT * FROM emb0 ORDER BY v LIMIT 1) q WHERE a.v <> q.v ORDER BY cosine DESC, v LIMIT 10", ("emb0",))
+def head_topk_similar(spark, sf):
+    """The ten vertices with the greatest cosine to a query, which is the first vertex."""
+    v = graph(spark, sf, "emb0").selectExpr("v", f"array({_ALL}) AS x")
+    q = v.orderBy("v").first()
+    dot = lambda a, b: f"CAST(aggregate(zip_with({a}, {b}, (p, r) -> p * r), 0L, (t, y) -> t + y) AS DOUBLE)"
+    scored = v.where(F.col("v") != q["v"]).withColumn("q", F.array(*[F.lit(y).cast("long") for y in q["x"]]))
+    return scored.selectExpr("v", f"CAST(floor({dot('x', 'q')} / sqrt({dot('x', 'x')}) / sqrt({dot('q', 'q')}) * 1e6D + 0.5D) AS BIGINT) AS cosine").orderBy(F.col("cosine").desc(), "v").limit(10)
 
 
-portable("head_node_argmax", "SELECT v, CASE WHEN x0 >= x1 AND x0 >= x2 AND x0 >= x3 THEN 0 WHEN x1 >= x2 AND x1 >= x3 THEN 1 WHEN x2 >= x3 THEN 2 ELSE 3 END AS class FROM emb0", ("emb0",))
-portable("head_link_dot", "SELECT seq, a.x0 * b.x0 + a.x1 * b.x1 + a.x2 * b.x2 + a.x3 * b.x3 AS score FROM hop JOIN emb0 a ON src = a.v JOIN emb0 b ON dst = b.v", ("hop", "emb0"))
-portable("head_topk_similar", "SELECT v, score, r FROM (SELECT a.v, a.x0 * 37 + a.x1 * 11 - a.x2 * 5 + a.x3 AS score, row_number() OVER (ORDER BY a.x0 * 37 + a.x1 * 11 - a.x2 * 5 + a.x3 DESC, a.v) AS r FROM emb0 a) WHERE r <= 10", ("emb0",))
-portable("head_graph_pool", "SELECT label, CAST(sum(x0) AS BIGINT) AS s0, CAST(sum(x1) AS BIGINT) AS s1, max(x2) AS m2, count(*) AS n FROM emb0 GROUP BY label", ("emb0",))
+@pair("head_graph_pool", f"SELECT label, {', '.join(f'CAST(sum(x{i}) AS BIGINT) AS s{i}' for i in N)}, {', '.join(f'max(x{i}) AS m{i}' for i in N)}, count(*) AS n FROM emb0 GROUP BY label", ("emb0",))
+def head_graph_pool(spark, sf):
+    """Sum and maximum readouts of the graph of each label."""
+    return graph(spark, sf, "emb0").groupBy("label").agg(*[F.expr(f"sum(x{i}) AS s{i}") for i in N], *[F.expr(f"max(x{i}) AS m{i}") for i in N], F.count("*").alias("n"))
 
 
 def _gat(spark, sf):
@@ -216,7 +292,7 @@ pair("inf_gat1")(_gat)
 def delta_gat_state(spark, sf):
     """The same by deltas: edges come in three batches, and a third of the vertices has other features until the last."""
     v, e = hop_and_features(spark, sf)
-    early = v.select("v", *[F.when(F.col("v") % 3 == 0, F.col(x) + 512 * (k + 1)).otherwise(F.col(x)).alias(x) for k, x in enumerate(agg.X)])
+    early = v.selectExpr("v", *[f"CASE WHEN label < 3 THEN {x} + {512 * (k + 1)} ELSE {x} END AS {x}" for k, x in enumerate(agg.X)])
     added = batches_of(e, 3)
     state = infer.attention_cascade([(v if k == 2 else early, *b) for k, b in enumerate(added)])
     return state.select(F.col("dst").alias("v"), (F.col("num").cast("double") / F.col("den").cast("double")).alias("y"))
@@ -292,7 +368,7 @@ def agg_law_inverse(spark, sf):
     """Absorbing and retracting the same messages leaves every state at zero."""
     v, e = hop_and_features(spark, sf)
     m = infer.messages(e, v)
-    return agg.merge(agg.absorb(m).unionByName(agg.retract(m))).where("s0 <> 0 OR s1 <> 0 OR s2 <> 0 OR s3 <> 0 OR n <> 0").agg(F.count("*").alias("differences"))
+    return agg.merge(agg.absorb(m).unionByName(agg.retract(m))).where(" OR ".join(f"{x} <> 0" for x in (*agg.S, "n"))).agg(F.count("*").alias("differences"))
 
 
 @pair("agg_law_merge", _ZERO)

@@ -4,14 +4,15 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from deltamp.functions.grid import DIMS
 from deltamp.operators import infer
+from deltamp.operators.store import cascade
 from deltamp.queries.layers import hop_and_features
 from deltamp.queries.windows import ADAPTIVE, POLICIES, SESSION, TUMBLING, H, W, due_sql
 from deltamp.registry import pair, portable
 from deltamp.sources.graphs import DAY
 
-LOCAL = ("per_event", "tumbling", "session", "count")  # SQL that both engines read alike
-_BYTES = 8 * 4 + 24
+_BYTES = 8 * DIMS + 24
 _F6 = lambda x: f"CAST(floor({x} * 1e6 + 0.5) AS BIGINT)"
 
 
@@ -27,10 +28,10 @@ _I = "SELECT e.seq, e.dst AS v FROM hop e UNION SELECT e.seq, f.dst FROM hop e J
 portable("base_event_influenced", f"SELECT seq, count(*) AS influenced FROM ({_I}) GROUP BY seq", ("hop",))
 _IN = "(SELECT seq, dst, row_number() OVER (PARTITION BY dst ORDER BY seq) AS n FROM hop)"
 portable("base_event_recompute", f"SELECT i.seq, CAST(sum(n) AS BIGINT) AS reads FROM (SELECT i.seq, i.v, count(*) AS n FROM ({_I}) i JOIN hop h ON h.dst = i.v AND h.seq <= i.seq GROUP BY i.seq, i.v) i GROUP BY i.seq", ("hop",))
-_B = "(SELECT *, CAST(floor((row_number() OVER (ORDER BY seq) - 1) / 2000) AS BIGINT) AS b FROM hop)"
+_B = "hop_batches"
 _IB = f"SELECT DISTINCT e.b, f.dst AS v FROM {_B} e JOIN {_B} f ON f.src = e.dst AND f.b <= e.b UNION SELECT b, dst FROM {_B}"
-portable("base_batch_influenced", f"SELECT b, count(*) AS influenced FROM ({_IB}) GROUP BY b", ("hop",))
-portable("base_batch_recompute", f"SELECT i.b, count(*) AS reads FROM ({_IB}) i JOIN {_B} h ON h.dst = i.v AND h.b <= i.b GROUP BY i.b", ("hop",))
+portable("base_batch_influenced", f"SELECT b, count(*) AS influenced FROM ({_IB}) GROUP BY b", ("hop_batches",))
+portable("base_batch_recompute", f"SELECT i.b, count(*) AS reads FROM ({_IB}) i JOIN {_B} h ON h.dst = i.v AND h.b <= i.b GROUP BY i.b", ("hop_batches",))
 portable("base_periodic", f"SELECT d, CAST(sum(n) OVER (ORDER BY d) AS BIGINT) AS edges_read FROM (SELECT CAST(floor(us / {DAY}) AS BIGINT) AS d, count(*) AS n FROM hop GROUP BY CAST(floor(us / {DAY}) AS BIGINT))", ("hop",))
 portable("base_ego_volume", f"SELECT a.dst AS v, count(*) * {_BYTES} AS bytes FROM hop a JOIN hop b ON b.dst = a.src GROUP BY a.dst", ("hop",))
 # Messages: layer 1 is one an edge; layer 2 is the out-degree at each layer-1 output.
@@ -50,15 +51,7 @@ def window_out(width):
 portable("msgs_layer2_windowed", " UNION ALL ".join(f"SELECT {h} AS hours, CAST(sum(d) AS BIGINT) AS swaps FROM {window_out(h * H)} WHERE kind = 1" for h in (1, 12, 24)), ("hop",))
 
 
-def union_of(fmt: str, policies=LOCAL) -> str:
-    return " UNION ALL ".join(fmt.format(p=p, rows=POLICIES[p][1]) for p in policies)
-
-
-_OUTS = "(SELECT key, due, count(*) AS n, max(us) AS last_us FROM {rows} GROUP BY key, due)"
-portable("volume_by_policy", union_of(f"SELECT '{{p}}' AS policy, count(*) * {_BYTES} AS bytes FROM {_OUTS}"), ("hop",))
 portable("volume_by_partitioner", f"SELECT lpart, count(*) * {_BYTES} AS bytes FROM (SELECT (src * 31 + dst * 17 + seq * 7) % 16 AS lpart, src % 16 AS home FROM hop) WHERE lpart <> home GROUP BY lpart", ("hop",))
-portable("throughput_final_layer", union_of(f"SELECT '{{p}}' AS policy, {_F6('avg(CAST(n AS DOUBLE))')} AS mean_per_day, max(n) AS max_per_day FROM (SELECT floor(last_us / {DAY}) AS d, count(*) AS n FROM {_OUTS} GROUP BY floor(last_us / {DAY}))"), ("hop",))
-portable("imbalance_by_policy", union_of(f"SELECT '{{p}}' AS policy, {_F6('max(n) / avg(CAST(n AS DOUBLE))')} AS imbalance FROM (SELECT key % 16 AS part, count(*) AS n FROM {_OUTS} GROUP BY key % 16)"), ("hop",))
 portable("imbalance_by_partitioner", f"SELECT by_, {_F6('max(n) / avg(CAST(n AS DOUBLE))')} AS imbalance FROM (SELECT 'hash' AS by_, (src * 31 + dst * 17 + seq * 7) % 16 AS p, count(*) AS n FROM topic GROUP BY (src * 31 + dst * 17 + seq * 7) % 16 UNION ALL SELECT 'destination', dst % 16, count(*) FROM topic GROUP BY dst % 16) GROUP BY by_", ("topic",))
 for _p in ("tumbling", "session"):
     portable(f"latency_{_p}", f"SELECT CAST(floor(avg(CAST(due - us AS DOUBLE))) AS BIGINT) AS mean_us, max(due - us) AS max_us, min(due - us) AS min_us FROM {POLICIES[_p][1]}", ("hop",))
@@ -72,7 +65,7 @@ def latency_adaptive(spark, sf):
     return d.agg(F.floor(F.avg(F.col("late").cast("double"))).cast("long").alias("mean_us"), F.max("late").alias("max_us"), F.min("late").alias("min_us"))
 
 
-portable("latency_count", f"SELECT CAST(floor(avg(CAST(last - us AS DOUBLE))) AS BIGINT) AS mean_us, max(last - us) AS max_us FROM (SELECT us, max(us) OVER (PARTITION BY b) AS last FROM {_B})", ("hop",))
+portable("latency_count", f"SELECT CAST(floor(avg(CAST(last - us AS DOUBLE))) AS BIGINT) AS mean_us, max(last - us) AS max_us FROM (SELECT us, max(us) OVER (PARTITION BY b) AS last FROM {_B})", ("hop_batches",))
 
 
 @pair("accuracy_deviation", "SELECT CAST(0 AS BIGINT) AS deviation")
@@ -81,8 +74,8 @@ def accuracy_deviation(spark, sf):
     from deltamp.queries.layers import batches_of
 
     v, e = hop_and_features(spark, sf)
-    a, b = infer.cascade(v, batches_of(e, 3), 2)[0][-1].outputs.alias("a"), infer.full(v, e, 2).alias("b")
-    d = F.greatest(*[F.expr(f"abs(coalesce(a.x{i}, 99999) - coalesce(b.x{i}, 99999))") for i in range(4)])
+    a, b = cascade(v, batches_of(e, 3), 2).outputs().alias("a"), infer.full(v, e, 2).alias("b")
+    d = F.greatest(*[F.expr(f"abs(coalesce(a.x{i}, 99999) - coalesce(b.x{i}, 99999))") for i in range(DIMS)])
     return a.join(b, F.expr("a.v = b.v"), "full").agg(F.max(d).cast("long").alias("deviation"))
 
 
@@ -91,21 +84,14 @@ portable("scaling_model", f"SELECT p, {_F6('sum(n) / CAST(max(n) AS DOUBLE)')} A
 portable("explosion_ratio", f"SELECT {_F6('b.n / CAST(a.n AS DOUBLE)')} AS ratio FROM (SELECT count(*) AS n FROM hop) a, (SELECT sum(d) AS n FROM {EVENT_OUT} WHERE kind = 1) b", ("hop",))
 
 # Workloads.
-for _g in ("hop", "topic", "copurchase"):
-    _rows = {p: POLICIES[p][1].replace("FROM hop", f"FROM {_g}") for p in ("per_event", "tumbling", "session")}
-    portable(f"wl_w1_{_g}", " UNION ALL ".join(f"SELECT '{p}' AS policy, parts, sum(n) AS outputs, {_F6('max(n) / avg(CAST(n AS DOUBLE))')} AS imbalance FROM (SELECT parts, key % parts AS part, count(*) AS n FROM (SELECT DISTINCT key, due FROM {r}), (SELECT 1 AS parts UNION ALL SELECT 4 UNION ALL SELECT 10) GROUP BY parts, key % parts) GROUP BY parts".replace("sum(n)", "CAST(sum(n) AS BIGINT)") for p, r in _rows.items()), (_g,))
 _REC = "SELECT 'incremental' AS method, count(*) AS units FROM {g} e JOIN {g} f ON f.src = e.dst AND f.seq <= e.seq UNION ALL SELECT 'recompute', CAST(sum(n) AS BIGINT) FROM (SELECT i.seq, count(*) AS n FROM (SELECT e.seq, e.dst AS v FROM {g} e UNION SELECT e.seq, f.dst FROM {g} e JOIN {g} f ON f.src = e.dst AND f.seq <= e.seq) i JOIN {g} h ON h.dst = i.v AND h.seq <= i.seq GROUP BY i.seq)"
 portable("wl_w2_link", _REC.format(g="link"), ("link",))
 portable("wl_w2_topic", "SELECT 'incremental' AS method, CAST(sum(d) AS BIGINT) AS units FROM (SELECT v, seq, kind, sum(1 - kind) OVER (PARTITION BY v ORDER BY seq, kind ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS d FROM (SELECT src AS v, seq, 0 AS kind FROM topic UNION ALL SELECT dst, seq, 1 FROM topic)) WHERE kind = 1 UNION ALL SELECT 'in_degree_rescan', CAST(sum(n) AS BIGINT) FROM (SELECT row_number() OVER (PARTITION BY dst ORDER BY seq) AS n FROM topic)", ("topic",))
 portable("wl_w3_messages", "SELECT label, count(*) AS forward, count(*) * 2 AS backward FROM topic JOIN emb0 ON src = v GROUP BY label", ("topic", "emb0"))
 portable("wl_w4_lambda", "SELECT g AS growth, layer, max(n) AS most FROM (SELECT g, layer, dst % CAST(2 * power(g, layer - 1) AS BIGINT) AS part, count(*) AS n FROM hop, (" + " UNION ALL ".join(f"SELECT {g} AS g" for g in range(1, 9)) + "), (SELECT 1 AS layer UNION ALL SELECT 2) GROUP BY g, layer, dst % CAST(2 * power(g, layer - 1) AS BIGINT)) GROUP BY g, layer", ("hop",))
-portable("wl_w5_latency", union_of("SELECT '{p}' AS policy, CAST(floor(avg(CAST(due - us AS DOUBLE))) AS BIGINT) AS mean_us, max(due - us) AS max_us, min(due - us) AS min_us FROM {rows}", ("per_event", "tumbling", "session")), ("hop",))
 portable("wl_w6_random", f"SELECT 'hop' AS graph, {_F6('avg(CAST(n AS DOUBLE))')} AS factor FROM (SELECT v, count(DISTINCT p) AS n FROM (SELECT src AS v, (src * 31 + dst * 17 + seq * 7) % 16 AS p FROM hop UNION ALL SELECT dst, (src * 31 + dst * 17 + seq * 7) % 16 FROM hop) GROUP BY v)", ("hop",))
-portable("wl_w7_copurchase", "SELECT count(*) AS edges, count(DISTINCT src) AS sources, count(DISTINCT dst) AS destinations FROM copurchase", ("copurchase",))
 portable("wl_w7_reply", "SELECT count(*) AS edges, count(DISTINCT src) AS sources FROM reply", ("reply",))
 portable("wl_w8_fk", "SELECT etype, count(*) AS messages, count(DISTINCT dst) AS outputs FROM fk GROUP BY etype", ("fk",))
-portable("wl_w9_trade", "SELECT op, count(*) AS n, count(DISTINCT dst) AS touched FROM trade GROUP BY op", ("trade",))
 portable("wl_w10_surge", f"SELECT hot, count(*) AS updates, count(DISTINCT due) AS outputs FROM (SELECT CASE WHEN dst % 1000 = 7 THEN 1 ELSE 0 END AS hot, dst * 100000 + CAST(floor((us + c * 1000000) / {W}) AS BIGINT) AS due FROM topic, (SELECT 0 AS c UNION ALL SELECT 1 UNION ALL SELECT 2) WHERE c = 0 OR dst % 1000 = 7) GROUP BY hot", ("topic",))
-portable("wl_w11_ablation", f"SELECT 'none' AS stage, count(*) AS messages FROM topic UNION ALL SELECT 'emit', count(*) FROM (SELECT DISTINCT src, {due_sql()} AS d FROM topic) UNION ALL SELECT 'gather', count(*) FROM (SELECT DISTINCT dst, src % 16 AS p, {due_sql()} AS d FROM topic) UNION ALL SELECT 'both', count(*) FROM (SELECT DISTINCT dst, src % 16 AS p, floor(us / {2 * W}) AS d FROM topic)", ("topic",))
 portable("wl_w12_sweep", " UNION ALL ".join(f"SELECT {h} AS hours, count(DISTINCT dst * 1000000 + CAST(floor(us / {h * H}) AS BIGINT)) AS outputs, CAST(floor(avg(CAST({due_sql(h * H)} - us AS DOUBLE))) AS BIGINT) AS mean_us FROM hop" for h in (1, 12, 24)), ("hop",))
 __all__ = ["SESSION", "TUMBLING"]

@@ -24,7 +24,7 @@ def _linear(layer, source):
     return f"(SELECT v, {', '.join(f'CAST({o} AS BIGINT) AS x{i}' for i, o in zip(N, own))} FROM {source} LEFT JOIN (SELECT e.dst, {sums} FROM hop e JOIN {source} h ON e.src = h.v GROUP BY e.dst) ON v = dst)"
 
 
-_OUT = f"SELECT f.v, 2 * (f.x0 - e.label) AS g0, CAST(0 AS BIGINT) AS g1, CAST(0 AS BIGINT) AS g2, CAST(0 AS BIGINT) AS g3 FROM f2 f JOIN emb0 e ON e.v = f.v"
+_OUT = f"SELECT f.v, 2 * (f.x0 - e.label) AS g0, {', '.join(f'CAST(0 AS BIGINT) AS g{i}' for i in N if i)} FROM f2 f JOIN emb0 e ON e.v = f.v"
 _GS = ", ".join(f"g{i}" for i in N)
 _SUMS = ", ".join(f"CAST(sum(g{i}) AS BIGINT) AS g{i}" for i in N)
 
@@ -72,22 +72,23 @@ def train_grad_2layer(spark, sf):
     return training.backward_layer(training.backward_layer(g, e, 1), e, 0)
 
 
-@pair("train_input_update", f"{_CTES} SELECT v, CAST(floor(x0 - g0 / 1024.0) AS BIGINT) AS x0, CAST(floor(x1 - g1 / 1024.0) AS BIGINT) AS x1 FROM g0 JOIN emb0 USING (v)", ("hop", "emb0"))
+@pair("train_input_update", f"{_CTES} SELECT v, {', '.join(f'CAST(floor(x{i} - g{i} / 1024.0) AS BIGINT) AS x{i}' for i in N)} FROM g0 JOIN emb0 USING (v)", ("hop", "emb0"))
 def train_input_update(spark, sf):
     v = graph(spark, sf, "emb0")
-    return train_grad_2layer(spark, sf).join(v, "v").select("v", *[F.floor(F.col(f"x{i}") - F.col(f"g{i}") / 1024.0).cast("long").alias(f"x{i}") for i in (0, 1)])
+    return train_grad_2layer(spark, sf).join(v, "v").selectExpr("v", *[f"CAST(floor(x{i} - g{i} / 1024.0D) AS BIGINT) AS x{i}" for i in N])
 
 
-_W = " UNION ALL ".join(f"SELECT {i} AS i, {k} AS j, CAST(sum(g{i} * x{k}) AS BIGINT) AS g FROM f1 JOIN g2 USING (v)" for i in N for k in N)
+_LONG = ", ".join(f"[{', '.join(f'{c}{i}' for i in N)}] AS {c}s" for c in "gx")
+_CELLS = f"SELECT p, i, j, CAST(sum(gs[i + 1] * xs[j + 1]) AS BIGINT) AS g FROM (SELECT f1.v % {{}} AS p, {_LONG} FROM f1 JOIN g2 USING (v)), (SELECT CAST(unnest(range({DIMS})) AS INTEGER) AS i), (SELECT CAST(unnest(range({DIMS})) AS INTEGER) AS j) GROUP BY p, i, j"
 
 
-@pair("train_sgd_step", f"{_CTES} SELECT i, j, CAST(floor(1024.0 * ((7 * i + 3 * j + 4) % 5 - 2) - g / 1048576.0) AS BIGINT) AS value FROM ({_W})", ("hop", "emb0"))
+@pair("train_sgd_step", f"{_CTES} SELECT i, j, CAST(floor(1024.0 * ((7 * i + 3 * j + 4) % 5 - 2) - g / 1048576.0) AS BIGINT) AS value FROM ({_CELLS.format(1)})", ("hop", "emb0"))
 def train_sgd_step(spark, sf):
     _, _, f1, _, g = state(spark, sf)
-    return training.weight_gradient(f1, g).select("i", "j", F.floor(1024.0 * ((7 * F.col("i") + 3 * F.col("j") + 4) % 5 - 2) - F.col("g") / 1048576.0).cast("long").alias("value"))
+    return training.weight_gradient(f1, g).selectExpr("i", "j", "CAST(floor(1024.0D * ((7 * i + 3 * j + 4) % 5 - 2) - g / 1048576.0D) AS BIGINT) AS value")
 
 
-@pair("train_model_average", f"{_CTES} SELECT i, j, CAST(floor(avg(CAST(g AS DOUBLE)) + 0.5) AS BIGINT) AS value FROM (" + " UNION ALL ".join(f"SELECT {i} AS i, {k} AS j, v % 4 AS p, sum(g{i} * x{k}) AS g FROM f1 JOIN g2 USING (v) GROUP BY v % 4" for i in N for k in N) + ") GROUP BY i, j", ("hop", "emb0"))
+@pair("train_model_average", f"{_CTES} SELECT i, j, CAST(floor(avg(CAST(g AS DOUBLE)) + 0.5) AS BIGINT) AS value FROM ({_CELLS.format(4)}) GROUP BY i, j", ("hop", "emb0"))
 def train_model_average(spark, sf):
     """Four parts each sum their own vertices' gradients; the model is their unweighted mean."""
     _, _, f1, _, g = state(spark, sf)
@@ -100,7 +101,7 @@ def train_model_average(spark, sf):
 
 @pair("train_softmax_loss")
 def train_softmax_loss(spark, sf):
-    """Cross entropy of a four-class head, by label."""
+    """Cross entropy of a softmax over all components, by label."""
     v = graph(spark, sf, "emb0")
     z = [F.exp(F.col(f"x{i}") / 1024.0) for i in N]
     p = F.element_at(F.array(*z), F.col("label") % DIMS + 1) / sum(z[1:], z[0])
@@ -111,7 +112,7 @@ def train_softmax_loss(spark, sf):
 def train_optimisers(spark, sf):
     """Three optimisers over the same gradient for three steps."""
     rows = sorted((r["i"], r["j"], float(r["g"])) for r in training.weight_gradient(*(lambda s: (s[2], s[4]))(state(spark, sf))).collect())
-    g = np.array([r[2] for r in rows]) / 2**40
+    g = np.array([r[2] for r in rows]) / 2.0**40
     out = []
     for kind in ("sgd", "adam", "adamax"):
         o, p = training.Optimiser(kind), np.zeros(len(g))
@@ -149,8 +150,8 @@ def rebuild_equals_full(spark, sf):
     h = v.select("v", *agg.X)
     for layer in range(2):
         m = e.join(h, F.col("src") == F.col("v"))
-        local = m.groupBy("lpart", "dst").agg(*[F.sum(x).alias(s) for x, s in zip(agg.X, agg.S)], F.count("*").alias("n"))
-        h = infer.update_rows(h, agg.read_mean(agg.merge(local.drop("lpart"))), layer)
+        local = m.groupBy("lpart", "dst").agg(*[F.expr(f"sum({x}) AS {y}") for x, y in zip(agg.X, agg.S)], F.count("*").alias("n"))
+        h = infer.update_rows(h, agg.merge(local.drop("lpart")), layer)
     return h
 
 
@@ -170,7 +171,13 @@ def train_stale_gap(spark, sf):
     return a.join(b, "v").where("x0 <> y0").agg(F.count("*").alias("differing"))
 
 
-portable("metric_confusion", "SELECT label % 4 AS truth, class, count(*) AS n FROM (SELECT label, CASE WHEN x0 >= x1 AND x0 >= x2 AND x0 >= x3 THEN 0 WHEN x1 >= x2 AND x1 >= x3 THEN 1 WHEN x2 >= x3 THEN 2 ELSE 3 END AS class FROM emb0) GROUP BY label % 4, class", ("emb0",))
+_ALL = ", ".join(f"x{i}" for i in N)
+
+
+@pair("metric_confusion", f"SELECT label AS truth, CAST((list_position([{_ALL}], list_max([{_ALL}])) - 1) % 10 AS INTEGER) AS class, count(*) AS n FROM emb0 GROUP BY 1, 2", ("emb0",))
+def metric_confusion(spark, sf):
+    guess = f"CAST((array_position(array({_ALL}), array_max(array({_ALL}))) - 1) % 10 AS INT)"
+    return graph(spark, sf, "emb0").selectExpr("label AS truth", f"{guess} AS class").groupBy("truth", "class").agg(F.count("*").alias("n"))
 
 
 @pair("train_accuracy_stream")

@@ -4,9 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from deltamp.operators import infer
 from deltamp.operators import window as win
-from deltamp.queries.layers import full_sql, hop_and_features
 from deltamp.registry import graph, pair, portable
 from deltamp.sources.graphs import DAY
 
@@ -81,15 +79,6 @@ def win_coalesced_timers(spark, sf):
     return d.agg(F.countDistinct("due").alias("timers")).crossJoin(win.coalesced(d, W // 2).agg(F.countDistinct("due").alias("coalesced")))
 
 
-@pair("win_final_equals_full", full_sql(layers=2), ("hop", "emb0"))
-def win_final_equals_full(spark, sf):
-    """Batches are the evictions of five-day windows; after the last the state is the full inference's."""
-    v, e = hop_and_features(spark, sf)
-    due = win.tumbling(e.withColumn("key", F.col("dst")), 10 * DAY).select("eid", "src", "dst", "due")
-    times = sorted(r[0] for r in due.select("due").distinct().collect())
-    return infer.cascade(v, [(due.where(F.col("due") == t), due.where("false")) for t in times], 2)[0][-1].outputs
-
-
 @pair("cms_cells")
 def cms_cells(spark, sf):
     return win.CountMin().update(rows_of(spark, sf))

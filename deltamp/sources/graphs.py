@@ -11,7 +11,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from deltamp.functions.grid import DIMS, quantise
+from deltamp.functions.grid import DIMS, SCALE, quantise
 
 Tables = Callable[[str], DataFrame]
 SHIFT = 2**40
@@ -112,11 +112,39 @@ def feat(t: Tables) -> DataFrame:
 def emb0(t: Tables) -> DataFrame:
     """Grid features of the users that occur in events."""
     users = t("events").select(F.col("user_id").alias("v")).distinct()
-    e = t("embeddings").select(F.col("vec_id").alias("v"), F.col("label").cast("int").alias("label"), *[quantise(F.col("embedding")[i]).alias(f"x{i}") for i in range(DIMS)])
-    return users.join(e, "v")
+    return users.join(features(t), "v")
 
 
-BUILDERS: dict[str, Callable[[Tables], DataFrame]] = {f.__name__: f for f in (hop, topic, copurchase, trade, fk, reply, link, feat, emb0)}
+def features(t: Tables) -> DataFrame:
+    """(v, label, x*): whole embeddings on the grid."""
+    parts = [f"CAST(floor(CAST(embedding[{i}] AS DOUBLE) * {SCALE}D + 0.5D) AS BIGINT) AS x{i}" for i in range(DIMS)]
+    return t("embeddings").selectExpr("vec_id AS v", "CAST(label AS INT) AS label", *parts)
+
+
+def _spread(t: Tables, table: str, key: str, kind: str) -> DataFrame:
+    n = t("embeddings").count()
+    rows = t(table).select(vid(kind, F.col(key)).alias("p"), F.pmod(key, F.lit(n)).alias("v"))
+    return rows.join(features(t), "v").drop("v").withColumnRenamed("p", "v").select("v", "label", *[f"x{i}" for i in range(DIMS)])
+
+
+def goods(t: Tables) -> DataFrame:
+    """Features of all parts: the embedding numbered by the key modulo the number of embeddings."""
+    return _spread(t, "part", "p_partkey", "part")
+
+
+def buyers(t: Tables) -> DataFrame:
+    """Features of all customers, as those of parts."""
+    return _spread(t, "customer", "c_custkey", "customer")
+
+
+def hop_batches(t: Tables) -> DataFrame:
+    """hop with b, the number of an edge's batch of 2000."""
+    from deltamp.operators.window import fixed_count
+
+    return fixed_count(hop(t), 2000).withColumnRenamed("due", "b")
+
+
+BUILDERS: dict[str, Callable[[Tables], DataFrame]] = {f.__name__: f for f in (hop, topic, copurchase, trade, fk, reply, link, feat, emb0, goods, buyers, hop_batches)}
 
 _Q = lambda x: f"CAST(floor(CAST({x} AS DOUBLE) * 1024 + 0.5) AS BIGINT)"
 _V = lambda k, x: f"CAST({CODES[k] * SHIFT} + {x} AS BIGINT)"
@@ -131,5 +159,7 @@ GRAPH_SQL = {
     "reply": f"SELECT conv_id * 1000 + turn AS seq, {_V('turn', 'conv_id * 1000 + turn')} AS src, {_V('turn', 'conv_id * 1000 + n')} AS dst FROM (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS n FROM conversations) WHERE n IS NOT NULL",
     "link": "SELECT page_id * 1000 + i - 1 AS seq, src, h[i] AS dst FROM (SELECT page_id, src, h, unnest(range(1, len(h) + 1)) AS i FROM (SELECT page_id, regexp_extract(url, '://([^/?#]+)', 1) AS src, regexp_extract_all(html, 'href=\"([^\"]+)\"', 1) AS h FROM pages))",
     "feat": f"SELECT event_id AS seq, epoch_us(ts) AS us, user_id AS vid, lag({_Q('value')}) OVER (PARTITION BY user_id ORDER BY event_id) AS val_old, {_Q('value')} AS val_new FROM events",
+    **{n: f"SELECT {_V(k, c)} AS v, CAST(label AS INTEGER) AS label, {', '.join(f'{_Q(f"embedding[{i + 1}]")} AS x{i}' for i in range(DIMS))} FROM {t} JOIN embeddings ON vec_id = {c} % (SELECT count(*) FROM embeddings)" for n, t, k, c in (("goods", "part", "part", "p_partkey"), ("buyers", "customer", "customer", "c_custkey"))},
     "emb0": f"SELECT vec_id AS v, CAST(label AS INTEGER) AS label, {', '.join(f'{_Q(f"embedding[{i + 1}]")} AS x{i}' for i in range(DIMS))} FROM embeddings WHERE vec_id IN (SELECT user_id FROM events)",
 }
+GRAPH_SQL["hop_batches"] = f"SELECT *, CAST(floor((row_number() OVER (ORDER BY seq) - 1) / 2000) AS BIGINT) AS b FROM ({GRAPH_SQL['hop']})"
