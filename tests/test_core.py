@@ -6,8 +6,11 @@ import random
 import numpy as np
 import pytest
 
+from deltamp.functions.grid import DIMS
 from deltamp.operators import infer, partition, training
 from deltamp.operators import window as win
+from deltamp.operators import windowed as wd
+from deltamp.operators.store import Store, cascade
 from deltamp.queries import ORACLES, QUERIES
 from deltamp.sources.graphs import DAY
 from tests.harness import differs
@@ -20,6 +23,9 @@ def test_query_equals_sql(spark, name):
     assert not differs(spark, name, QUERIES[name], ORACLES[name])
 
 
+LONGS = ", ".join(f"x{i} long" for i in range(DIMS))
+
+
 def _plain(vertices, edges, layers=2):
     """Full inference in plain Python."""
     from deltamp.functions.grid import weights
@@ -30,22 +36,63 @@ def _plain(vertices, edges, layers=2):
         new = {}
         for v, x in h.items():
             m = [h[s] for s, d in edges if d == v]
-            mean = [int(np.floor(sum(c) / len(m) + 0.5)) if m else 0 for c in (zip(*m) if m else [[]] * 4)]
-            new[v] = [max(0, int(np.floor((b[i] + sum(ws[i][j] * x[j] + wn[i][j] * mean[j] for j in range(4))) / 4.0 + 0.5))) for i in range(4)]
+            mean = [int(np.floor(sum(c) / len(m) + 0.5)) if m else 0 for c in (zip(*m) if m else [[]] * DIMS)]
+            new[v] = [max(0, int(np.floor((b[i] + sum(ws[i][j] * x[j] + wn[i][j] * mean[j] for j in range(DIMS))) / 4.0 + 0.5))) for i in range(DIMS)]
         h = new
     return h
 
 
 def test_cascade_with_multi_edges_self_loops_and_deletions(spark):
     rng = random.Random(4)
-    vertices = {v: [rng.randint(-50, 50) for _ in range(4)] for v in range(6)}
-    v = spark.createDataFrame([(k, *x) for k, x in vertices.items()], "v long, x0 long, x1 long, x2 long, x3 long")
+    vertices = {v: [rng.randint(-50, 50) for _ in range(DIMS)] for v in range(6)}
+    v = spark.createDataFrame([(k, *x) for k, x in vertices.items()], f"v long, {LONGS}")
     frame = lambda rows: spark.createDataFrame(rows, "eid string, src long, dst long")
     first = [(str(i), rng.randrange(6), rng.randrange(6)) for i in range(14)] + [("m1", 0, 1), ("m2", 0, 1), ("s", 2, 2)]
     gone, more = first[3:8] + [("m2", 0, 1)], [("n1", 5, 0), ("n2", 1, 5), ("x", 3, 4)]
-    states, _ = infer.cascade(v, [(frame(first), frame([])), (frame(more), frame([*gone, ("x", 3, 4)]))], 2)
+    store = cascade(v, [(frame(first), None), (frame(more), frame([*gone, ("x", 3, 4)]))], 2)
     live = [(s, d) for e, s, d in first + more if (e, s, d) not in gone and e != "x"]
-    assert {r[0]: list(r[1:]) for r in states[-1].outputs.collect()} == _plain(vertices, live)
+    assert {r[0]: list(r[1:]) for r in store.outputs().collect()} == _plain(vertices, live)
+    again = Store(spark, 2, 4, store.root)  # a restart over the same folder
+    assert not again.apply(2, frame(first)) and again.outputs().exceptAll(store.outputs()).count() == 0
+    again.compact()
+    again.apply(3, None, frame([("m1", 0, 1)]))
+    assert {r[0]: list(r[1:]) for r in again.outputs().collect()} == _plain(vertices, [e for k, e in enumerate(live) if k != live.index((0, 1))])
+
+
+def test_a_batch_reads_the_buckets_it_touches(spark):
+    vertices = {k: [(37 * k + 11 * i * i) % 101 for i in range(DIMS)] for k in range(60)}
+    v = spark.createDataFrame([(k, *x) for k, x in vertices.items()], f"v long, {LONGS}")
+    ring = [(k, (k + 1) % 60) for k in range(60)]
+    store = Store(spark, 2, 64).load(v, spark.createDataFrame(ring, "src long, dst long"))
+    store.apply(1, spark.createDataFrame([(7, 9)], "src long, dst long"))
+    for layer in (1, 2):
+        old, new = _plain(vertices, ring, layer), _plain(vertices, [*ring, (7, 9)], layer)
+        moved = sorted(k for k in old if old[k] != new[k])
+        assert moved and set(moved) <= {9, 10} and sorted(r[0] for r in store.changed(layer).collect()) == moved
+    from deltamp.plans.shared import names
+
+    assert len(names(spark, f"{store.root}/values2/a={store.last}")) <= 4
+
+
+def test_windowed_layers_hold_edges_and_outputs_back(spark):
+    """By hand: an edge joins when its window closes, two updates in a window leave as one, and the swap takes what was sent before."""
+    v = spark.createDataFrame([(k, *[10 * k + i % 5 for i in range(DIMS)]) for k in range(4)], f"v long, {LONGS}")
+    e = spark.createDataFrame([(1, 3, 0, 1), (2, 4, 2, 1), (3, 12, 3, 0), (4, 25, 1, 2)], "seq long, us long, src long, dst long")
+    ten = lambda r: win.tumbling(r, 10)
+    one, two = wd.run(v, e, ten, ten)
+    assert sorted((r["dst"], r["at"], r["kind"]) for r in one.messages.collect()) == [(0, 20, "absorb"), (1, 10, "absorb"), (1, 10, "absorb"), (2, 30, "absorb")]
+    assert sorted((r["v"], r["at"]) for r in one.emissions.collect() if r["at"] > wd.ALWAYS) == [(0, 30), (1, 20), (2, 40)]
+    assert sorted((r["src"], r["dst"], r["at"]) for r in two.messages.where("kind = 'swap'").collect()) == [(0, 1, 30), (2, 1, 40)]
+    edges = [tuple(r) for r in e.select("src", "dst").collect()]
+    plain = _plain({r[0]: list(r[1:]) for r in v.collect()}, edges)
+    assert {r[0]: list(r[1:]) for r in wd.final([one, two]).collect()} == plain
+
+
+def test_sketch_gaps_are_exact_without_collisions(spark):
+    r = spark.createDataFrame([(k % 5, d * DAY + k * 1000, k) for d in range(4) for k in range(5 * (d + 1))], "key long, us long, seq long")
+    assert win.adaptive_gaps(r).exceptAll(win.adaptive_gaps(r, sketch=win.CountMin())).count() == 0
+    small = {(x["key"], x["day"]): x["freq"] for x in win.adaptive_gaps(r, sketch=win.CountMin(1, 2)).collect()}
+    assert all(small[x["key"], x["day"]] >= x["freq"] for x in win.adaptive_gaps(r).collect())
 
 
 def test_physical_parts_cover_and_are_even():
@@ -85,9 +132,9 @@ def test_greedy_partitioner_is_sequential_with_one_worker_and_beats_random(spark
 
 def test_linear_gradients_match_finite_differences(spark):
     rng = random.Random(2)
-    rows = [(v, v % 3, *[rng.randint(-4, 4) for _ in range(4)]) for v in range(5)]
+    rows = [(v, v % 3, *[rng.randint(-4, 4) for _ in range(DIMS)]) for v in range(5)]
     edges = [(rng.randrange(5), rng.randrange(5)) for _ in range(9)]
-    v = spark.createDataFrame(rows, "v long, label int, x0 long, x1 long, x2 long, x3 long")
+    v = spark.createDataFrame(rows, f"v long, label int, {LONGS}")
     e = spark.createDataFrame(edges, "src long, dst long")
 
     def loss(table):
@@ -96,8 +143,8 @@ def test_linear_gradients_match_finite_differences(spark):
         h = {r[0]: list(r[2:]) for r in table}
         for layer in range(2):
             ws, wn, _ = weights(layer)
-            a = {k: [sum(h[s][j] for s, d in edges if d == k) for j in range(4)] for k in h}
-            h = {k: [sum(ws[i][j] * x[j] + wn[i][j] * a[k][j] for j in range(4)) for i in range(4)] for k, x in h.items()}
+            a = {k: [sum(h[s][j] for s, d in edges if d == k) for j in range(DIMS)] for k in h}
+            h = {k: [sum(ws[i][j] * x[j] + wn[i][j] * a[k][j] for j in range(DIMS)) for i in range(DIMS)] for k, x in h.items()}
         return sum((h[r[0]][0] - r[1]) ** 2 for r in table)
 
     f2 = training.forward_linear(training.forward_linear(v, e, 0), e, 1)
@@ -134,7 +181,7 @@ def test_lockstep_rounds_reach_every_edge(spark):
 def test_attention_deltas_follow_changed_destinations(spark):
     rng = random.Random(6)
     frame = lambda rows: spark.createDataFrame(rows, "eid string, src long, dst long")
-    values = lambda rows: spark.createDataFrame([(k, *x) for k, x in rows.items()], "v long, x0 long, x1 long, x2 long, x3 long")
+    values = lambda rows: spark.createDataFrame([(k, *x, *[0] * (DIMS - 4)) for k, x in rows.items()], f"v long, {LONGS}")
     before = {v: [rng.randint(-2000, 2000) for _ in range(4)] for v in range(6)}
     after = {**before, 0: [5, 900, 1, 1], 1: [before[1][0], -1500, 0, 0], 6: [700, 300, 0, 0]}  # 1 changes as a destination only
     first = [(str(i), rng.randrange(7), rng.randrange(6)) for i in range(20)] + [("s", 1, 1), ("m1", 2, 1), ("m2", 2, 1)]
