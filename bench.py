@@ -46,7 +46,7 @@ def incremental(spark) -> tuple[dict, dict]:
     cut = {k: e.where(f"pmod(xxhash64(seq, 1), {max(2, n // k)}) = 0") for k in (2000, 20)}
     base = infer.settle(e.join(cut[2000].select("seq"), "seq", "left_anti").join(cut[20].select("seq"), "seq", "left_anti"))
     took, began = {}, time.time()
-    store = Store(spark, 2, 32).load(v, base)
+    store = Store(spark, 2, 8).load(v, base)
     took["state_load"] = time.time() - began
     store.apply(1, base.limit(0))
     for k, (size, batch) in enumerate(cut.items(), 2):

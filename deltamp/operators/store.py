@@ -15,23 +15,21 @@ vertices that a message or their own input reached are evaluated again.
 from __future__ import annotations
 
 import uuid
-from collections.abc import Iterator
 
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from deltamp.functions.grid import DIMS, dense
+from deltamp.operators import packed
 from deltamp.operators.aggregators import S, X
-from deltamp.operators.infer import half_up_mean, matrix
+from deltamp.operators.packed import INPUT, OUTPUT, SUM, VECTOR
 from deltamp.plans.shared import names, remove, scratch, touch
 
-_VECTOR = "array<bigint>"
 SCHEMAS = {
     "edges": "src long, dst long, sign long, seq long",
-    "sums": "v long, s array<bigint>, n long, seq long",
-    "values": f"v long, old {_VECTOR}, new {_VECTOR}, seq long",
+    "sums": f"v long, s {VECTOR}, n long, seq long",
+    "values": f"v long, old {VECTOR}, new {VECTOR}, seq long",
 }
+_CHANGE = "CASE WHEN old IS NULL THEN new WHEN new IS NULL THEN transform(old, o -> -o) ELSE zip_with(new, old, (p, o) -> p - o) END"
 
 
 def _kind(name: str) -> str:
@@ -52,6 +50,7 @@ class Store:
         bases = [m for m in names(spark, f"{self.root}/bases") if "~" in m]
         self.base = max(bases, key=lambda m: int(m.split("~")[0])) if bases else None
         self.last: str | None = None
+        self._written: dict[tuple[str, str], list[int]] = {}
 
     # ---- tables -------------------------------------------------------------------------------
 
@@ -63,32 +62,38 @@ class Store:
         upto = int(self.base.split("~")[0]) if self.base else -1
         return ([self.base.split("~")[1]] if self.base else []) + [a for b, a in sorted(self.done.items()) if b > upto]
 
-    def _write(self, rows: DataFrame, name: str, key: str, attempt: str) -> list[int]:
-        """Append rows and tell which buckets they are in."""
+    def _write(self, rows: DataFrame, name: str, key: str, attempt: str, placed: bool = False) -> list[int]:
+        """Append rows, placed by bucket already or not, and tell which buckets they are in."""
         path = f"{self.root}/{name}/a={attempt}"
-        rows.withColumn("b", self._bucket(key)).repartition(min(self.buckets, 64), "b").write.partitionBy("b").parquet(path)
-        return [int(x[2:]) for x in names(self.spark, path) if x.startswith("b=")]
+        rows = rows.withColumn("b", self._bucket(key))
+        (rows if placed else rows.repartition(self.buckets, "b")).write.partitionBy("b").parquet(path)
+        return self._there(name, attempt)
+
+    def _there(self, name: str, attempt: str) -> list[int]:
+        """The buckets that an attempt wrote to."""
+        if (name, attempt) not in self._written:
+            self._written[name, attempt] = [int(x[2:]) for x in names(self.spark, f"{self.root}/{name}/a={attempt}") if x.startswith("b=")]
+        return self._written[name, attempt]
 
     def _read(self, name: str, attempts: list[str], buckets: list[int] | None = None) -> DataFrame:
-        schema = f"{SCHEMAS[_kind(name)]}, b int"
-        paths = [f"{self.root}/{name}/a={a}" for a in attempts]
-        there = [p for p in paths if names(self.spark, p)]
-        if not there or buckets == []:
+        """The rows of some attempts; with buckets, only their folders are listed and read."""
+        schema, wanted = SCHEMAS[_kind(name)], None if buckets is None else set(buckets)
+        there = {a: [b for b in self._there(name, a) if wanted is None or b in wanted] for a in attempts}
+        if not any(there.values()):
             return self.spark.createDataFrame([], schema)
-        out = None
-        for p in there:
-            rows = self.spark.read.schema(schema).option("basePath", p).parquet(p)
-            out = rows if out is None else out.unionByName(rows)
-        return out if buckets is None else out.where(F.col("b").isin(buckets))
+        reader, top = self.spark.read, f"{self.root}/{name}"
+        if wanted is None:
+            rows = reader.schema(f"{schema}, a string, b int").option("basePath", top).parquet(*[f"{top}/a={a}" for a in there if there[a]])
+            return rows.drop("a", "b")
+        return reader.schema(schema).parquet(*[f"{top}/a={a}/b={b}" for a in there for b in there[a]])
 
     def _latest(self, level: int, buckets: list[int] | None = None, attempts: list[str] | None = None) -> DataFrame:
         """(v, x): the values of a level that are there; a deleted one has a null."""
         rows = self._read(f"values{level}", attempts or self._attempts(), buckets)
         return rows.groupBy("v").agg(F.max_by(F.struct(F.col("new").alias("x")), "seq").alias("l")).select("v", "l.x").where("x is not null")
 
-    def _sums(self, level: int, buckets: list[int] | None = None, attempts: list[str] | None = None) -> DataFrame:
-        rows = self._read(f"sums{level}", attempts or self._attempts(), buckets)
-        return rows.groupBy("v").agg(F.expr(f"array({', '.join(f'sum(s[{i}])' for i in range(DIMS))}) AS s"), F.expr("sum(n) AS n"))
+    def _sums(self, level: int) -> DataFrame:
+        return packed.add_up(self._read(f"sums{level}", self._attempts()).selectExpr("v", "s", "n", "1L AS sign"))
 
     # ---- what callers read --------------------------------------------------------------------
 
@@ -130,51 +135,51 @@ class Store:
             edge_buckets = self._write(net.withColumn("seq", F.lit(batch).cast("long")), "edges", "src", attempt)
         value_buckets: list[int] = []
         if features is not None:
-            value_buckets = self._write_changes(features.select("v", F.col("x").alias("new")), 0, batch, attempt, before)
+            value_buckets = self._write_inputs(features.select("v", F.col("x").alias("new")), batch, attempt, before)
         for level in range(1, self.layers + 1):
             value_buckets = self._layer(level, batch, attempt, before, edge_buckets, value_buckets)
         touch(self.spark, f"{self.root}/commits/{batch}~{attempt}")
         self.done[batch], self.last = attempt, attempt
         return True
 
-    def _write_changes(self, new: DataFrame, level: int, batch: int, attempt: str, before: list[str], buckets: list[int] | None = None) -> list[int]:
+    def _write_inputs(self, new: DataFrame, batch: int, attempt: str, before: list[str]) -> list[int]:
         """Write those of (v, new) that differ from what is stored, with the old value beside."""
-        old = self._latest(level, buckets, before).withColumnRenamed("x", "old") if before else self.spark.createDataFrame([], f"v long, old {_VECTOR}")
+        old = self._latest(0, None, before).withColumnRenamed("x", "old") if before else self.spark.createDataFrame([], f"v long, old {VECTOR}")
         rows = new.join(old, "v", "left").where(~F.col("new").eqNullSafe(F.col("old")))
-        return self._write(rows.select("v", "old", "new", F.lit(batch).cast("long").alias("seq")), f"values{level}", "v", attempt)
+        return self._write(rows.select("v", "old", "new", F.lit(batch).cast("long").alias("seq")), "values0", "v", attempt)
 
     def _layer(self, level: int, batch: int, attempt: str, before: list[str], edge_buckets: list[int], value_buckets: list[int]) -> list[int]:
         """One layer; returns the buckets of the outputs that changed."""
-        own = [attempt]
+        own, now, seq = [attempt], [*before, attempt], F.lit(batch).cast("long").alias("seq")
         deltas = None
         if value_buckets and before:  # stored edges of the inputs that changed
-            moved = self._read(f"values{level - 1}", own, value_buckets).select(F.col("v").alias("src"), "old", "new")
-            rows = self._read("edges", before, value_buckets).join(moved, "src")
-            part = [f"(coalesce(new[{i}], 0L) - coalesce(old[{i}], 0L)) * sign AS {s}" for i, s in enumerate(S)]
-            deltas = rows.selectExpr("dst", *part, "(CAST(new IS NOT NULL AS BIGINT) - CAST(old IS NOT NULL AS BIGINT)) * sign AS n")
+            moved = self._read(f"values{level - 1}", own, value_buckets).selectExpr("v AS src", f"{_CHANGE} AS s", "CAST(new IS NOT NULL AS BIGINT) - CAST(old IS NOT NULL AS BIGINT) AS n")
+            deltas = self._read("edges", before, value_buckets).join(moved, "src").selectExpr("dst AS v", "s", "n", "sign")
         if edge_buckets:  # the batch's own edges, over inputs as they are now
-            rows = self._read("edges", own, edge_buckets).join(self._latest(level - 1, edge_buckets, [*before, attempt]).withColumnRenamed("v", "src"), "src")
-            fresh = rows.selectExpr("dst", *[f"x[{i}] * sign AS {s}" for i, s in enumerate(S)], "sign AS n")
-            deltas = fresh if deltas is None else deltas.unionByName(fresh)
+            fresh = self._read("edges", own, edge_buckets)
+            inputs = self._latest(level - 1, edge_buckets, now).selectExpr("v AS src", "x AS s")
+            rows = fresh.join(inputs, "src").selectExpr("dst AS v", "s", "1L AS n", "sign")
+            deltas = rows if deltas is None else deltas.unionByName(rows)
         sum_buckets: list[int] = []
         if deltas is not None:
-            packed = deltas.groupBy(F.col("dst").alias("v")).agg(F.expr(f"array({', '.join(f'sum({s})' for s in S)}) AS s"), F.expr("sum(n) AS n"), F.lit(batch).cast("long").alias("seq"))
-            packed = packed.where("n <> 0 OR exists(s, x -> x <> 0)").select("v", "s", "n", "seq")
-            sum_buckets = self._write(packed, f"sums{level}", "v", attempt)
+            sums = packed.add_up(deltas, self._bucket("v"), self.buckets)
+            sum_buckets = self._write(sums.select("v", "s", "n", seq), f"sums{level}", "v", attempt, placed=True)
         reached = sorted({*sum_buckets, *value_buckets})
         if not reached:
             return []
-        keys = self._read(f"sums{level}", own, sum_buckets).select("v").union(self._read(f"values{level - 1}", own, value_buckets).select("v")).distinct()
-        now = [*before, attempt]
-        inputs, sums = self._latest(level - 1, reached, now), self._sums(level, reached, now)
-        rows = keys.join(inputs, "v", "left").join(sums, "v", "left").selectExpr("v", *[f"x[{i}] AS {x}" for i, x in enumerate(X)], *[f"s[{i}] AS {s}" for i, s in enumerate(S)], "n", "x IS NOT NULL AS there")
-        return self._write_changes(_update(rows, level - 1), level, batch, attempt, before, reached)
+        keys = self._read(f"sums{level}", own, sum_buckets).select("v").union(self._read(f"values{level - 1}", own, value_buckets).select("v"))
+        none = "CAST(NULL AS BIGINT) AS n"
+        rows = self._read(f"values{level - 1}", now, reached).selectExpr("v", f"{INPUT} AS kind", "seq", "new AS x", none)
+        rows = rows.union(self._read(f"sums{level}", now, reached).selectExpr("v", f"{SUM}", "seq", "s", "n"))
+        rows = rows.union(self._read(f"values{level}", before, reached).selectExpr("v", f"{OUTPUT}", "seq", "new", none))
+        rows = rows.join(keys, "v", "left_semi").repartition(self.buckets, self._bucket("v")).sortWithinPartitions("v", "kind", "seq")
+        return self._write(packed.update(rows, level - 1).select("v", "old", "new", seq), f"values{level}", "v", attempt, placed=True)
 
     # ---- upkeep -------------------------------------------------------------------------------
 
     def load(self, vertices: DataFrame, edges: DataFrame | None = None) -> Store:
         """The first batch: all vertices (v, x*) and, if given, edges (src, dst)."""
-        self.apply(0, edges, None, vertices.select("v", F.array(*X).alias("x")))
+        self.apply(0, edges, None, packed.pack(vertices))
         return self
 
     def compact(self) -> None:
@@ -185,7 +190,7 @@ class Store:
         self._write(edges.select("src", "dst", "sign", seq), "edges", "src", attempt)
         for level in range(self.layers + 1):
             values = self._latest(level)
-            self._write(values.select("v", F.lit(None).cast(_VECTOR).alias("old"), F.col("x").alias("new"), seq), f"values{level}", "v", attempt)
+            self._write(values.select("v", F.lit(None).cast(VECTOR).alias("old"), F.col("x").alias("new"), seq), f"values{level}", "v", attempt)
             if level:
                 self._write(self._sums(level).where("n <> 0").select("v", "s", "n", seq), f"sums{level}", "v", attempt)
         touch(self.spark, f"{self.root}/bases/{upto}~{attempt}")
@@ -196,20 +201,6 @@ class Store:
                     remove(self.spark, f"{self.root}/{name}/a={old}")
 
 
-def _update(rows: DataFrame, layer: int) -> DataFrame:
-    """(v, x*, s*, n, there) to (v, new): the layer's output, or null where the own input is missing."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            n = b.column(1 + 2 * DIMS).fill_null(0).to_numpy(zero_copy_only=False)
-            h = dense(matrix(b, 1), half_up_mean(matrix(b, 1 + DIMS), n), layer)
-            there = b.column(2 + 2 * DIMS).to_numpy(zero_copy_only=False)
-            lists = pa.FixedSizeListArray.from_arrays(pa.array(h.ravel()), DIMS).cast(pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x if t else None for x, t in zip(lists.to_pylist(), there)], pa.list_(pa.int64())) if not there.all() else lists], names=["v", "new"])
-
-    return rows.mapInArrow(run, f"v long, new {_VECTOR}")
-
-
 def cascade(vertices: DataFrame, batches: list[tuple[DataFrame, DataFrame]], layers: int = 2, buckets: int = 4) -> Store:
     """The state after (added, deleted) edge batches over the vertices, from a graph without edges."""
     store = Store(vertices.sparkSession, layers, buckets).load(vertices)
