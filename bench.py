@@ -12,7 +12,7 @@ CPUS = os.environ.get("BENCH_CPUS", "4")
 NAMES = ("inf_sage2", "win_tumbling_counts", "win_session_counts", "win_adaptive_counts", "msgs_layer2_streaming", "msgs_layer2_windowed", "volume_by_policy", "part_random_arith", "replication_factor", "sync_messages", "wl_w2_topic", "train_grad_2layer", "agg_mean_incremental")
 
 
-PATIENCE = 150  # seconds for each of the two long parts; one that takes longer is reported as cut off
+PATIENCE = 240  # seconds for each of the two long parts; one that takes longer is reported as cut off
 
 
 def within(seconds: int, part):
