@@ -203,3 +203,18 @@ def test_gat_state_by_deltas_equals_full_inference(spark):
     assert QUERIES["delta_gat_state"] is not QUERIES["inf_gat1"]
     got, want = ({r["v"]: r["y"] for r in QUERIES[n](spark, f"{DATA}/sf0.001").collect()} for n in ("delta_gat_state", "inf_gat1"))
     assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 1e-9 for k in want)
+
+
+def test_packed_sums_carry_runs_over_batches(spark):
+    from deltamp.operators import packed
+
+    rows = [(k % 3, [k + i for i in range(DIMS)], 1, -1 if k % 5 == 0 else 1) for k in range(40)] + [(9, [4] * DIMS, 1, s) for s in (1, -1)] + [(None, [1] * DIMS, 1, 1), (7, None, 1, 1)]
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "4")
+    try:
+        got = {r["v"]: (r["s"], r["n"]) for r in packed.add_up(spark.createDataFrame(rows, f"v long, s {packed.VECTOR}, n long, sign long")).collect()}
+    finally:
+        spark.conf.set(key, before)
+    held = [r for r in rows if r[0] in (0, 1, 2)]
+    assert got == {v: ([sum(r[1][i] * r[3] for r in held if r[0] == v) for i in range(DIMS)], sum(r[3] for r in held if r[0] == v)) for v in range(3)}
