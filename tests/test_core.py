@@ -218,3 +218,17 @@ def test_packed_sums_carry_runs_over_batches(spark):
         spark.conf.set(key, before)
     held = [r for r in rows if r[0] in (0, 1, 2)]
     assert got == {v: ([sum(r[1][i] * r[3] for r in held if r[0] == v) for i in range(DIMS)], sum(r[3] for r in held if r[0] == v)) for v in range(3)}
+
+
+def test_softmax_divides_in_doubles(spark, tmp_path, monkeypatch):
+    """Components whose quotient by 1024 needs more than six places."""
+    import tests.harness as harness
+
+    rng = random.Random(3)
+    vectors = [(v, [rng.uniform(-0.5, 0.5) for _ in range(DIMS)], v % 3) for v in range(3000)]
+    spark.createDataFrame(vectors, "vec_id long, embedding array<float>, label int").coalesce(1).write.parquet(f"{tmp_path}/made/e")
+    spark.range(3000).selectExpr("id AS event_id", "id AS user_id").coalesce(1).write.parquet(f"{tmp_path}/made/u")
+    for folder, name in (("e", "embeddings"), ("u", "events")):
+        next((tmp_path / "made" / folder).glob("*.parquet")).rename(tmp_path / "made" / f"{name}.parquet")
+    monkeypatch.setattr(harness, "DATA", str(tmp_path))
+    assert not differs(spark, "vec_softmax", QUERIES["vec_softmax"], ORACLES["vec_softmax"], "made")
