@@ -232,3 +232,15 @@ def test_softmax_divides_in_doubles(spark, tmp_path, monkeypatch):
         next((tmp_path / "made" / folder).glob("*.parquet")).rename(tmp_path / "made" / f"{name}.parquet")
     monkeypatch.setattr(harness, "DATA", str(tmp_path))
     assert not differs(spark, "vec_softmax", QUERIES["vec_softmax"], ORACLES["vec_softmax"], "made")
+
+
+# Queries that once made their data up.
+READS = ("explosion_parallelism", )
+
+
+@pytest.mark.parametrize("name", READS)
+def test_query_reads_a_given_table(spark, name):
+    from tests.harness import DATA
+
+    assert QUERIES[name](spark, f"{DATA}/sf0.001").inputFiles()
+    assert name not in ORACLES or not differs(spark, name, QUERIES[name], ORACLES[name])
