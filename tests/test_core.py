@@ -244,3 +244,14 @@ def test_query_reads_a_given_table(spark, name):
 
     assert QUERIES[name](spark, f"{DATA}/sf0.001").inputFiles()
     assert name not in ORACLES or not differs(spark, name, QUERIES[name], ORACLES[name])
+
+
+def test_python_source_keeps_the_hop_graph(spark, tmp_path):
+    assert not differs(spark, "src_python_ds", QUERIES["src_python_ds"], ORACLES["src_python_ds"])
+    edges = spark.createDataFrame([(k, k % 5, k % 7) for k in range(40)], "seq long, src long, dst long").repartition(3)
+    store = lambda mode: edges.write.format("graph_edges").mode(mode).save(f"{tmp_path}/e")
+    count = lambda: spark.read.format("graph_edges").load(f"{tmp_path}/e").count()
+    store("append"), store("append")
+    assert count() == 80
+    store("overwrite")
+    assert count() == 40 and spark.read.format("graph_edges").option("vertices", "10").load().count() == 20
