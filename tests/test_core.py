@@ -235,7 +235,7 @@ def test_softmax_divides_in_doubles(spark, tmp_path, monkeypatch):
 
 
 # Queries that once made their data up.
-READS = ("explosion_parallelism", "place_physical", "place_coverage", "place_hashed_idle", "place_moves", "sql_function_grid", "train_vote", )
+READS = ("explosion_parallelism", "place_physical", "place_coverage", "place_hashed_idle", "place_moves", "sql_function_grid", "train_vote", "udtf_khop", )
 
 
 @pytest.mark.parametrize("name", READS)
