@@ -6,7 +6,9 @@ import re
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from deltamp.llm import chat, copies, leaks, licenses, passages, pieces, pii, quality, revisits, simhash, urls
 from deltamp.llm.common import run_hashes, word_hashes_many
@@ -553,3 +555,25 @@ def test_buckets_of_several_groups_equal_all_pairs(spark):
         got[hot] = sorted({min(name[f] for f in name if groups.get(f, f) == groups.get(g, g)) for g in name})
     assert got == {4000: want, 20: want}
     assert copies.bucket_links([1, 2], [1, 2], np.zeros(2, np.uint64), [np.arange(4, dtype=np.uint64), np.arange(5, dtype=np.uint64)]) == [(2, 1)]
+
+
+def test_stage_proposes_pairs_through_pivot_tables(spark):
+    """Texts that are a few words apart in a long text, equal SimHashes of different sets, and strangers."""
+    rows = [(k, edited(words(600, 300 + k // 4), k % 4, f"z{k}")) for k in range(40)] + [(100, None), (101, "")]
+    frame = spark.createDataFrame([(k, k, t) for k, t in rows], "id long, row long, text string")
+    slim = copies.banded(frame)
+    sets = copies.shingle_sets([(t or "").encode() for _, t in rows])
+    number = {int(copies.set_hash(s).view(np.int64)): i for i, s in enumerate(sets)}
+    sims = [int(copies.fingerprint(s)) for s in sets]
+    assert [r["sim"] % 2**64 for r in slim.orderBy("id").collect()] == sims
+
+    def groups(pairs):
+        root = {i: i for i in number.values()}
+        for a, b in pairs:
+            low, high = sorted((root[a], root[b]))
+            root = {i: low if r == high else r for i, r in root.items()}
+        return root
+
+    close = [(i, j) for i in number.values() for j in number.values() if i < j and (sims[i] ^ sims[j]).bit_count() <= 3]
+    found = [(number[r["a"]], number[r["b"]]) for r in copies.pivot_pairs(slim).collect()]
+    assert close and groups(found) == groups(close)
