@@ -577,3 +577,27 @@ def test_stage_proposes_pairs_through_pivot_tables(spark):
     close = [(i, j) for i in number.values() for j in number.values() if i < j and (sims[i] ^ sims[j]).bit_count() <= 3]
     found = [(number[r["a"]], number[r["b"]]) for r in copies.pivot_pairs(slim).collect()]
     assert close and groups(found) == groups(close)
+
+
+@pytest.mark.parametrize("kind", ("long", "string", "int"))
+def test_trusted_texts_are_found_by_bitmap_and_join(spark, monkeypatch, kind):
+    """A full bitmap, ids of other types, null and repeated ids: the weights stay those of a plain join."""
+    rows = [(k if k % 9 else None, words(20, k % 11)) for k in range(200)] + [(7, words(20, 99)), (7, words(20, 98))]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").withColumn("doc_id", F.col("doc_id").cast(kind))
+    labels = spark.createDataFrame([(k, 1, 0) for k in range(0, 200, 7)] + [(None, 1, 0), (7, 1, 0)], "doc_id long, quality int, toxic int")
+    trusted = {str(k) for k in range(0, 200, 7)}
+    good = quality.fit(frame, labels)
+    same = labels.withColumn("doc_id", F.col("doc_id").cast(kind))
+    assert quality.fit(frame, same) == good
+    monkeypatch.setattr(quality, "MOST_BITS", 64)
+    assert quality.fit(frame, same) == good
+    only = frame.where(F.col("doc_id").cast("string").isin(*trusted))
+    monkeypatch.setattr(quality, "may_be_in", lambda ids, key: F.lit(True))
+    assert quality.fit(frame, only.selectExpr("doc_id", "1 AS quality", "0 AS toxic")) == good and any(good)
+
+
+def test_trusted_texts_only_are_moved(spark):
+    frame = spark.range(4000).selectExpr("id AS doc_id")
+    told = frame.where(quality.may_be_in(frame.where("doc_id % 50 = 0"), F.col("doc_id")))
+    ids = {r[0] for r in told.collect()}
+    assert set(range(0, 4000, 50)) <= ids and len(ids) < 1200
