@@ -601,3 +601,18 @@ def test_trusted_texts_only_are_moved(spark):
     told = frame.where(quality.may_be_in(frame.where("doc_id % 50 = 0"), F.col("doc_id")))
     ids = {r[0] for r in told.collect()}
     assert set(range(0, 4000, 50)) <= ids and len(ids) < 1200
+
+
+def test_stages_run_on_small_batches(spark):
+    import corpus_pipeline
+
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    try:
+        frame = spark.createDataFrame([(k, words(3, k), "en", "s", 1) for k in range(3000)], "doc_id long, text string, lang string, source string, n_chars long").coalesce(1)
+        out = corpus_pipeline.encode(spark, frame, "")
+        sizes = frame.select("doc_id").mapInArrow(lambda it: (pa.RecordBatch.from_pydict({"n": pa.array([b.num_rows], pa.int64())}) for b in it), "n long")
+        assert max(r["n"] for r in sizes.collect()) <= corpus_pipeline.BATCH_ROWS and out.count() == 3000
+    finally:
+        spark.conf.set(key, before)
+        spark.conf.unset("spark.sql.execution.arrow.maxBytesPerBatch")
