@@ -255,3 +255,17 @@ def test_python_source_keeps_the_hop_graph(spark, tmp_path):
     assert count() == 80
     store("overwrite")
     assert count() == 40 and spark.read.format("graph_edges").option("vertices", "10").load().count() == 20
+
+
+def test_one_worker_joins_small_chunks(spark):
+    """Chunks of 10 edges come to the sequential result in a few jobs, not some for each chunk."""
+    rng = random.Random(12)
+    rows = [(i, rng.randrange(40), 100 + rng.randrange(60)) for i in range(400)]
+    tracker = spark.sparkContext.statusTracker()
+    spark.sparkContext.setJobGroup("rounds", "rounds")
+    try:
+        placed = partition.hdrf(spark.createDataFrame(rows, "seq long, src long, dst long"), 8, chunk=10)
+    finally:
+        spark.sparkContext._jsc.clearJobGroup()
+    assert len(tracker.getJobIdsForGroup("rounds")) < 40
+    assert [r["lpart"] for r in placed.orderBy("seq").collect()] == partition.hdrf_sequential([(a, b) for _, a, b in rows], 8)
