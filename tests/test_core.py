@@ -269,3 +269,16 @@ def test_one_worker_joins_small_chunks(spark):
         spark.sparkContext._jsc.clearJobGroup()
     assert len(tracker.getJobIdsForGroup("rounds")) < 40
     assert [r["lpart"] for r in placed.orderBy("seq").collect()] == partition.hdrf_sequential([(a, b) for _, a, b in rows], 8)
+
+
+def test_gather_windows_are_stored_once_and_the_last_layer_not_at_all(spark, monkeypatch):
+    v = spark.createDataFrame([(k, *[10 * k + i % 5 for i in range(DIMS)]) for k in range(4)], f"v long, {LONGS}")
+    e = spark.createDataFrame([(k, 3 * k, k % 4, (k * k + 1) % 4) for k in range(30)], "seq long, us long, src long, dst long")
+    ranks, stored = [], []
+    rank, settle = win.global_rank, wd.settle
+    monkeypatch.setattr(win, "global_rank", lambda *a, **b: (ranks.append(1), rank(*a, **b))[1])
+    monkeypatch.setattr(wd, "settle", lambda df: (stored.append(df.columns), settle(df))[1])
+    trace = wd.run(v, e, win.by_count(e, 7), None)
+    assert len(ranks) == 1 and len(stored) == 2
+    plain = _plain({r[0]: list(r[1:]) for r in v.collect()}, [tuple(r) for r in e.select("src", "dst").collect()])
+    assert {r[0]: list(r[1:]) for r in wd.final(trace).collect()} == plain
