@@ -24,8 +24,8 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 def _small_batches(spark: SparkSession) -> None:
     """For the session, as stages run after they return; smaller values that are set already stay."""
     for key, most in (("maxRecordsPerBatch", BATCH_ROWS), ("maxBytesPerBatch", BATCH_BYTES)):
-        now = spark.conf.get(f"spark.sql.execution.arrow.{key}", "0")
-        if not now.isdigit() or not 0 < int(now) <= most:
+        now = spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(spark.conf.get(f"spark.sql.execution.arrow.{key}"))
+        if not 0 < now <= most:
             spark.conf.set(f"spark.sql.execution.arrow.{key}", str(most))
 
 
