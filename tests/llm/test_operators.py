@@ -616,3 +616,28 @@ def test_stages_run_on_small_batches(spark):
     finally:
         spark.conf.set(key, before)
         spark.conf.unset("spark.sql.execution.arrow.maxBytesPerBatch")
+
+
+def test_stages_leave_no_shuffle_files(spark):
+    import time
+    from pathlib import Path
+
+    import corpus_pipeline
+
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    spark.conf.set(key, "false")
+    places = [Path(str(p)) for p in spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().localDirs()]
+    held = lambda: {f for p in places for f in p.rglob("shuffle_*.data")}
+    try:
+        before = held()
+        text = words(200, 1200)
+        frame = spark.createDataFrame([(k, edited(text, k % 4, f"s{k}"), "en", "s", 1) for k in range(12)], "doc_id long, text string, lang string, source string, n_chars long")
+        assert len(corpus_pipeline.keep_one_of_group(spark, frame, "").collect()) == 1
+        for _ in range(50):
+            left = held() - before
+            if not left:
+                break
+            time.sleep(0.2)
+        assert not left
+    finally:
+        spark.conf.unset(key)
