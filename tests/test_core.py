@@ -5,6 +5,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from deltamp.functions.grid import DIMS
 from deltamp.operators import infer, partition, training
@@ -282,3 +283,41 @@ def test_gather_windows_are_stored_once_and_the_last_layer_not_at_all(spark, mon
     assert len(ranks) == 1 and len(stored) == 2
     plain = _plain({r[0]: list(r[1:]) for r in v.collect()}, [tuple(r) for r in e.select("src", "dst").collect()])
     assert {r[0]: list(r[1:]) for r in wd.final(trace).collect()} == plain
+
+
+def test_an_input_is_carried_once_to_a_part_of_destinations(spark):
+    """Sums along edges equal those of single messages, for wide integers, deletions and a hub, from a row for an input and part."""
+    from deltamp.operators import packed
+
+    rng = np.random.default_rng(5)
+    x = rng.integers(-(2**40), 2**40, (30, DIMS))
+    x[:10] %= 100
+    edges = [(a, b, int(rng.integers(-1, 3))) for a in range(30) for b in range(100, 300)] + [(3, b, 1) for b in range(1000, 3000)]
+    want = {}
+    for a, b, sign in edges:
+        s, n = want.get(b, (np.zeros(DIMS, np.int64), 0))
+        want[b] = s + sign * x[a], n + sign
+    inputs = spark.createDataFrame([(a, x[a].tolist(), 1) for a in range(30)] + [(None, x[0].tolist(), 1), (99, None, 1)], "src long, s array<bigint>, n long")
+    frame = spark.createDataFrame([*edges, (None, 5, 1), (3, None, 1), (77, 5, 1)], "src long, dst long, sign long").repartition(1).sortWithinPartitions("src", F.expr("dst % 4"))
+    rows = packed.carried(inputs, frame, F.expr("dst % 4"))
+    assert rows.count() <= 30 * 4 + len(edges) // packed.RUN + 20
+    got = packed.received(rows, 4).collect()
+    assert len(got) == len({r["v"] for r in got})
+    assert {r["v"]: (r["s"], r["n"]) for r in got} == {v: (s.tolist(), n) for v, (s, n) in want.items() if n or s.any()}
+
+
+def test_sums_held_in_parts_add_up(monkeypatch):
+    import pyarrow as pa
+
+    from deltamp.operators import packed
+
+    monkeypatch.setattr(packed, "HELD", 50)
+    monkeypatch.setattr(packed, "STEP", 16)
+    edges = np.array([[v % 70, 1] for v in range(7 * 70)])
+    batch = pa.RecordBatch.from_arrays([packed._blobs(np.ones((1, DIMS), np.int16), np.array([0, 2 * DIMS])), pa.array([1]), packed._blobs(edges, np.array([0, edges.nbytes]))], names=["s", "n", "to"])
+    total = {}
+    for b in packed._received(iter([batch.slice(0, 0), batch])):
+        for v, s, n in zip(*(c.to_pylist() for c in b.columns)):
+            assert s == [n] * DIMS
+            total[v] = total.get(v, 0) + n
+    assert total == {v: 7 for v in range(70)}
