@@ -321,3 +321,19 @@ def test_sums_held_in_parts_add_up(monkeypatch):
             assert s == [n] * DIMS
             total[v] = total.get(v, 0) + n
     assert total == {v: 7 for v in range(70)}
+
+
+def test_trade_is_stored_without_names_of_edges(spark, monkeypatch):
+    """An edge's name needs a window over lineitem, and the store cancels edges by their ends."""
+    class Seen(Exception):
+        pass
+
+    def settle(df):
+        if "op" in df.columns:
+            raise Seen("eid" in df.columns or "Window" in df._jdf.queryExecution().optimizedPlan().toString())
+        return df
+
+    monkeypatch.setattr(infer, "settle", settle)
+    with pytest.raises(Seen) as seen:
+        QUERIES["wl_w9_trade"](spark, "/root/testdata/sf0.001")
+    assert seen.value.args == (False,)
