@@ -337,3 +337,16 @@ def test_trade_is_stored_without_names_of_edges(spark, monkeypatch):
     with pytest.raises(Seen) as seen:
         QUERIES["wl_w9_trade"](spark, "/root/testdata/sf0.001")
     assert seen.value.args == (False,)
+
+
+def test_ranks_are_made_without_storing_rows(spark, monkeypatch):
+    from deltamp import durable
+
+    def refuse(df):
+        raise AssertionError("rows stored")
+
+    monkeypatch.setattr(durable, "settle", refuse)
+    seqs = sorted({k**3 % 1009 for k in range(900)} | set(range(2000, 2400)) | {-5, 10**12})
+    rows = spark.createDataFrame([(s,) for s in reversed(seqs)], "seq long").repartition(3)
+    assert {r["seq"]: r["rank"] for r in win.global_rank(rows, "seq").collect()} == {s: k for k, s in enumerate(seqs)}
+    assert win.global_rank(rows.where("seq < -5"), "seq").count() == 0
