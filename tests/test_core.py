@@ -350,3 +350,21 @@ def test_ranks_are_made_without_storing_rows(spark, monkeypatch):
     rows = spark.createDataFrame([(s,) for s in reversed(seqs)], "seq long").repartition(3)
     assert {r["seq"]: r["rank"] for r in win.global_rank(rows, "seq").collect()} == {s: k for k, s in enumerate(seqs)}
     assert win.global_rank(rows.where("seq < -5"), "seq").count() == 0
+
+
+def test_the_last_layer_sums_vectors_by_destination_only(spark):
+    """Its windows run without vectors: no sums of 64 for each time of a destination."""
+    v = spark.createDataFrame([(k, *[10 * k + i % 5 for i in range(DIMS)]) for k in range(4)], f"v long, {LONGS}")
+    e = spark.createDataFrame([(k, k * DAY // 7, k % 4, (k * k + 1) % 4) for k in range(40)], "seq long, us long, src long, dst long")
+    sketched = lambda r: win.adaptive(r, sketch=win.CountMin())
+    out = wd.final(wd.run(v, e, sketched, sketched))
+    key = "spark.sql.debug.maxToStringFields"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "10000")
+    try:
+        plan = out._jdf.queryExecution().optimizedPlan().toString()
+    finally:
+        spark.conf.set(key, before)
+    groups = [line.split("Aggregate [")[1].split("]")[0] for line in plan.splitlines() if "Aggregate [" in line and "AS s63#" in line]
+    assert groups and not any("," in g for g in groups)
+    assert {r[0]: list(r[1:]) for r in out.collect()} == _plain({r[0]: list(r[1:]) for r in v.collect()}, [tuple(r) for r in e.select("src", "dst").collect()])
