@@ -14,7 +14,7 @@ from deltamp.operators import windowed as wd
 from deltamp.operators.store import Store, cascade
 from deltamp.queries import ORACLES, QUERIES
 from deltamp.sources.graphs import DAY
-from tests.harness import differs
+from tests.harness import DATA, differs
 
 SAMPLE = ("g_hop_edges", "g_trade_deletes", "inf_sage2", "agg_mean_incremental", "agg_min_retract", "delta_feature_update", "worked_example", "win_session_counts", "win_adaptive_counts", "win_tumbling_perkey", "part_masters", "place_physical", "explosion_parallelism", "train_grad_2layer", "wl_w11_ablation", "join_asof_feature", "volume_by_policy")
 
@@ -368,3 +368,18 @@ def test_the_last_layer_sums_vectors_by_destination_only(spark):
     groups = [line.split("Aggregate [")[1].split("]")[0] for line in plan.splitlines() if "Aggregate [" in line and "AS s63#" in line]
     assert groups and not any("," in g for g in groups)
     assert {r[0]: list(r[1:]) for r in out.collect()} == _plain({r[0]: list(r[1:]) for r in v.collect()}, [tuple(r) for r in e.select("src", "dst").collect()])
+
+
+def test_copurchase_loads_are_told_for_every_policy(spark, monkeypatch):
+    """Events handled one by one stand beside the windows, and what a policy stored goes once it is counted."""
+    import os
+
+    from deltamp.queries import traces
+
+    stored = []
+    keep = wd.settle
+    monkeypatch.setattr(wd, "settle", lambda df: (stored.append(keep(df)), stored[-1])[1])
+    assert not differs(spark, "wl_w1_copurchase", QUERIES["wl_w1_copurchase"], ORACLES["wl_w1_copurchase"])
+    rows = QUERIES["wl_w1_copurchase"](spark, f"{DATA}/sf0.001").collect()
+    assert {r["policy"] for r in rows} == set(traces.MAIN) and len(rows) == 4 * len(traces.MAIN)
+    assert stored and not any(os.path.exists(df.kept_at.removeprefix("file:")) for df in stored)
